@@ -4,7 +4,18 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from .common import table
+from pyspark.sql import functions as F
+
+from .common import fold_of, table
+
+
+def op3_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .language import predicted, train
+
+    docs = table(spark, sf_dir, "documents", "doc_id", "text", "lang")
+    profiles = train(docs.where(fold_of("doc_id", 4) != 2))
+    found = docs.select("doc_id", (fold_of("doc_id", 4) == 2).alias("held_out"), predicted(F.col("text"), profiles).alias("p"))
+    return found.select("doc_id", "held_out", "p.lang_pred", "p.score")
 
 
 def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -13,8 +24,17 @@ def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_index(table(spark, sf_dir, "documents")).select("doc_id", "start", "n_tokens", "ids_crc32")
 
 
+def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .simhash import hex_digits, near_duplicate_classes
+
+    found = near_duplicate_classes(table(spark, sf_dir, "documents", "doc_id", "text"))
+    return found.select("doc_id", hex_digits(F.col("fp")).alias("fingerprint"), "component_id")
+
+
 QUERIES = {
+    "op3_language": op3_language,
     "op8_token_files": op8_token_files,
+    "op10_simhash": op10_simhash,
 }
 
 ORACLES: dict[str, str] = {}
