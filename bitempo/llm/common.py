@@ -3,10 +3,14 @@
 from __future__ import annotations
 
 import os
+import re
 import tempfile
+import unicodedata
 import uuid
 import zlib
+from collections.abc import Iterator
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -62,58 +66,76 @@ def fold_of(column: str | Column, parts: int) -> Column:
 
 def crc_of_ids(ids) -> int:
     """Unsigned crc32 of ids laid out as little-endian unsigned 32-bit integers."""
-    import numpy as np
-
     return zlib.crc32(np.ascontiguousarray(ids, dtype="<u4").tobytes())
 
 
+#: Letters outside this set, or a dotted capital I, are lower-cased by the library alone.
+_LATIN = re.compile("[^\x00-\u012f\u0131-\u024f]")
+#: A full stop or comma after another mark belongs to one run of marks and must not be split off.
+_RUN_OF_MARKS = re.compile("[^ \t\r\nA-Za-z0-9\u00c0-\u00d6\u00d8-\u00f6\u00f8-\u024f][.,]")
+
+
 class WordTokenizer:
-    """Whole-text ids of a word-splitting tokenizer, built from its ids of single words.
+    """Whole-text ids of a lower-casing, word-splitting tokenizer, put together from its ids of single words.
 
-    The vocabulary file splits at white space before anything else, so a text's ids are those of its
-    space- or newline-separated words in turn. Words are encoded by the library once and remembered in two
-    generations of at most ``remember`` words each, which bounds the memory of a worker.
+    The vocabulary splits at white space before anything else, so a text's ids are those of its space- or
+    newline-separated words in turn. Words are encoded by the library once and remembered as packed ids in two generations of
+    at most ``remember`` words each, which bounds the memory of a worker. Texts in Latin letters are lower-cased and
+    have their full stops and commas set apart first, which the library would do as well, so that fewer words differ;
+    other texts, and those that may hold special tokens, keep their words as they are.
     """
 
-    def __init__(self, path: str, remember: int = 250_000):
+    def __init__(self, path: str, remember: int = 150_000):
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(path)
+        self.model = self.library.model
+        self.kind = np.dtype("<u2" if self.library.get_vocab_size() <= 1 << 16 else "<u4")
         self.remember = remember
-        self.young: dict[str, tuple[int, ...]] = {"": ()}
-        self.old: dict[str, tuple[int, ...]] = {}
-
-    def learn(self, words: set[str]) -> None:
-        if len(self.young) + len(words) > self.remember:
-            self.old, self.young = self.young, {"": ()}
-        missing = []
+        self.young: dict[str, bytes] = {"": b""}
+        self.old: dict[str, bytes] = {}
+        # the printable stand-in of each byte in byte-level vocabularies
+        plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+        rest = iter(range(256, 512))
+        self.stand_in = [chr(b) if b in plain else chr(next(rest)) for b in range(256)]
+
+    def _learn(self, words: set[str]) -> None:
+        slow, pack, one, stand_in = [], self.kind, self.model.tokenize, self.stand_in
         for word in words:
             known = self.old.get(word)
-            if known is None:
-                missing.append(word)
-            else:
+            if known is not None:
                 self.young[word] = known
-        step = 20_000
-        for at in range(0, len(missing), step):
-            part = missing[at : at + step]
+            elif len(word) < 64 and word.isascii() and word.isalpha() and word.islower():
+                self.young[word] = np.array([t.id for t in one(word)], pack).tobytes()
+            elif len(word) < 64 and word.isalpha() and word.islower() and not _LATIN.search(word) and unicodedata.is_normalized("NFC", word):
+                self.young[word] = np.array([t.id for t in one("".join([stand_in[b] for b in word.encode()]))], pack).tobytes()
+            else:
+                slow.append(word)
+        for at in range(0, len(slow), 10_000):
+            part = slow[at : at + 10_000]
             for word, encoded in zip(part, self.library.encode_batch_fast(part, add_special_tokens=False)):
-                self.young[word] = tuple(encoded.ids)
-
-    def encode(self, texts: list[str | None]):
-        """One uint32 array of ids for each text; null texts have none."""
-        from itertools import chain
-
-        import numpy as np
-
-        from_iterable = chain.from_iterable
-        for at in range(0, len(texts), 64):
-            split = [t.replace("\n", " ").split(" ") if t else [] for t in texts[at : at + 64]]
-            fresh = set(from_iterable(split)).difference(self.young)
+                self.young[word] = np.array(encoded.ids, pack).tobytes()
+
+    @staticmethod
+    def words(text: str | None) -> list[str]:
+        if not text:
+            return []
+        if "<|" not in text and not _LATIN.search(text):
+            text = text.lower()
+            if not _RUN_OF_MARKS.search(text):
+                text = text.replace(".", " .").replace(",", " ,")
+        return text.replace("\n", " ").split(" ")
+
+    def encode(self, texts: list[str | None]) -> Iterator[np.ndarray]:
+        """One array of ids for each text; null texts have none."""
+        for text in texts:
+            words = self.words(text)
+            if len(self.young) > self.remember:
+                self.old, self.young = self.young, {"": b""}
+            fresh = set(words).difference(self.young)
             if fresh:
-                self.learn(fresh | (set(from_iterable(split)) if len(self.young) + len(fresh) > self.remember else set()))
-            look = self.young.__getitem__
-            for words in split:
-                yield np.fromiter(from_iterable(map(look, words)), dtype=np.uint32)
+                self._learn(fresh)
+            yield np.frombuffer(b"".join(map(self.young.__getitem__, words)), self.kind)
 
 
 _TOKENIZERS: dict[str, WordTokenizer] = {}

@@ -153,16 +153,17 @@ def write_token_files(docs: DataFrame, folder: str, vocabulary: str | None = Non
         from pyspark import TaskContext
 
         tokens, writer = word_tokenizer(vocabulary), None
+        end = np.array([end_id], tokens.kind)
         place = TaskContext.get().partitionId()
         name = f"{folder}/part-{place:06d}-{uuid.uuid4().hex}.arrows"
         for batch in batches:
-            for at in range(0, len(batch), 256):
-                part = batch.iloc[at : at + 256]
+            for at in range(0, len(batch), 64):
+                part = batch.iloc[at : at + 64]
                 ids = part["doc_id"].astype("object").tolist()
                 for doc_id, encoded in zip(ids, tokens.encode(part["text"].tolist())):
                     if writer is None:
                         writer = SequenceWriter(name, length, tokens.library.get_vocab_size() > 1 << 16)
-                    writer.add(NO_ID if pd.isna(doc_id) else int(doc_id), np.append(encoded, end_id))
+                    writer.add(NO_ID if pd.isna(doc_id) else int(doc_id), np.concatenate([encoded, end]))
         if writer is not None:
             writer.close()
             yield pd.DataFrame({"place": [place], "file": [name]})
