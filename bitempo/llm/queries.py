@@ -9,6 +9,22 @@ from pyspark.sql import functions as F
 from .common import fold_of, table
 
 
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .toxicity import THRESHOLD, tagged, train
+
+    docs = table(spark, sf_dir, "documents", "doc_id", "text")
+    labels = table(spark, sf_dir, "labels", "doc_id", "toxic")
+    model = train(docs, labels.where(fold_of("doc_id", 3) != 1))
+    found = docs.select("doc_id", (fold_of("doc_id", 3) == 1).alias("held_out"), tagged(F.col("text"), model).alias("t"))
+    return found.select("doc_id", "held_out", "t.score", (F.col("t.score") >= THRESHOLD).cast("int").alias("predicted"), F.col("t.spans").alias("spans"))
+
+
+def op2_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .packing import packed
+
+    return packed(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
 def op3_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .language import predicted, train
 
@@ -18,6 +34,14 @@ def op3_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "held_out", "p.lang_pred", "p.score")
 
 
+def op6_matroska(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .matroska import audio, read_back
+
+    docs = table(spark, sf_dir, "documents", "doc_id", "text")
+    stored = docs.select("doc_id", F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes"), audio(F.col("text")).alias("media"))
+    return stored.select("doc_id", "n_bytes", read_back(F.col("media")).alias("d")).select("doc_id", "n_bytes", "d.*")
+
+
 def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .token_files import token_index
 
@@ -32,7 +56,10 @@ def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES = {
+    "op1_toxicity": op1_toxicity,
+    "op2_packing": op2_packing,
     "op3_language": op3_language,
+    "op6_matroska": op6_matroska,
     "op8_token_files": op8_token_files,
     "op10_simhash": op10_simhash,
 }
