@@ -7,6 +7,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .common import fold_of, table
+from .mixing import ORACLE as ORACLE_MIXING
 
 
 def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -42,6 +43,12 @@ def op6_matroska(spark: SparkSession, sf_dir: str) -> DataFrame:
     return stored.select("doc_id", "n_bytes", read_back(F.col("media")).alias("d")).select("doc_id", "n_bytes", "d.*")
 
 
+def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .mixing import mixed
+
+    return mixed(table(spark, sf_dir, "documents", "doc_id", "text", "source")).drop("copies")
+
+
 def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .token_files import token_index
 
@@ -60,8 +67,9 @@ QUERIES = {
     "op2_packing": op2_packing,
     "op3_language": op3_language,
     "op6_matroska": op6_matroska,
+    "op7_mixing": op7_mixing,
     "op8_token_files": op8_token_files,
     "op10_simhash": op10_simhash,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op7_mixing": ORACLE_MIXING}
