@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from .common import fold_of, table
 from .mixing import ORACLE as ORACLE_MIXING
+from .topk import ORACLE as ORACLE_TOPK
 
 
 def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -35,6 +36,13 @@ def op3_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "held_out", "p.lang_pred", "p.score")
 
 
+def op5_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .topk import top_k
+
+    vectors = table(spark, sf_dir, "embeddings", "vec_id", "embedding")
+    return top_k(vectors, vectors.where(F.col("vec_id") % 50 == 0))
+
+
 def op6_matroska(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .matroska import audio, read_back
 
@@ -66,10 +74,11 @@ QUERIES = {
     "op1_toxicity": op1_toxicity,
     "op2_packing": op2_packing,
     "op3_language": op3_language,
+    "op5_topk": op5_topk,
     "op6_matroska": op6_matroska,
     "op7_mixing": op7_mixing,
     "op8_token_files": op8_token_files,
     "op10_simhash": op10_simhash,
 }
 
-ORACLES: dict[str, str] = {"op7_mixing": ORACLE_MIXING}
+ORACLES: dict[str, str] = {"op5_topk": ORACLE_TOPK, "op7_mixing": ORACLE_MIXING}
