@@ -36,6 +36,12 @@ def op3_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", "held_out", "p.lang_pred", "p.score")
 
 
+def op4_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .html_text import extracted
+
+    return extracted(table(spark, sf_dir, "pages", "page_id", "url", "html"))
+
+
 def op5_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .topk import top_k
 
@@ -74,6 +80,7 @@ QUERIES = {
     "op1_toxicity": op1_toxicity,
     "op2_packing": op2_packing,
     "op3_language": op3_language,
+    "op4_html_text": op4_html_text,
     "op5_topk": op5_topk,
     "op6_matroska": op6_matroska,
     "op7_mixing": op7_mixing,
