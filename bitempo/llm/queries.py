@@ -69,6 +69,15 @@ def op8_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_index(table(spark, sf_dir, "documents")).select("doc_id", "start", "n_tokens", "ids_crc32")
 
 
+def op9_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .lm_score import scored, train
+
+    docs = table(spark, sf_dir, "documents", "doc_id", "text")
+    good = table(spark, sf_dir, "labels", "doc_id", "quality").where((F.col("quality") == 1) & (fold_of("doc_id", 3) != 1))
+    found = scored(docs, train(docs, good))
+    return found.withColumn("held_out", fold_of("doc_id", 3) == 1)
+
+
 def op10_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .simhash import hex_digits, near_duplicate_classes
 
@@ -85,6 +94,7 @@ QUERIES = {
     "op6_matroska": op6_matroska,
     "op7_mixing": op7_mixing,
     "op8_token_files": op8_token_files,
+    "op9_lm_score": op9_lm_score,
     "op10_simhash": op10_simhash,
 }
 
