@@ -134,8 +134,8 @@ def place_documents(sizes: DataFrame, sources: DataFrame) -> DataFrame:
     return placed.select("doc_id", "no", "source_size", "target", "size", (F.col("base") + F.col("inner")).alias("start"))
 
 
-def mixed(docs: DataFrame, block: int = BLOCK, shard: int = SHARD, most: int = MOST) -> DataFrame:
-    """(doc_id, size, source_size, target, taken, copies) for every row of ``docs(doc_id, text, source)``.
+def mixed(docs: DataFrame, block: int = BLOCK, shard: int = SHARD, most: int = MOST, keep_source: bool = False) -> DataFrame:
+    """(doc_id, size, source_size, target, taken, copies[, source]) for every row of ``docs(doc_id, text, source)``.
 
     ``taken`` counts the words that the mix takes of a document, ``copies`` how often it takes the document's first word.
     """
@@ -158,7 +158,20 @@ def mixed(docs: DataFrame, block: int = BLOCK, shard: int = SHARD, most: int = M
     )
     found = placed.where("size > 0").join(taken, ["no", "start"], "left").unionByName(placed.where("size = 0").withColumns({"taken": F.lit(None).cast("long"), "copies": F.lit(None).cast("long")}))
     zero = lambda c: F.coalesce(F.col(c), F.lit(0)).cast("long").alias(c)
-    return found.select("doc_id", "size", "source_size", "target", zero("taken"), zero("copies"))
+    found = found.join(sources.select("no", "source"), "no") if keep_source else found
+    return found.select("doc_id", "size", "source_size", "target", zero("taken"), zero("copies"), *(["source"] if keep_source else []))
+
+
+def mixed_documents(docs: DataFrame, block: int = BLOCK, shard: int = SHARD, most: int = MOST) -> DataFrame:
+    """The rows of ``docs`` as often as the mix takes their first word, with all columns.
+
+    Rows that agree in id, source and size share their copies evenly, rounded down.
+    """
+    taken = mixed(docs, block, shard, most, keep_source=True).groupBy("doc_id", "source", "size").agg(F.sum("copies").alias("copies"), F.count(F.lit(1)).alias("rows"))
+    taken = taken.select(F.col("doc_id").alias("its_id"), F.col("source").alias("its_source"), F.col("size").alias("its_size"), F.expr("copies div rows").cast("int").alias("copies")).where("copies > 0")
+    rows = docs.select(F.struct("*").alias("row"), "doc_id", "source", F.coalesce(F.regexp_count("text", F.lit(WORDS)), F.lit(0)).cast("long").alias("size"))
+    same = F.col("doc_id").eqNullSafe(F.col("its_id")) & F.col("source").eqNullSafe(F.col("its_source")) & (F.col("size") == F.col("its_size"))
+    return rows.join(stash(taken, "taken"), same).select("row", F.explode(F.expr("array_repeat(0, copies)"))).select("row.*")
 
 
 #: The same mix in DuckDB SQL.

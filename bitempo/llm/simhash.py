@@ -100,15 +100,31 @@ def fingerprint_links(prints: DataFrame, bits: int = BITS, most: int = MOST) ->
     return near.unionByName(met)
 
 
-def near_duplicate_classes(docs: DataFrame, id_column: str = "doc_id", text_column: str = "text", bits: int = BITS, most: int = MOST) -> DataFrame:
-    """(doc_id, fp, component_id) for every row of ``docs``."""
-    prints = stash(docs.select(F.col(id_column).alias("doc_id"), fingerprint(F.col(text_column)).alias("fp")), "prints")
+def _classes(prints: DataFrame, bits: int, most: int) -> DataFrame:
+    """(fp, component_id, root) for the distinct fingerprints of ``prints(doc_id, fp)``; root names the class by a fingerprint."""
     classes = stash(prints.groupBy("fp").agg(F.min("doc_id").alias("first")), "classes")
     joined = stash(components(fingerprint_links(classes.select("fp"), bits, most)).withColumnRenamed("node", "fp"), "joined")
     least = joined.join(classes, "fp").groupBy("root").agg(F.min("first").alias("component_id"))
-    of_class = joined.join(least, "root").select("fp", "component_id")
-    named = classes.join(of_class, "fp", "left").select("fp", F.coalesce("component_id", "first").alias("component_id"))
-    return prints.join(named, "fp").select("doc_id", "fp", "component_id")
+    of_class = joined.join(least, "root").select("fp", "component_id", "root")
+    return classes.join(of_class, "fp", "left").select("fp", F.coalesce("component_id", "first").alias("component_id"), F.coalesce("root", "fp").alias("root"))
+
+
+def near_duplicate_classes(docs: DataFrame, bits: int = BITS, most: int = MOST) -> DataFrame:
+    """(doc_id, fp, component_id) for every row of ``docs(doc_id, text)``."""
+    prints = stash(docs.select("doc_id", fingerprint(F.col("text")).alias("fp")), "prints")
+    return prints.join(_classes(prints, bits, most), "fp").select("doc_id", "fp", "component_id")
+
+
+def one_of_each_class(docs: DataFrame, bits: int = BITS, most: int = MOST) -> DataFrame:
+    """The rows of ``docs`` that represent their classes, with all columns: least doc_id (null last), then least fingerprint, one row of it."""
+    prints = stash(docs.select("doc_id", fingerprint(F.col("text")).alias("fp")), "prints")
+    by_print = prints.groupBy("fp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id")).alias("first"))
+    named = by_print.join(_classes(prints, bits, most).select("fp", "root"), "fp")
+    kept = named.groupBy("root").agg(F.min(F.struct("first", "fp")).alias("kept")).select(F.col("kept.first.doc_id").alias("kept_id"), F.col("kept.fp").alias("kept_fp"))
+    rows = docs.select(F.struct("*").alias("row"), F.col("doc_id").alias("own_id"))
+    found = rows.join(stash(kept, "kept"), F.col("own_id").eqNullSafe(F.col("kept_id")))
+    found = found.where(fingerprint(F.col("row.text")) == F.col("kept_fp"))
+    return found.dropDuplicates(["own_id", "kept_fp"]).select("row.*")
 
 
 def hex_digits(fp: Column) -> Column:

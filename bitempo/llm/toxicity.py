@@ -29,7 +29,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 #: At most about so many labelled texts of each label are learned from.
-PER_LABEL = {1: 3000, 0: 8000}
+PER_LABEL = {1: 2000, 0: 4000}
 THRESHOLD = 0.7
 _WORD = re.compile(r"\w+")
 _PREFIXES = (4, 5, 6)
@@ -122,11 +122,14 @@ def fit(rows: list[tuple[str, int]], rounds: int = 100, size: int = 24, seed: in
     import random
 
     rows = sorted(set(rows))
-    raw = [_WORD.findall(t) for t, _ in rows]
     toxic = [y for _, y in rows]
     if not 0 < sum(toxic) < len(toxic):
         return Model()
-    lowered = [[w.lower() for w in words] for words in raw]
+    one: dict[str, str] = {}  # equal words are held once
+    raw = [[one.setdefault(w, w) for w in _WORD.findall(t)] for t, _ in rows]
+    del rows
+    small = {w: one.setdefault(w.lower(), w.lower()) for w in list(one)}
+    lowered = [[small[w] for w in words] for words in raw]
     marks = set(telling_features(lowered, toxic))
     windows = _windows(raw, toxic, marks, size, random.Random(seed))
     # features seen on labelled tokens, and those words' other features; the rest share the bias
