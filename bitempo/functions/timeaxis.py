@@ -23,7 +23,7 @@ def micros(ts: Column | str) -> Column:
     ts = _col(ts)
     day = F.datediff(ts.cast("date"), F.lit("1970-01-01").cast("date")).cast("long")
     second = F.date_part(F.lit("SECOND"), ts) * 1_000_000
-    return day * DAY + F.hour(ts) * F.lit(HOUR) + F.minute(ts) * F.lit(MINUTE) + second.cast("long")
+    return day * DAY + F.hour(ts).cast("long") * HOUR + F.minute(ts).cast("long") * MINUTE + second.cast("long")
 
 
 def floor_to(t: Column | str, width: int) -> Column:
