@@ -120,7 +120,8 @@ class Models:
 def train(docs: DataFrame, target: DataFrame) -> Models:
     """Models of ``docs(doc_id, text)``; the target texts are those whose ids ``target(doc_id)`` holds."""
     chosen = target.where(F.col("doc_id").isNotNull()).select("doc_id").distinct().withColumn("is_target", F.lit(True))
-    marked = docs.select("doc_id", "text").join(chosen, "doc_id", "left").select("text", F.coalesce("is_target", F.lit(False)).alias("is_target"))
+    # texts meet their labels in a shuffle at every size: neither side is bounded
+    marked = docs.select("doc_id", "text").join(chosen.hint("merge"), "doc_id", "left").select("text", F.coalesce("is_target", F.lit(False)).alias("is_target"))
     rows = ngram_counts(marked).toPandas()
     tables = np.zeros((2, SIZE))
     at = rows["place"].to_numpy()
