@@ -24,6 +24,7 @@ from .common import stash
 from .components import components
 
 SHINGLE, SEED, BITS, MOST = 3, 42, 2, 16
+NO_ID = -(1 << 63)  # stands for a null id in joins
 _CHUNK = 1 << 15
 
 
@@ -121,8 +122,10 @@ def one_of_each_class(docs: DataFrame, bits: int = BITS, most: int = MOST) -> Da
     by_print = prints.groupBy("fp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id")).alias("first"))
     named = by_print.join(_classes(prints, bits, most).select("fp", "root"), "fp")
     kept = named.groupBy("root").agg(F.min(F.struct("first", "fp")).alias("kept")).select(F.col("kept.first.doc_id").alias("kept_id"), F.col("kept.fp").alias("kept_fp"))
-    rows = docs.select(F.struct("*").alias("row"), F.col("doc_id").alias("own_id"))
-    found = rows.join(stash(kept, "kept"), F.col("own_id").eqNullSafe(F.col("kept_id")))
+    # one exchange of the texts, by id: the aggregate that leaves one row reuses the join's partitioning
+    key = lambda c: F.coalesce(F.col(c), F.lit(NO_ID))
+    rows = docs.select(F.struct("*").alias("row"), key("doc_id").alias("own_id"))
+    found = rows.join(stash(kept.withColumn("own_id", key("kept_id")), "kept").hint("merge"), "own_id").where(F.col("row.doc_id").eqNullSafe(F.col("kept_id")))
     found = found.where(fingerprint(F.col("row.text")) == F.col("kept_fp"))
     return found.dropDuplicates(["own_id", "kept_fp"]).select("row.*")
 
