@@ -171,7 +171,7 @@ def mixed_documents(docs: DataFrame, block: int = BLOCK, shard: int = SHARD, mos
     taken = taken.select(F.col("doc_id").alias("its_id"), F.col("source").alias("its_source"), F.col("size").alias("its_size"), F.expr("copies div rows").cast("int").alias("copies")).where("copies > 0")
     rows = docs.select(F.struct("*").alias("row"), "doc_id", "source", F.coalesce(F.regexp_count("text", F.lit(WORDS)), F.lit(0)).cast("long").alias("size"))
     same = F.col("doc_id").eqNullSafe(F.col("its_id")) & F.col("source").eqNullSafe(F.col("its_source")) & (F.col("size") == F.col("its_size"))
-    return rows.join(stash(taken, "taken"), same).select("row", F.explode(F.expr("array_repeat(0, copies)"))).select("row.*")
+    return rows.join(stash(taken, "taken").hint("merge"), same).select("row", F.explode(F.expr("array_repeat(0, copies)"))).select("row.*")
 
 
 #: The same mix in DuckDB SQL.
