@@ -109,6 +109,8 @@ def _before(df: DataFrame, by: list[str], value: str, name: str) -> DataFrame:
 def mix_slots(counts: DataFrame, sources: DataFrame, most: int = MOST) -> DataFrame:
     """(shard, no, epoch, place): the slots of every shard with the place in the source's permutation that fills them."""
     numbered = _before(counts, ["no", "shard"], "slots", "first").join(sources.select("no", "blocks"), "no")
+    # a source's shards are dealt out before its slots are made, so that no task makes all slots of a source
+    numbered = numbered.repartition("no", "shard")
     slots = numbered.select("shard", "no", "blocks", F.explode(F.expr("sequence(first, first + slots - 1)")).alias("j"))
     return slots.select("shard", "no", F.expr("j div blocks").alias("epoch"), F.expr("j % blocks").alias("place")).where(F.col("epoch") < most)
 
