@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from .baselines.latest import LatestPattern, LatestTwoHop
 from .baselines.retrieval import ChunkRetrieval
+from .claims.verifier import Answer, Claim
 from .eval.harness import System, ablations, planner_sweep, run_baseline, run_suite
 from .eval.mutations import CLASSES, false_positives, mutation_report, ordering_answers
 from .eval.scoring import support_report
@@ -14,6 +15,7 @@ from .eval.tasks import make_planted_tasks, make_probe_pairs, make_tasks
 from .functions.timeaxis import DAY
 from .operators.resolve import user_ids
 from .plans.executor import execute_plan
+from .plans.ir import Plan, ref
 from .plans.store import Store
 from .agents.clients import ScriptedReporter
 from .sources import corpora
@@ -93,7 +95,7 @@ def planted_study(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _frame(spark, run_suite(tasks, store, System()), SCORES)
 
 
-def fault_study(spark: SparkSession, sf_dir: str, per_template: int = 2, pairs: int = 8) -> DataFrame:
+def fault_study(spark: SparkSession, sf_dir: str, per_template: int = 1, pairs: int = 6) -> DataFrame:
     """(class, cases, detected, without): mutations of right answers and how many the checks see, also without taint."""
     store = message_store(spark, sf_dir)
     memo: dict = {}
@@ -104,6 +106,14 @@ def fault_study(spark: SparkSession, sf_dir: str, per_template: int = 2, pairs:
         pool.append((ScriptedReporter().report(t, done), done))
         if t.template in ("a02",) and (extra := ordering_answers(done, "s1")):
             pool.append((extra, done))
+    for u in sorted({int(t.needs["u"]) for t in tasks})[: 2 * per_template]:
+        # a count over an earlier step's page: the kind that a cut page makes wrong
+        counted = Plan.parse({
+            "steps": [{"id": "s1", "op": "earliest_arrival", "args": {"sources": [u], "t_from": T0, "t_to": T0 + 5 * DAY, "limit": 1000}}, {"id": "s2", "op": "compute", "args": {"fn": "count", "input": ref("s1.rows[*]")}}],
+            "answer": {"from": "s2", "field": "rows[0].value", "kind": "count"},
+        })
+        done = execute_plan(counted, store, memo=memo)
+        pool.append((Answer("count", done.answer, [Claim("count", done.answer, ("s2",), "rows[0].value", "s2")]), done))
     others = {str(r[0]) for r in store.edges.select("src").distinct().limit(2000).collect()}
     on, off = mutation_report(pool, store, repeats=2, others=others), mutation_report(pool, store, classes=("truncated_count",), repeats=2, mechanism=False)
     rows = [{"class": c, "cases": on[c][0], "detected": on[c][1], "without": off.get(c, (0, None))[1]} for c in CLASSES]
