@@ -25,7 +25,7 @@ from pyspark.sql import functions as F
 from .common import stash
 
 WORDS = r"[^\x20\x09-\x0D]+"
-BLOCK, SHARD, MOST, CELLS, SEED = 64, 1 << 16, 3, 64, "mix-1"
+BLOCK, SHARD, MOST, CELLS, SALTS, SEED = 64, 1 << 16, 3, 64, 64, "mix-1"
 
 
 def keyed(*parts: str | Column, seed: str = SEED) -> Column:
@@ -117,7 +117,9 @@ def mix_slots(counts: DataFrame, sources: DataFrame, most: int = MOST) -> DataFr
 
 def permuted_blocks(blocks: DataFrame, used: DataFrame) -> DataFrame:
     """(no, epoch, place, block): a permutation of each source's ``blocks(no, block)`` for each epoch that ``used(no, epochs)`` needs."""
-    keyed_blocks = blocks.join(used, "no").select("no", "block", F.explode(F.expr("sequence(0L, epochs - 1)")).alias("epoch"))
+    # one source may hold a third of all blocks, so the join is salted by block
+    salted = used.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
+    keyed_blocks = blocks.withColumn("salt", F.col("block") % SALTS).join(salted, ["no", "salt"]).select("no", "block", F.explode(F.expr("sequence(0L, epochs - 1)")).alias("epoch"))
     keyed_blocks = keyed_blocks.withColumn("key", keyed("no", "epoch", "block")).withColumn("part", _range_of(F.col("key")))
     sizes = keyed_blocks.groupBy("no", "epoch", "part").agg(F.count(F.lit(1)).alias("n"))
     starts = _before(sizes, ["no", "epoch", "part"], "n", "start").select("no", "epoch", "part", "start")
