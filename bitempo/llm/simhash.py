@@ -122,12 +122,12 @@ def one_of_each_class(docs: DataFrame, bits: int = BITS, most: int = MOST) -> Da
     by_print = prints.groupBy("fp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id")).alias("first"))
     named = by_print.join(_classes(prints, bits, most).select("fp", "root"), "fp")
     kept = named.groupBy("root").agg(F.min(F.struct("first", "fp")).alias("kept")).select(F.col("kept.first.doc_id").alias("kept_id"), F.col("kept.fp").alias("kept_fp"))
-    # one exchange of the texts, by id: the aggregate that leaves one row reuses the join's partitioning
+    # one exchange of the texts: the aggregate that leaves one row keeps to the join's own keys
     key = lambda c: F.coalesce(F.col(c), F.lit(NO_ID))
-    rows = docs.select(F.struct("*").alias("row"), key("doc_id").alias("own_id"))
-    found = rows.join(stash(kept.withColumn("own_id", key("kept_id")), "kept").hint("merge"), "own_id").where(F.col("row.doc_id").eqNullSafe(F.col("kept_id")))
-    found = found.where(fingerprint(F.col("row.text")) == F.col("kept_fp"))
-    return found.dropDuplicates(["own_id", "kept_fp"]).select("row.*")
+    rows = docs.select(F.struct("*").alias("row"), key("doc_id").alias("own_id"), fingerprint(F.col("text")).alias("own_fp"))
+    chosen = stash(kept.withColumn("kept_key", key("kept_id")), "kept").hint("merge")
+    found = rows.join(chosen, (F.col("own_id") == F.col("kept_key")) & (F.col("own_fp") == F.col("kept_fp"))).where(F.col("row.doc_id").eqNullSafe(F.col("kept_id")))
+    return found.dropDuplicates(["kept_key", "kept_fp"]).select("row.*")
 
 
 def hex_digits(fp: Column) -> Column:
