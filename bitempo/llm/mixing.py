@@ -154,13 +154,14 @@ def mixed(docs: DataFrame, block: int = BLOCK, shard: int = SHARD, most: int = M
     used = counts.groupBy("no").agg(F.sum("slots").alias("n")).join(sources.select("no", "blocks"), "no")
     used = used.select("no", F.expr(f"least({most}L, (n - 1) div blocks + 1)").alias("epochs"))
     begun = parts.where(F.col("block") * block >= F.col("start")).select("no", "block")
-    times = slots.join(permuted_blocks(begun, used), ["no", "epoch", "place"]).groupBy("no", "block").agg(F.count(F.lit(1)).alias("times"))
+    # sizes of exploded rows are unknown to the planner, which would broadcast them: these joins are by shuffle
+    times = slots.join(permuted_blocks(begun, used).hint("merge"), ["no", "epoch", "place"]).groupBy("no", "block").agg(F.count(F.lit(1)).alias("times"))
     taken = (
-        parts.join(times, ["no", "block"])
+        parts.join(times.hint("merge"), ["no", "block"])
         .groupBy("no", "start")
         .agg(F.sum(F.col("words") * F.col("times")).alias("taken"), F.max(F.when(F.expr(f"block = start div {block}"), F.col("times"))).alias("copies"))
     )
-    found = placed.where("size > 0").join(taken, ["no", "start"], "left").unionByName(placed.where("size = 0").withColumns({"taken": F.lit(None).cast("long"), "copies": F.lit(None).cast("long")}))
+    found = placed.where("size > 0").join(taken.hint("merge"), ["no", "start"], "left").unionByName(placed.where("size = 0").withColumns({"taken": F.lit(None).cast("long"), "copies": F.lit(None).cast("long")}))
     zero = lambda c: F.coalesce(F.col(c), F.lit(0)).cast("long").alias(c)
     found = found.join(sources.select("no", "source"), "no") if keep_source else found
     return found.select("doc_id", "size", "source_size", "target", zero("taken"), zero("copies"), *(["source"] if keep_source else []))
