@@ -24,7 +24,7 @@ from .common import stash
 from .components import components
 
 SHINGLE, SEED, BITS, MOST = 3, 42, 2, 16
-NO_ID = -(1 << 63)  # stands for a null id in joins
+NO_ID = -(1 << 63)  # stands for a null id in joins; no document has it
 _CHUNK = 1 << 15
 
 
@@ -122,11 +122,12 @@ def one_of_each_class(docs: DataFrame, bits: int = BITS, most: int = MOST) -> Da
     by_print = prints.groupBy("fp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id")).alias("first"))
     named = by_print.join(_classes(prints, bits, most).select("fp", "root"), "fp")
     kept = named.groupBy("root").agg(F.min(F.struct("first", "fp")).alias("kept")).select(F.col("kept.first.doc_id").alias("kept_id"), F.col("kept.fp").alias("kept_fp"))
-    # one exchange of the texts: the aggregate that leaves one row keeps to the join's own keys
+    # one exchange of the texts: the aggregate that leaves one row keeps to the join's own keys, which are never null
     key = lambda c: F.coalesce(F.col(c), F.lit(NO_ID))
-    rows = docs.select(F.struct("*").alias("row"), key("doc_id").alias("own_id"), fingerprint(F.col("text")).alias("own_fp"))
-    chosen = stash(kept.withColumn("kept_key", key("kept_id")), "kept").hint("merge")
-    found = rows.join(chosen, (F.col("own_id") == F.col("kept_key")) & (F.col("own_fp") == F.col("kept_fp"))).where(F.col("row.doc_id").eqNullSafe(F.col("kept_id")))
+    rows = docs.select(F.struct("*").alias("row"), key("doc_id").alias("own_id"), F.coalesce(fingerprint(F.col("text")), F.lit(0)).alias("own_fp"))
+    chosen = stash(kept.select(key("kept_id").alias("kept_key"), F.coalesce("kept_fp", F.lit(0)).alias("kept_fp")), "kept")
+    chosen = chosen.select(key("kept_key").alias("kept_key"), F.coalesce("kept_fp", F.lit(0)).alias("kept_fp")).hint("merge")
+    found = rows.join(chosen, (F.col("own_id") == F.col("kept_key")) & (F.col("own_fp") == F.col("kept_fp")))
     return found.dropDuplicates(["kept_key", "kept_fp"]).select("row.*")
 
 
