@@ -104,7 +104,9 @@ def train(docs: DataFrame, top: int = TOP, per_language: int = PER_LANGUAGE) ->
                 for at, n in zip(numbers.tolist(), counts.tolist()):
                     total[counter.grams[at]] += n
         for lang, total in held.items():
-            yield pd.DataFrame({"lang": lang, "gram": list(total), "n": list(total.values())})
+            if not total:
+                continue
+            yield pd.DataFrame({"lang": [lang] * len(total), "gram": list(total), "n": list(total.values())})
 
     counts = sample.mapInPandas(count, "lang string, gram string, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n"))
     # top n-grams of each language, gathered in an aggregate of bounded size

@@ -11,7 +11,7 @@ blocks stop sooner. Queries go in groups of bounded number, and only such a grou
 
 Cases: vectors that are null, or hold a null or non-finite component, take no part; shorter vectors count as padded by zeros; ties
 go to the lesser id; a query with fewer candidates has fewer results; rows with a query's own id are not its candidates; repeated
-rows are separate candidates; rows with null ids take no part; an empty table gives an empty one; other columns are ignored.
+rows are separate candidates; scores must fit a long and are exact whatever the components; rows with null ids take no part; an empty table gives an empty one; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -46,11 +46,20 @@ def exact_kind(a: np.ndarray, b: np.ndarray) -> type:
     return np.float32 if most < 1 << 24 else np.float64 if most < 1 << 53 else object
 
 
+def as_kind(a: np.ndarray, kind: type) -> np.ndarray:
+    """The same whole numbers in another type; as objects they are Python's own, of any size."""
+    if kind is not object:
+        return a.astype(kind)
+    out = np.empty(a.shape, object)
+    out[...] = [[int(v) for v in row] for row in a]
+    return out
+
+
 class SortedLists:
     """The sorted lists of one block of candidates."""
 
     def __init__(self, vectors: np.ndarray, kind: type):
-        self.x = vectors.astype(kind)
+        self.x = as_kind(vectors, kind)
         self.n = len(vectors)
         self.sorted = np.sort(self.x, axis=0)
         self.rank = np.empty(vectors.shape, np.int32)
@@ -73,7 +82,7 @@ def block_top_k(lists: SortedLists, ids: np.ndarray, queries: np.ndarray, query_
     ``floor`` is the k-th score that each query has elsewhere already (-inf if none).
     """
     x = lists.x
-    queries = queries.astype(x.dtype)
+    queries = as_kind(queries, object if x.dtype == object else x.dtype.type)
     up, down = np.maximum(queries, 0), np.minimum(queries, 0)
     open_queries = np.arange(len(queries))
     out: list[tuple[np.ndarray, np.ndarray]] = []
@@ -84,7 +93,8 @@ def block_top_k(lists: SortedLists, ids: np.ndarray, queries: np.ndarray, query_
         lower[own], upper[own] = -np.inf, -np.inf
         least = floor[open_queries]
         if lists.n >= k:
-            least = np.maximum(least, np.partition(lower, lists.n - k, axis=1)[:, lists.n - k])
+            best = np.sort(lower, axis=1) if lower.dtype == object else np.partition(lower, lists.n - k, axis=1)
+            least = np.maximum(least, best[:, lists.n - k])
         alive = (upper >= least[:, None]) & ~own
         done = (alive.sum(axis=1) <= max(FEW, k)) | (depth >= lists.n)
         q, c = np.nonzero(alive[done])
@@ -110,13 +120,18 @@ class Best:
 
     def add(self, at: np.ndarray, ids: np.ndarray, scores: np.ndarray) -> None:
         at, ids, scores = (np.concatenate(x) for x in zip(self.rows, (at, ids, scores)))
-        order = np.lexsort((ids, -scores.astype(np.float64) if scores.dtype != object else np.array([-s for s in scores], float), at))
+        if scores.dtype == object:
+            order = np.array(sorted(range(len(at)), key=lambda i: (at[i], -scores[i], ids[i])), int)
+        else:
+            order = np.lexsort((ids, -scores, at))
         at, ids, scores = at[order], ids[order], scores[order]
         first = np.searchsorted(at, at)
         place = np.arange(len(at)) - first
         keep = place < self.k
         last = place == self.k - 1
-        self.floor[at[last]] = scores[last].astype(np.float64)
+        floor = scores[last].astype(np.float64)
+        # rounding must not lift a floor above its score
+        self.floor[at[last]] = np.nextafter(floor, -np.inf) if scores.dtype == object else floor
         self.rows = (at[keep], ids[keep], scores[keep])
 
 
