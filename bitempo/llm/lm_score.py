@@ -61,6 +61,15 @@ def _pack(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
     return places, spans
 
 
+def counted_places(places: np.ndarray, spans: np.ndarray) -> np.ndarray:
+    """Places to count of a pack: all n-grams that end in a text, and the contexts of 1 to 3 paddings before it."""
+    edges = np.zeros(places.shape[1] + 1, np.int32)
+    np.add.at(edges, spans[:, 0], 1)
+    np.add.at(edges, spans[:, 1], -1)
+    inside = np.cumsum(edges[:-1]) > 0
+    return np.concatenate([places[:, inside].ravel(), places[:3, spans[:, 0] - 1].ravel()])
+
+
 def ngram_counts(docs: DataFrame) -> DataFrame:
     """(place, background, target) over all ``docs(text, is_target)``; at most ``SIZE`` rows."""
 
@@ -68,8 +77,8 @@ def ngram_counts(docs: DataFrame) -> DataFrame:
         totals = np.zeros((2, SIZE), np.int64)
         for batch in batches:
             for aim in (False, True):
-                for places, _ in packs(batch["text"][batch["is_target"] == aim].tolist()):
-                    totals[int(aim)] += np.bincount(places.ravel(), minlength=SIZE)
+                for places, spans in packs(batch["text"][batch["is_target"] == aim].tolist()):
+                    totals[int(aim)] += np.bincount(counted_places(places, spans), minlength=SIZE)
         totals[0] += totals[1]
         at = np.flatnonzero(totals[0])
         for s in range(0, len(at), 100_000):

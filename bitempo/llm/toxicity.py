@@ -2,7 +2,7 @@
 
 Two states, clean and toxic. A word's emission weighs its features: the word, its first four to six letters, and whether it
 is in capitals. Forward-backward gives the probability of each word being toxic; runs of probable words are spans with their
-character offsets; a document's score joins the marginals of its span words, or is its greatest marginal if it has no span.
+character offsets; a document's score is a logistic function of its evidence, which joins the marginals of all words that have a feature.
 
 Labels are of documents, so the field learns from token labels derived from them: words of toxic training texts are labelled if they show
 a feature that toxic texts have in many contexts and clean ones hardly ever.
@@ -10,7 +10,7 @@ a feature that toxic texts have in many contexts and clean ones hardly ever.
 Most words have no feature of any weight. Between the words that do, the chain's steps are all alike, so a run of them is
 applied as a power of one 2 x 2 matrix: the exact marginals at a cost that follows the words that matter.
 
-Cases: null, empty and word-less texts score as a chain without words; repeated rows get equal results; texts of
+Cases: null, empty and word-less texts have no evidence and the least score; repeated rows get equal results; texts of
 any length are read whole; with no labelled row, or labels of one kind alone, every text scores 0. The training sample is bounded by
 ``PER_LABEL`` labelled texts, chosen by a hash of the id; other columns are ignored.
 """
@@ -31,6 +31,7 @@ from pyspark.sql import functions as F
 #: At most about so many labelled texts of each label are learned from.
 PER_LABEL = {1: 2000, 0: 4000}
 THRESHOLD = 0.7
+EPSILON = 1e-3  # evidence below it counts as hardly any
 _WORD = re.compile(r"\w+")
 _PREFIXES = (4, 5, 6)
 
@@ -40,12 +41,12 @@ def features(word: str) -> list[str]:
     return ["w=" + word, *[f"p{n}={word[:n]}" for n in _PREFIXES if len(word) >= n]]
 
 
-def telling_features(texts: list[list[str]], toxic: list[int], least: int = 3, purity: float = 0.98, doubt: float = 0.01) -> list[str]:
+def telling_features(texts: list[list[str]], toxic: list[int], least: int = 3, purity: float = 0.75, doubt: float = 0.01) -> list[str]:
     """Features that mark toxic texts.
 
     A feature's evidence is the number of toxic texts that show it, or of its different neighbours there if that is less, so
     that copies of one text or passage count once. Taken are features whose evidence would hardly arise among
-    all candidates if toxic texts were any texts, and those that best cover toxic texts which the others leave bare.
+    all candidates if toxic texts were any texts.
     """
     count_toxic: Counter[str] = Counter()
     for words, y in zip(texts, toxic):
@@ -59,32 +60,24 @@ def telling_features(texts: list[list[str]], toxic: list[int], least: int = 3, p
     bad = sum(toxic)
     ratio = (len(toxic) - bad) / max(1, bad)
     pure = {f for f, n in count_toxic.items() if n * ratio >= purity * (n * ratio + count_clean[f])}
-    held: list[set[str]] = []
     near: dict[str, set[tuple[str, str]]] = defaultdict(set)
     for words, y in zip(texts, toxic):
         if not y:
             continue
-        found = set()
         for i, w in enumerate(words):
             for f in features(w):
                 if f in pure:
-                    found.add(f)
                     near[f].add((words[i - 1] if i else "", words[i + 1] if i + 1 < len(words) else ""))
-        held.append(found)
     evidence = {f: min(count_toxic[f], len(near[f])) for f in pure}
-    needed = math.log(doubt / max(1, len(count_toxic))) / math.log(min(0.9, bad / len(toxic)))
-    chosen = {f for f, n in evidence.items() if n >= max(least, needed)}
-    bare = [found for found in held if not found & chosen]
-    open_counts = Counter(f for found in bare for f in found if evidence[f] >= least)
-    while open_counts:
-        best = max(open_counts, key=lambda f: (open_counts[f], evidence[f], f))
-        if open_counts[best] < least:
-            break
-        chosen.add(best)
-        for found in [x for x in bare if best in x]:
-            open_counts.subtract(f for f in found if f in open_counts)
-        bare = [found for found in bare if best not in found]
-    return sorted(chosen)
+    share, needed = min(0.9, bad / len(toxic)), math.log(max(1, len(count_toxic)) / doubt)
+
+    def surprise(f: str) -> float:
+        """How unlikely the feature's evidence is among texts of the common share of toxic ones (n times the divergence)."""
+        n1, n0 = evidence[f], count_clean[f]
+        q = n1 / (n1 + n0)
+        return n1 * math.log(q / share) + (n0 * math.log((1 - q) / (1 - share)) if n0 else 0.0) if q > share else 0.0
+
+    return sorted(f for f, n in evidence.items() if n >= least and surprise(f) >= needed)
 
 
 @dataclass
@@ -96,6 +89,7 @@ class Model:
     moves: tuple[tuple[float, float], tuple[float, float]] = ((0.0, 0.0), (0.0, 0.0))
     start: float = 0.0
     capitals: float = 0.0
+    scale: tuple[float, float] = (1.0, 0.0)  # slope and offset from the log of a document's evidence to its log odds
 
     def emission(self, word: str) -> float:
         """Log weight of the toxic over the clean state for a lower-cased word."""
@@ -127,7 +121,7 @@ def fit(rows: list[tuple[str, int]], rounds: int = 100, size: int = 24, seed: in
         return Model()
     one: dict[str, str] = {}  # equal words are held once
     raw = [[one.setdefault(w, w) for w in _WORD.findall(t)] for t, _ in rows]
-    del rows
+    kept_texts = [t for t, _ in rows]
     small = {w: one.setdefault(w.lower(), w.lower()) for w in list(one)}
     lowered = [[small[w] for w in words] for words in raw]
     marks = set(telling_features(lowered, toxic))
@@ -166,7 +160,21 @@ def fit(rows: list[tuple[str, int]], rounds: int = 100, size: int = 24, seed: in
         theta += 0.3 * (first / (1 - 0.9**step)) / (np.sqrt(second / (1 - 0.99**step)) + 1e-6)
     weights = {f: float(theta[i]) for f, i in number.items() if abs(theta[i]) > 1e-3}
     m = theta[-4:].reshape(2, 2)
-    return Model(weights, float(theta[-6]), ((float(m[0, 0]), float(m[0, 1])), (float(m[1, 0]), float(m[1, 1]))), 0.0, float(theta[-5]))
+    model = Model(weights, float(theta[-6]), ((float(m[0, 0]), float(m[0, 1])), (float(m[1, 0]), float(m[1, 1]))), 0.0, float(theta[-5]))
+    tagger = Tagger(model)
+    model.scale = _calibrated([tagger.evidence(t)[0] for t in kept_texts], toxic)
+    return model
+
+
+def _calibrated(evidence: list[float], toxic: list[int], rounds: int = 60) -> tuple[float, float]:
+    """Slope and offset of a logistic curve over the log of the evidence, by Newton's method with a mild prior."""
+    x = np.stack([np.log(np.array(evidence) + EPSILON), np.ones(len(evidence))], axis=1)
+    y, w, prior = np.array(toxic, float), np.array([1.0, 0.0]), np.diag([0.5, 0.05])
+    for _ in range(rounds):
+        p = 1 / (1 + np.exp(-np.clip(x @ w, -30, 30)))
+        step = np.linalg.solve((x * (p * (1 - p))[:, None]).T @ x + prior, x.T @ (y - p) - prior @ w)
+        w = w + np.clip(step, -1, 1)
+    return float(max(w[0], 0.05)), float(w[1])
 
 
 def _forward_backward(emit: np.ndarray, live: np.ndarray, moves: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -204,7 +212,6 @@ class Tagger:
         self.powers = [self._scaled(self.one)]
         while len(self.powers) < 40:
             self.powers.append(self._scaled(self.powers[-1] @ self.powers[-1]))
-        self.quiet: dict[int, float] = {}
 
     @staticmethod
     def _scaled(m: np.ndarray) -> np.ndarray:
@@ -245,29 +252,23 @@ class Tagger:
                 out.add(w)
         return out
 
-    def _quiet_score(self, n: int) -> float:
-        """Greatest marginal of a chain of ``n`` words without features."""
-        n = min(n, 512)
-        if n not in self.quiet:
-            if n == 0:
-                self.quiet[n] = 0.0
-            else:
-                ahead = self._scaled(self.plain)
-                ends = self._run_back(np.array([0.5, 0.5]), n - 1)
-                p = ahead * ends
-                q = self._run(ahead, n - 1)
-                self.quiet[n] = float(max(p[1] / p.sum(), q[1] / q.sum()))
-        return self.quiet[n]
-
     def tag(self, text: str | None, spans: bool = True) -> tuple[float, list[tuple[int, int, float]]]:
         """Score of the document, and its spans (start, end, probability) in characters."""
+        if not self.model.weights:
+            return 0.0, []
+        evidence, found = self.evidence(text)
+        slope, offset = self.model.scale
+        return 1 / (1 + math.exp(-max(-40.0, min(40.0, slope * math.log(evidence + EPSILON) + offset)))), found if spans else []
+
+    def evidence(self, text: str | None) -> tuple[float, list[tuple[int, int, float]]]:
+        """Evidence that some word is toxic, -log of the chance that none is by the marginals of the words that matter; and the spans."""
         if not text or not self.model.weights:
             return 0.0, []
         lowered = text.lower()
         words = _WORD.findall(lowered)
         hot = self._matters(set(words))
         if not hot:
-            return self._quiet_score(len(words)), []
+            return 0.0, []
         raw = list(_WORD.finditer(text))
         if len(raw) != len(words):  # lower-casing changed the length of a word's marks
             words = [m.group().lower() for m in raw]
@@ -296,18 +297,17 @@ class Tagger:
                 column = self.step @ (local[k] * column)
                 column = self._run_back(column / column.sum(), at[k] - at[k - 1] - 1)
         found: list[list] = []
-        miss, end = 1.0, None
+        total, end = 0.0, None
         for i, p in zip(at, marginals):
+            total -= math.log(max(1 - p, 1e-12))
             if p >= 0.5:
-                miss *= 1 - p
                 m = raw[i]
                 if found and end == i - 1:
                     found[-1][1], found[-1][2] = m.end(), max(found[-1][2], p)
                 else:
                     found.append([m.start(), m.end(), p])
                 end = i
-        score = 1 - miss if found else max(marginals)
-        return min(1.0, max(0.0, score)), [tuple(s) for s in found] if spans else []
+        return total, [tuple(s) for s in found]
 
 
 def training_sample(docs: DataFrame, labels: DataFrame, per_label: dict[int, int] = PER_LABEL) -> list[tuple[str, int]]:

@@ -100,14 +100,10 @@ def test_collapsed_marginals_equal_full_forward_backward(model):
     for _ in range(60):
         words = [rnd.choice(("tree", "badword", "NASTIER", "waters", "blue", "x")) if rnd.random() < 0.3 else "stone" for _ in range(rnd.randrange(1, 60))]
         p = brute_marginals(model, words)
-        score, spans = tagger.tag(" ".join(words))
-        hot = [x for x in p if x >= 0.5]
-        wanted = 1 - np.prod([1 - x for x in hot]) if hot else None
-        if wanted is not None:
-            assert abs(score - wanted) < 1e-9
-            assert len(spans) == sum(x >= 0.5 and (i == 0 or p[i - 1] < 0.5) for i, x in enumerate(p))
-        else:
-            assert score < 0.5 and score <= max(p) + 1e-9
+        evidence, spans = tagger.evidence(" ".join(words))
+        wanted = -sum(np.log(1 - x) for w, x in zip(words, p) if any(f in model.weights for f in toxicity.features(w.lower())))
+        assert abs(evidence - wanted) < 1e-6 * max(1, wanted)
+        assert len(spans) == sum(x >= 0.5 and (i == 0 or p[i - 1] < 0.5) for i, x in enumerate(p))
 
 
 def test_spans_are_offsets_of_the_words(model):
@@ -142,8 +138,8 @@ def test_toxicity_held_out(spark):
 def brute_counts(texts):
     out = np.zeros(lm_score.SIZE, np.int64)
     for t in texts:
-        for places, _ in lm_score.packs([t]):
-            np.add.at(out, places.ravel(), 1)
+        for places, spans in lm_score.packs([t]):
+            np.add.at(out, lm_score.counted_places(places, spans), 1)
     return out
 
 
