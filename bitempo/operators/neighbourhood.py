@@ -6,25 +6,55 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 
+#: A frontier of at most so many nodes is read to the driver and sent with the scan; a larger one stays distributed.
+SMALL_FRONTIER, LITERALS = 10_000, 200
+
+
 def both_ways(edges: DataFrame, direction: str) -> DataFrame:
     out = edges.select(F.col("src").alias("node"), F.col("dst").alias("next"))
     back = edges.select(F.col("dst").alias("node"), F.col("src").alias("next"))
-    return {"out": out, "in": back, "both": out.unionByName(back)}[direction].distinct()
+    return {"out": out, "in": back, "both": out.unionByName(back)}[direction]
+
+
+def _bounded(nodes: DataFrame) -> list[int] | None:
+    """The nodes, or None if there are more than a small frontier has."""
+    rows = [r[0] for r in nodes.select("node").distinct().limit(SMALL_FRONTIER + 1).collect()]
+    return rows if len(rows) <= SMALL_FRONTIER else None
+
+
+def _next_of(links: DataFrame, frontier: DataFrame, known: list[int] | None) -> DataFrame:
+    if known is not None and len(known) <= LITERALS:
+        return links.where(F.col("node").isin(known)).select(F.col("next").alias("node")).distinct()
+    side = frontier if known is None else F.broadcast(links.sparkSession.createDataFrame([(n,) for n in known], "node long"))
+    return links.join(side, "node").select(F.col("next").alias("node")).distinct()
 
 
 def khop_neighbourhood(edges: DataFrame, seeds: DataFrame, k: int, direction: str = "out") -> DataFrame:
     """(node, hop) within ``k`` <= 3 hops of ``seeds(node)``, each at its least hop.
 
-    One plan: a frontier join and an anti join against what was visited for each hop; the edges are reduced to distinct links once.
+    Each hop is one scan of the edges. While the frontier is small, which is checked, the scan filters by it and no edge is shuffled;
+    a large frontier is joined and what was visited is taken off by an anti join.
     """
     if not 1 <= k <= 3:
         raise ValueError("k must be 1, 2 or 3")
     links = both_ways(edges, direction)
-    visited = seeds.select("node").distinct().withColumn("hop", F.lit(0))
-    frontier = visited.select("node")
+    frontier = seeds.select("node").distinct()
+    known = _bounded(frontier)
+    seen: list[int] | None = known
+    visited = frontier.withColumn("hop", F.lit(0))
     for hop in range(1, k + 1):
-        reached = frontier.join(links, "node").select(F.col("next").alias("node")).distinct()
-        frontier = reached.join(visited.select("node"), "node", "left_anti")
+        reached = _next_of(links, frontier, known)
+        if seen is not None and len(seen) <= LITERALS:
+            frontier = reached.where(~F.col("node").isin(seen)) if seen else reached
+        else:
+            frontier = reached.join(visited.select("node"), "node", "left_anti")
+        if hop < k:
+            known = _bounded(frontier)
+            if known is not None:
+                frontier = edges.sparkSession.createDataFrame([(n,) for n in known], "node long")
+                seen = seen + known if seen is not None else None
+            else:
+                seen = None
         visited = visited.unionByName(frontier.withColumn("hop", F.lit(hop)))
     return visited
 

@@ -12,25 +12,27 @@ from ..functions.timeaxis import floor_to
 def metric_series(edges: DataFrame, t_from: int, t_to: int, width: int) -> DataFrame:
     """(bucket, nodes, edges, deg_mean, deg_max, reciprocity) of [t_from, t_to), empty buckets as zeros.
 
-    Reciprocity is the share of distinct ordered pairs whose reverse is in the same bucket. Edges are reduced to pairs
-    of a bucket first, map-side, and everything else is found from those.
+    Reciprocity is the share of distinct ordered pairs whose reverse is in the same bucket. Edges are reduced to links of a
+    bucket first, map-side; links give the degrees; links, degrees and the frame of empty buckets meet in one aggregate without a join.
     """
     inside = edges.where((F.col("t") >= t_from) & (F.col("t") < t_to) & (F.col("src") != F.col("dst")))
     bucket = (F.lit(t_from) + floor_to(F.col("t") - t_from, width)).alias("bucket")
-    pairs = inside.groupBy(bucket, "src", "dst").agg(F.count(F.lit(1)).alias("n"))
-    # both directions of a pair meet in one row
-    low, high = F.least("src", "dst"), F.greatest("src", "dst")
-    links = pairs.groupBy("bucket", low.alias("a"), high.alias("b")).agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("ways"))
-    degrees = links.select("bucket", F.explode(F.array("a", "b")).alias("node"), "n").groupBy("bucket", "node").agg(F.sum("n").alias("degree"))
-    by_node = degrees.groupBy("bucket").agg(F.count(F.lit(1)).alias("nodes"), F.sum("degree").alias("ends"), F.max("degree").alias("deg_max"))
-    by_link = links.groupBy("bucket").agg(F.sum("n").alias("edges"), F.sum("ways").alias("pairs"), F.sum(F.when(F.col("ways") == 2, 2).otherwise(0)).alias("mutual"))
-    stats = by_node.join(by_link, "bucket")
-    frame = edges.sparkSession.range(0, -(-(t_to - t_from) // width)).select((F.lit(t_from) + F.col("id") * width).alias("bucket"))
+    up = F.col("src") < F.col("dst")
+    links = inside.groupBy(bucket, F.least("src", "dst").alias("a"), F.greatest("src", "dst").alias("b")).agg(F.count(F.when(up, 1)).alias("ups"), F.count(F.when(~up, 1)).alias("downs"))
+    links = links.select("bucket", "a", "b", (F.col("ups") + F.col("downs")).alias("n"), ((F.col("ups") > 0).cast("long") + (F.col("downs") > 0).cast("long")).alias("ways"))
+    # one row for each end of a link; the link's own figures go with its first end
+    first = F.col("i") == 0
+    ends = links.select("bucket", "n", "ways", F.posexplode(F.array("a", "b")).alias("i", "node"))
+    degrees = ends.groupBy("bucket", "node").agg(F.sum("n").alias("degree"), F.sum(F.when(first, F.col("n"))).alias("edges"), F.sum(F.when(first, F.col("ways"))).alias("pairs"), F.sum(F.when(first & (F.col("ways") == 2), 2)).alias("mutual"))
+    none = [F.lit(None).cast("long").alias(c) for c in ("degree", "edges", "pairs", "mutual")]
+    frame = edges.sparkSession.range(0, -(-(t_to - t_from) // width)).select((F.lit(t_from) + F.col("id") * width).alias("bucket"), *none)
+    stats = degrees.drop("node").unionByName(frame).groupBy("bucket").agg(
+        F.count("degree").alias("nodes"), F.sum("degree").alias("ends"), F.max("degree").alias("deg_max"), F.sum("edges").alias("edges"), F.sum("pairs").alias("pairs"), F.sum("mutual").alias("mutual")
+    )
     zero = lambda c: F.coalesce(F.col(c), F.lit(0)).cast("long").alias(c)
-    return frame.join(stats, "bucket", "left").select(
-        "bucket", zero("nodes"), zero("edges"),
-        F.coalesce(canon_float(F.col("ends") / F.col("nodes")), F.lit(0.0)).alias("deg_mean"), zero("deg_max"),
-        F.coalesce(canon_float(F.col("mutual") / F.col("pairs")), F.lit(0.0)).alias("reciprocity"),
+    return stats.select(
+        "bucket", zero("nodes"), zero("edges"), F.when(F.col("nodes") > 0, canon_float(F.col("ends") / F.col("nodes"))).otherwise(0.0).alias("deg_mean"), zero("deg_max"),
+        F.when(F.col("pairs") > 0, canon_float(F.coalesce("mutual", F.lit(0)) / F.col("pairs"))).otherwise(0.0).alias("reciprocity"),
     )
 
 
