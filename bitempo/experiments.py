@@ -311,6 +311,7 @@ def stream_reach(spark, d):
 # ---- studies ----------------------------------------------------------------------------------------------------------------------
 
 query("study_main")(lambda s, d: workloads.main_study(s, d))
+query("study_second_corpus")(lambda s, d: workloads.second_corpus_study(s, d))
 query("study_probes")(lambda s, d: workloads.probe_study(s, d))
 query("study_planted")(lambda s, d: workloads.planted_study(s, d))
 query("study_ablations")(lambda s, d: workloads.ablation_study(s, d))

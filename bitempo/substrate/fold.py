@@ -73,6 +73,32 @@ def fold_versions(ops: DataFrame, require_existing: bool = True) -> DataFrame:
     return versions_of(fold_identities(ops, require_existing))
 
 
+def fold_in_batches(ops: DataFrame, require_existing: bool = True) -> DataFrame:
+    """Versions (ident, vt_s, vt_e, tt_s, tt_e, w) for identities with very long histories, folded outside the JVM.
+
+    Operations of an identity come sorted; the live pieces are all that a step needs, so they are kept in a list that is cut in place.
+    """
+    import pandas as pd
+
+    def run(frame: pd.DataFrame) -> pd.DataFrame:
+        rows, live = [], []
+        for r in frame.sort_values(["tt", "batch_id", "seq"]).itertuples(index=False):
+            end = OPEN_END if r.op == "retract" else r.vt_e
+            touched = [p for p in live if p[0] < end and p[1] > r.vt_s]
+            if (r.op != "retract" and r.vt_s >= r.vt_e) or (r.op == "correct" and require_existing and not touched):
+                continue
+            live = [p for p in live if not (p[0] < end and p[1] > r.vt_s)]
+            for s, e, tt, w in touched:
+                rows.append((r.ident, s, e, tt, r.tt, w))
+                live += [(a, b, r.tt, w) for a, b in ((s, min(e, r.vt_s)), (max(s, end), e)) if a < b]
+            if r.op != "retract":
+                live.append((r.vt_s, r.vt_e, r.tt, r.w))
+        rows += [(frame["ident"].iloc[0], s, e, tt, OPEN_END, w) for s, e, tt, w in live]
+        return pd.DataFrame(rows, columns=["ident", "vt_s", "vt_e", "tt_s", "tt_e", "w"])
+
+    return ops.groupBy("ident").applyInPandas(run, "ident string, vt_s long, vt_e long, tt_s long, tt_e long, w double")
+
+
 def outcomes_of(folded: DataFrame) -> DataFrame:
     return folded.select("ident", F.explode("state.outcomes").alias("o")).select("ident", "o.batch_id", "o.seq", "o.code")
 

@@ -60,6 +60,16 @@ def main_study(spark: SparkSession, sf_dir: str, per_template: int = 1) -> DataF
     return _frame(spark, rows, SCORES)
 
 
+def second_corpus_study(spark: SparkSession, sf_dir: str, per_template: int = 1) -> DataFrame:
+    """The same on the trade graph and order beliefs: day-granular times with many ties, few nodes with many edges."""
+    store = trade_store(spark, sf_dir)
+    tasks = make_tasks(store, "trade", per_template, only=("a02", "a03", "a04", "a08", "a09", "e02", "e03", "m02", "m03"))
+    rows = run_suite(tasks, store, System())
+    for name, reader in (("static_context", LatestTwoHop(store)), ("pattern_query", LatestPattern(store))):
+        rows += run_baseline(tasks, name, reader)
+    return _frame(spark, rows, SCORES)
+
+
 def probe_study(spark: SparkSession, sf_dir: str, pairs: int = 5) -> DataFrame:
     """Scores on correction probes: the first halves need the earlier belief, which no baseline keeps."""
     store = message_store(spark, sf_dir)

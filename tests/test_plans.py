@@ -186,3 +186,39 @@ def test_reporter_intervals(store):
     tasks = make_tasks(store, "t", 1, only=("a09",))
     done = execute_plan(tasks[0].plan, store)
     assert ScriptedReporter().report(tasks[0], done).value == tasks[0].gold
+
+
+def test_rewrites_keep_answers(store):
+    from bitempo.plans.rewrite import optimize
+
+    motifs = ("s1", "find_motifs", {"pattern": "cyclic", "delta": 6 * HOUR, "t_from": T0, "t_to": T0 + 5 * DAY, "limit": 1000})
+    p = plan(motifs, ("s2", "compute", {"fn": "count", "input": ref("s1.rows[*]")}), field="rows[0].value")
+    fused = optimize(p)
+    assert [s.op for s in fused.steps] == ["count_motifs"] and execute_plan(fused, store).answer == execute_plan(p, store).answer
+    q = plan(REACH, ("s2", "compute", {"fn": "filter", "input": ref("s1.rows[*]"), "field": "node", "test": ["=", 7]}), field="rows[0].arrival")
+    assert optimize(q).steps[0].args["targets"] == [7] and execute_plan(optimize(q), store).answer == execute_plan(q, store).answer
+    assert len(optimize(plan(("s0", *motifs[1:]), REACH)).steps) == 1
+
+
+def test_router_and_trace(store, tmp_path):
+    from bitempo.plans.guard import CostRefusal
+    from bitempo.plans.router import call_tool, export_trace, trace_report
+
+    assert call_tool(store, "count_motifs", {"pattern": "cyclic", "delta": 6 * HOUR}).rows == [{"count": 9}]
+    assert isinstance(call_tool(store, "count_motifs", {"pattern": "cyclic", "delta": 10**16}), CostRefusal)
+    assert call_tool(store, "khop_neighbourhood", {"k": 9})[0].code == "E_SCHEMA"
+    done = execute_plan(cut_plan(5), store)
+    assert [r["state"] for r in trace_report(store, {"r": done}).orderBy("step_id").collect()] == ["cut page", "rests on a cut page"]
+    export_trace(store, {"r": done}, str(tmp_path / "t"))
+    assert store.spark.read.json(str(tmp_path / "t")).count() == 2
+
+
+def test_cost_measures(spark, store, tmp_path):
+    from bitempo.eval.costs import guard_calibration, store_bytes, tokens_per_task
+
+    store.versions.write.parquet(str(tmp_path / "v"))
+    assert store_bytes(spark, str(tmp_path / "v")) > 1000
+    prompts = spark.createDataFrame([("x" * 100,), ("x" * 200,)], "prompt string")
+    assert tuple(tokens_per_task(prompts).first()) == (2, 97.5)
+    (row,) = guard_calibration(store, [("earliest_arrival", {"sources": [0], **WINDOW})])
+    assert row[1] >= row[2] > 0

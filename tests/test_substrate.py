@@ -56,6 +56,14 @@ def test_fold_equals_sequential_writing(spark):
         assert all(codes[b] == c for b, c in wanted)
 
 
+def test_fold_of_long_histories(spark):
+    from bitempo.substrate.fold import fold_in_batches
+
+    ops = _frame(spark, _random(10, 40))
+    names = ("ident", "vt_s", "vt_e", "tt_s", "tt_e", "w")
+    assert rows(fold_in_batches(ops), *names) == rows(fold_versions(ops), *names)
+
+
 def test_segments_have_the_folds_snapshots_and_no_overlaps(spark):
     ops = _frame(spark, _random(6, 60))
     folded, segments = fold_versions(ops, require_existing=False), segment_versions(ops)
