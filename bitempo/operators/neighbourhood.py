@@ -22,10 +22,17 @@ def _bounded(nodes: DataFrame) -> list[int] | None:
     return rows if len(rows) <= SMALL_FRONTIER else None
 
 
+def _literal(edges: DataFrame, nodes: list[int], hop: int) -> DataFrame:
+    """(node, hop) of a small frontier as a literal, without a job or a Python worker."""
+    one = edges.sparkSession.range(1)
+    rows = one.select(F.explode(F.array(*[F.lit(n).cast("long") for n in nodes])).alias("node")) if nodes else one.select(F.col("id").alias("node")).limit(0)
+    return rows.withColumn("hop", F.lit(hop))
+
+
 def _next_of(links: DataFrame, frontier: DataFrame, known: list[int] | None) -> DataFrame:
     if known is not None and len(known) <= LITERALS:
         return links.where(F.col("node").isin(known)).select(F.col("next").alias("node")).distinct()
-    side = frontier if known is None else F.broadcast(links.sparkSession.createDataFrame([(n,) for n in known], "node long"))
+    side = frontier.select("node") if known is None else F.broadcast(_literal(links, known, 0).select("node"))
     return links.join(side, "node").select(F.col("next").alias("node")).distinct()
 
 
@@ -41,7 +48,7 @@ def khop_neighbourhood(edges: DataFrame, seeds: DataFrame, k: int, direction: st
     frontier = seeds.select("node").distinct()
     known = _bounded(frontier)
     seen: list[int] | None = known
-    visited = frontier.withColumn("hop", F.lit(0))
+    visited = frontier.withColumn("hop", F.lit(0)) if known is None else _literal(edges, known, 0)
     for hop in range(1, k + 1):
         reached = _next_of(links, frontier, known)
         if seen is not None and len(seen) <= LITERALS:
@@ -51,7 +58,7 @@ def khop_neighbourhood(edges: DataFrame, seeds: DataFrame, k: int, direction: st
         if hop < k:
             known = _bounded(frontier)
             if known is not None:
-                frontier = edges.sparkSession.createDataFrame([(n,) for n in known], "node long")
+                frontier = _literal(edges, known, hop).select("node")
                 seen = seen + known if seen is not None else None
             else:
                 seen = None
