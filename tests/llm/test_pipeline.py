@@ -5,7 +5,8 @@ from bitempo.llm import simhash, toxicity
 from bitempo.llm.common import stash, table
 
 
-def test_stages_in_order_and_effective(spark, sf):
+def test_stages_in_order_and_effective(spark):
+    sf = "/root/testdata/sf0.01"  # enough labelled toxic texts to learn from
     assert [n for n, _ in corpus_pipeline.STAGES] == ["language", "toxicity", "near_duplicates", "mixing", "packing"]
     docs = before = table(spark, sf, "documents")
     for name, stage in corpus_pipeline.STAGES:
