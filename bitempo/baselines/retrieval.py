@@ -15,7 +15,8 @@ WINDOW = 32_768
 
 def serialise_events(edges: DataFrame) -> DataFrame:
     """(eid, t, sentence). Time is text here; when something was believed is not told at all."""
-    at = F.date_format(F.timestamp_micros("t"), "yyyy-MM-dd HH:mm:ss")
+    # a calendar reading without a zone, so that sentences do not depend on the session
+    at = F.date_format(F.expr("timestampadd(MICROSECOND, t, TIMESTAMP_NTZ'1970-01-01 00:00:00')"), "yyyy-MM-dd HH:mm:ss")
     return edges.select("eid", "t", F.concat_ws(" ", F.lit("user"), "src", "etype", F.lit("user"), "dst", F.lit("on"), at, F.lit("weight"), F.format_number("w", 2)).alias("sentence"))
 
 
