@@ -2,13 +2,14 @@
 
 Tokens are containers with their path from the root (tag and class names) and blocks of text with theirs. Tokens that occur equally often
 in every page of a host share an occurrence vector and form a class. A class is valid if at least half of the host's pages, and two, hold
-it. Valid classes nest by their containers' paths and make the host's template; the text under it that no valid
-class covers fills its slots. Slots in navigation, headers, footers, sidebars, notices, adverts, forms and reader comments are
-known by their containers; of the rest the article's slots are the main text, or, in a page that names no article, all slots that
-hold running text.
+it (three for text in an article, since two pages may be versions of one text), and if it holds a container or three words. Valid classes
+nest by their containers' paths and make the host's template; the text under it that no valid class covers fills its slots, in
+articles as elsewhere. Among slots, those in navigation, headers, footers, sidebars, notices, adverts, forms and reader comments, whose
+text may differ from page to page, are known by their containers; of the rest the article's slots are the main text, or all
+slots if none is in an article. A page that has no slot of its own is read by containers alone.
 
-Occurrence vectors are compared by two aggregates that combine in any order (pages held, and an exclusive or of a hash of
-page and count), so pages of one host are never gathered in a task.
+Pages of equal text count once: copies are no evidence of a template. Occurrence vectors are compared by two aggregates that combine
+in any order (pages held, and an exclusive or of a hash of page and count), so pages of one host are never gathered in a task.
 
 Cases: null and empty pages have empty text; cut-off and ill-nested pages are read as far as they go; a host with one page has
 no template and its page is read by containers alone; a null url is a host of its own; repeated rows get equal text; other columns are ignored.
@@ -69,29 +70,24 @@ def _open(name: str, attributes: str, parent: Box) -> Box:
     return Box(name, f"{parent.path}>{name}.{label}" if label else f"{parent.path}>{name}", parent.apart or apart, parent.article or (article and not apart), parent.unseen or name in UNSEEN)
 
 
-def blocks_of(html: str | None) -> tuple[list[tuple[str, str, bool, bool, int]], Counter]:
-    """Text blocks (path, text, apart, in an article, characters in links) in page order, and how often each container occurs."""
-    out: list[tuple[str, str, bool, bool, int]] = []
+def blocks_of(html: str | None) -> tuple[list[tuple[str, str, bool, bool]], Counter]:
+    """Text blocks (path, text, apart, in an article) in page order, and how often each container occurs."""
+    out: list[tuple[str, str, bool, bool]] = []
     boxes: Counter[str] = Counter()
     root = Box("", "", False, False, False)
-    stack, parts, linked, in_link = [root], [], 0, 0
+    stack, parts = [root], []
 
     def close_block() -> None:
-        nonlocal linked
         if parts:
             text = " ".join(unescape("".join(parts)).split())
             parts.clear()
             if text:
                 top = stack[-1]
-                out.append((top.path, text, top.apart, top.article, linked))
-        linked = 0
+                out.append((top.path, text, top.apart, top.article))
 
     def keep(text: str) -> None:
-        nonlocal linked
         if text and not stack[-1].unseen:
             parts.append(text)
-            if in_link:
-                linked += len(text)
 
     at, html = 0, html or ""
     size = len(html)
@@ -109,8 +105,6 @@ def blocks_of(html: str | None) -> tuple[list[tuple[str, str, bool, bool, int]],
             continue
         name = name.lower()
         if name in INLINE:
-            if name == "a":
-                in_link = 0 if found.group(1) else 1
             continue
         if found.group(1):
             if name == "p" and all(b.name != "p" for b in stack):
@@ -151,42 +145,56 @@ def block_token(path: str, text: str) -> int:
     return _number(f"{path}\x00{text}")
 
 
+ROOT, LARGE = _number(""), 3  # the token that every page has once; words that make a class of text large
+
+
 def host_of(url: Column) -> Column:
     return F.lower(F.coalesce(F.regexp_extract(url, r"^[a-zA-Z][a-zA-Z0-9+.-]*://(?:[^/@]*@)?([^/:?#]+)", 1), F.lit("")))
 
 
 def page_tokens(pages: DataFrame) -> DataFrame:
-    """(host, token, is_box, pages, vector) pre-combined within each batch from ``pages(host, page, html)``."""
+    """(host, page, tokens, marks, words, inside) for every page of ``pages(host, html)`` that has a token; a page is known by its content.
 
-    def tokens(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        from xxhash import xxh64_intdigest
+    ``marks`` hash page and count; containers have no words; ``inside`` tells text in an article.
+    """
 
+    def tokens(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for batch in batches:
-            held: dict[tuple[str, int, bool], list[int]] = {}
-            for host, page, html in zip(batch["host"], batch["page"], batch["html"]):
+            rows = []
+            for host, html in zip(batch["host"], batch["html"]):
                 blocks, boxes = blocks_of(html)
-                seen = Counter({(_number(p), True): n for p, n in boxes.items()})
-                seen.update((block_token(p, t), False) for p, t, _, _, _ in blocks)
-                for (token, is_box), n in seen.items():
-                    mark = xxh64_intdigest(f"{page}|{n}")
-                    row = held.setdefault((host, token, is_box), [0, 0])
-                    row[0] += 1
-                    row[1] ^= mark
-            rows = [(h, t, b, n, v - (1 << 64) if v >> 63 else v) for (h, t, b), (n, v) in held.items()]
-            yield pd.DataFrame(rows, columns=["host", "token", "is_box", "pages", "vector"])
-
-    return pages.mapInPandas(tokens, "host string, token long, is_box boolean, pages long, vector long")
+                if not blocks and not boxes:
+                    continue
+                page = _number(html)
+                texts: Counter[int] = Counter()
+                about: dict[int, tuple[int, bool]] = {}
+                for path, text, _, article in blocks:
+                    token = block_token(path, text)
+                    texts[token] += 1
+                    about[token] = (len(text.split()), article)
+                found = [(ROOT, 1, 0, False), *((_number(p), n, 0, False) for p, n in boxes.items()), *((t, n, *about[t]) for t, n in texts.items())]
+                rows.append((host, page, [x[0] for x in found], [_number(f"{page}|{x[1]}") for x in found], [x[2] for x in found], [x[3] for x in found]))
+            yield pd.DataFrame(rows, columns=["host", "page", "tokens", "marks", "words", "inside"])
+
+    return pages.mapInPandas(tokens, "host string, page long, tokens array<long>, marks array<long>, words array<int>, inside array<boolean>")
 
 
 def templates(pages: DataFrame, support: float = 0.5) -> DataFrame:
-    """(host, fixed): tokens of text that the valid classes of each host hold, from ``pages(host, page, html)``."""
-    counted = page_tokens(pages).groupBy("host", "token", "is_box").agg(F.sum("pages").alias("pages"), F.bit_xor("vector").alias("vector"))
+    """(host, fixed): tokens of text that the valid classes of each host hold, from ``pages(host, html)``."""
+    lists = ["tokens", "marks", "words", "inside"]
+    distinct = page_tokens(pages).groupBy("host", "page").agg(F.any_value(F.struct(*lists)).alias("of_page")).select("host", "of_page.*")
+    each = distinct.select("host", F.explode(F.arrays_zip(*lists)).alias("x")).select("host", *[F.col(f"x.{c}").alias(c) for c in lists])
+    counted = each.groupBy("host", F.col("tokens").alias("token")).agg(
+        F.count(F.lit(1)).alias("pages"), F.bit_xor("marks").alias("vector"), F.max("words").alias("words"), F.bool_or("inside").alias("inside")
+    )
     held = stash(counted.where("pages > 1"), "tokens")
-    sizes = pages.groupBy("host").agg(F.count(F.lit(1)).alias("all_pages"))
-    likely = held.join(sizes, "host").where((F.col("pages") >= support * F.col("all_pages")) & (F.col("pages") > 1))
-    # an equivalence class: one occurrence vector; it nests in the page's frame, so it must hold a container
-    classes = likely.groupBy("host", "pages", "vector").agg(F.bool_or("is_box").alias("framed"), F.collect_list(F.when(~F.col("is_box"), F.col("token"))).alias("texts"))
-    valid = classes.where("framed and size(texts) > 0")
+    sizes = held.where(F.col("token") == ROOT).select("host", F.col("pages").alias("all_pages"))
+    likely = held.join(sizes, "host").where((F.col("pages") >= support * F.col("all_pages")) & (F.col("pages") >= F.when(F.col("inside"), 3).otherwise(2)))
+    # an equivalence class: one occurrence vector; it nests in the page's frame by a container of its own, or is large enough to stand in another class's
+    classes = likely.groupBy("host", "pages", "vector").agg(
+        F.bool_or(F.col("words") == 0).alias("framed"), F.sum("words").alias("words"), F.collect_list(F.when(F.col("words") > 0, F.col("token"))).alias("texts")
+    )
+    valid = classes.where((F.col("framed") | (F.col("words") >= LARGE)) & (F.size("texts") > 0))
     return valid.groupBy("host").agg(F.flatten(F.collect_list("texts")).alias("fixed"))
 
 
@@ -194,18 +202,17 @@ def main_text(html: str | None, fixed: frozenset[int] | set[int] = frozenset())
     """The article's text, given the tokens of text that the host's template fixes."""
     blocks, _ = blocks_of(html)
     own = [b for b in blocks if not b[2]]
-    article = [b for b in own if b[3]]
-    if article:
-        return " ".join(b[1] for b in article)
-    slots = [b for b in own if block_token(b[0], b[1]) not in fixed]
-    running = [b for b in slots if b[4] * 2 <= len(b[1])]
-    return " ".join(b[1] for b in running or slots or own)
+    slots = [b for b in own if block_token(b[0], b[1]) not in fixed] if fixed else own
+    for part in (slots, own):
+        if part:
+            return " ".join(b[1] for b in [b for b in part if b[3]] or part)
+    return ""
 
 
 def extracted(pages: DataFrame, id_column: str = "page_id", support: float = 0.5) -> DataFrame:
     """(page_id, url, text, n_chars) for every row of ``pages(page_id, url, html)``."""
     ready = pages.select(F.col(id_column).alias("page_id"), "url", "html", host_of(F.col("url")).alias("host"))
-    found = templates(ready.select("host", F.col("page_id").alias("page"), "html"), support)
+    found = templates(ready.select("host", "html"), support)
 
     @F.pandas_udf("string")
     def text(htmls: pd.Series, fixed: pd.Series) -> pd.Series:

@@ -275,6 +275,22 @@ def test_templates_fill_slots_without_an_article(spark):
     assert html_text.extracted(df.limit(0)).count() == 0
 
 
+def test_templates_decide_inside_articles(spark):
+    """Unnamed repeats in an article go, also if a cut-off page lacks them; copies are no template; link-heavy slots stay."""
+    notice, links = "<p>Read our terms before you write.</p>", "<p><a href=y>Linked words of page {0}</a></p>"
+    body = "<article><h1>Title {0}</h1>" + notice + "<p>Page {0} tells this.</p><div>All rights are with us.</div></article>"
+    pages = [(i, f"http://h.example/{i}", ROUND.format(body.format(i))) for i in range(9)] + [(9, "http://h.example/9", ROUND.format("<article><h1>Title 9</h1><p>Page 9 tel"))]
+    pages += [(20 + i, f"http://copies.example/{i}", ROUND.format("<article><p>The very same text of a page.</p></article>")) for i in range(5)]
+    pages += [(30 + i, f"http://versions.example/{i}", ROUND.format(f"<article><p>The same text in both versions.</p><p>Version {i}</p></article>")) for i in range(2)]
+    pages += [(40 + i, f"http://links.example/{i}", ROUND.format(f"<div class=body><p>Page {i} tells this.</p>{links.format(i)}</div>")) for i in range(4)]
+    df = spark.createDataFrame(pages, "page_id long, url string, html string")
+    got = {r["page_id"]: r["text"] for r in html_text.extracted(df).collect()}
+    assert [got[i] for i in range(9)] == [f"Title {i} Page {i} tells this." for i in range(9)] and got[9].startswith("Title 9 Page 9 tel")
+    assert all(got[20 + i] == "The very same text of a page." for i in range(5))
+    assert all(got[30 + i] == f"The same text in both versions. Version {i}" for i in range(2))
+    assert all(got[40 + i] == f"Page {i} tells this. Linked words of page {i}" for i in range(4))
+
+
 def test_given_pages_equal_their_articles(spark, sf):
     import re
     from html import unescape
