@@ -1,10 +1,16 @@
 """Cross-entropy difference scores from matched n-gram models of a target and of the background.
 
 Both models are of the same order over the same tokens: the lower-cased characters of the texts. Counts of 1- to 4-grams of both
-lie in tables of one hashed vocabulary with a fixed number of places, so what is held of a corpus has a bound that is known
-beforehand while every text is counted. Background counts cover all texts and are scaled to the number of target tokens, which
-makes the two models alike but for their texts. An n-gram's probability is its count smoothed by that of the shorter n-gram.
-A document's score is the mean over its tokens of the target's loss less the background's: the lower, the more like the target.
+lie in one stored table of exact n-grams, which grows with the corpus and is never gathered in one place. Background counts cover all
+texts and are scaled to the number of target tokens, which makes the two models alike but for their texts. An n-gram's probability is
+its count smoothed by that of the shorter n-gram. A document's score is the mean over its tokens of the target's loss less the
+background's: the lower, the more like the target.
+
+Texts are dealt by their ids into chunks of about ``CHUNK`` characters. A chunk's texts are counted together, and to be scored they
+meet the counts of the n-grams that they hold, which come by a join of the chunks' n-grams with the table. What a task holds is
+bounded by a chunk and what it holds n-grams for, whatever the corpus.
+
+``Models`` is a form with a fixed number of hashed places for counts that must fit one process; no query uses it.
 
 Cases: null and empty texts have no tokens and score 0; without a target text every score is 0; repeated rows count and
 score each; texts of any length are read whole; ids that are null, or have no label, count for the background alone;
@@ -14,14 +20,18 @@ other columns are ignored.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from .common import stash
+
 PLACES = (12, 16, 18, 20)  # log2 of the places for n-grams of 1, 2, 3, 4 characters
 PRIOR = 4.0
+CHUNK = 1 << 21
 _CHARS = 1 << 20
 _STEP, _SPREAD = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
 _OFFSETS = np.cumsum([0, *[1 << b for b in PLACES]])
@@ -126,24 +136,131 @@ class Models:
         return rows
 
 
-def train(docs: DataFrame, target: DataFrame) -> Models:
+class Grams:
+    """The distinct 1- to 4-grams of some texts, and for each column of their line the numbers of those that end there.
+
+    ``keys[k]`` are two numbers for each (k + 1)-gram that tell its characters: 21 bits a character, the last three in ``low``.
+    """
+
+    def __init__(self, texts: list[str | None]):
+        texts = [(t or "").lower().replace("\x00", "\x01") for t in texts]
+        line = np.frombuffer("".join(["\0\0\0" + t for t in texts]).encode("utf-32-le", "surrogatepass"), np.uint32)
+        ends = np.cumsum([len(t) + 3 for t in texts], dtype=np.int64)
+        self.starts, self.ends = np.concatenate([[0], ends[:-1]]) + 3, ends
+        last, letters = pd.factorize(line.astype(np.int64))
+        self.ids = [last]
+        self.keys = [(np.zeros(len(letters), np.int64), letters + 1)]
+        self.prefixes, self.suffixes = [np.zeros(len(letters), np.int64)], [np.zeros(len(letters), np.int64)]
+        for _ in range(3):
+            before = np.concatenate([[0], self.ids[-1][:-1]])  # the first column is padding, as is what stands before it
+            own, pairs = pd.factorize(before * len(letters) + last)
+            prefix, letter = pairs // len(letters), pairs % len(letters)
+            suffix = np.empty(len(pairs), np.int64)
+            suffix[own] = self.ids[-1]
+            high, low = (x[prefix] for x in self.keys[-1])
+            self.keys.append((high << 21 | low >> 42, (low & (1 << 42) - 1) << 21 | letters[letter] + 1))
+            self.ids.append(own)
+            self.prefixes.append(prefix)
+            self.suffixes.append(suffix)
+
+    def counts(self, chosen: np.ndarray) -> list[np.ndarray]:
+        """How often each n-gram ends in one of the ``chosen`` texts, or is the padding before it."""
+        edges = np.zeros(len(self.ids[0]) + 1, np.int32)
+        np.add.at(edges, self.starts[chosen], 1)
+        np.add.at(edges, self.ends[chosen], -1)
+        inside = np.cumsum(edges[:-1]) > 0
+        context = self.starts[chosen] - 1
+        return [np.bincount(i[np.concatenate([np.flatnonzero(inside), context])] if k < 3 else i[inside], minlength=len(self.keys[k][0])) for k, i in enumerate(self.ids)]
+
+    def losses(self, counts: list[np.ndarray], total: float, letters: int) -> np.ndarray:
+        """Loss of each 4-gram's last character, in nats."""
+        p = (counts[0] + PRIOR / letters) / (total + PRIOR)
+        for k in range(1, 4):
+            p = (counts[k] + PRIOR * p[self.suffixes[k]]) / (counts[k - 1][self.prefixes[k]] + PRIOR)
+        return -np.log(np.minimum(p, 1))
+
+    def means(self, losses: np.ndarray) -> np.ndarray:
+        sums = np.concatenate([[0.0], np.cumsum(losses[self.ids[3]])])
+        return (sums[self.ends] - sums[self.starts]) / np.maximum(self.ends - self.starts, 1)
+
+
+@dataclass
+class Table:
+    """The two models as a stored table (high, low, background, target) of all n-grams."""
+
+    counts: DataFrame
+    letters: int
+    background: int
+    target: int
+    docs: DataFrame  #: the counted texts
+    chunks: int
+    held: DataFrame  #: (chunk, high, low, …) of the counted texts
+
+
+def _chunks(docs: DataFrame) -> int:
+    return -(-(docs.agg(F.sum(F.length("text") + 3)).first()[0] or 1) // CHUNK)
+
+
+def _chunk(chunks: int, *of: Column | str) -> Column:
+    return F.pmod(F.xxhash64(*of), F.lit(chunks)).cast("long")
+
+
+def _dealt(docs: DataFrame, chunks: int) -> DataFrame:
+    # rows without an id have no label to meet and are dealt by their texts
+    return docs.select(F.when(F.col("doc_id").isNull(), _chunk(chunks, "text")).otherwise(_chunk(chunks, "doc_id")).alias("chunk"), F.coalesce("doc_id", F.lit(0)).cast("long").alias("doc_id"), F.col("doc_id").isNull().alias("none"), "text")
+
+
+def chunk_grams(docs: DataFrame, chosen: DataFrame, chunks: int) -> DataFrame:
+    """(chunk, high, low, background, target) of the texts of each chunk; ``chosen(doc_id)`` are the ids of target texts."""
+
+    def count(key: tuple, texts: pd.DataFrame, aims: pd.DataFrame) -> pd.DataFrame:
+        names = ["chunk", "high", "low", "background", "target"]
+        if not len(texts):
+            return pd.DataFrame({n: np.zeros(0, np.int64) for n in names})
+        grams = Grams(texts["text"].tolist())
+        aim = (texts["doc_id"].isin(aims["doc_id"]) & ~texts["none"]).to_numpy() if len(aims) else np.zeros(len(texts), bool)  # an empty side has no columns
+        every, target = grams.counts(np.ones(len(texts), bool)), grams.counts(aim)
+        parts = [np.stack([np.full(len(n), key[0]), *grams.keys[k], n, target[k]])[:, n > 0] for k, n in enumerate(every)]
+        return pd.DataFrame(np.concatenate(parts, axis=1).T, columns=names)
+
+    marks = chosen.select(_chunk(chunks, "doc_id").alias("chunk"), "doc_id")
+    return _dealt(docs, chunks).groupBy("chunk").cogroup(marks.groupBy("chunk")).applyInPandas(count, "chunk long, high long, low long, background long, target long")
+
+
+def train(docs: DataFrame, target: DataFrame) -> Table:
     """Models of ``docs(doc_id, text)``; the target texts are those whose ids ``target(doc_id)`` holds."""
-    chosen = target.where(F.col("doc_id").isNotNull()).select("doc_id").distinct().withColumn("is_target", F.lit(True))
-    # texts meet their labels in a shuffle at every size: neither side is bounded
-    marked = docs.select("doc_id", "text").join(chosen.hint("merge"), "doc_id", "left").select("text", F.coalesce("is_target", F.lit(False)).alias("is_target"))
-    rows = ngram_counts(marked).toPandas()
-    tables = np.zeros((2, SIZE))
-    at = rows["place"].to_numpy()
-    tables[0, at], tables[1, at] = rows["background"].to_numpy(), rows["target"].to_numpy()
-    return Models(tables[0], tables[1])
+    chosen = target.where(F.col("doc_id").isNotNull()).select("doc_id").distinct()
+    chunks = _chunks(docs)
+    held = stash(chunk_grams(docs, chosen, chunks), "grams")
+    counts = stash(held.groupBy("high", "low").agg(F.sum("background").alias("background"), F.sum("target").alias("target")), "counts")
+    letters, background, aims = counts.where(F.col("high") + F.shiftright("low", 21) == 0).agg(F.count(F.lit(1)), F.sum("background"), F.sum("target")).first()
+    return Table(counts, letters, background or 0, aims or 0, docs, chunks, held)
 
 
-def scored(docs: DataFrame, models: Models) -> DataFrame:
+def scored(docs: DataFrame, models: Table) -> DataFrame:
     """(doc_id, n_tokens, target_loss, background_loss, score) for every row of ``docs(doc_id, text)``."""
-    sent = docs.sparkSession.sparkContext.broadcast(models)  # 2 x SIZE numbers, whatever the corpus
+    if docs is models.docs:
+        chunks, held = models.chunks, models.held
+    else:
+        chunks = _chunks(docs)
+        held = chunk_grams(docs, docs.select("doc_id").limit(0), chunks)
+    # n-grams meet their counts by a shuffle at every size: neither side is bounded
+    known = held.select("chunk", "high", "low").join(models.counts.hint("merge"), ["high", "low"])
+    letters, total, scale = models.letters, float(models.target), models.target / models.background if models.background else 0.0
 
-    @F.pandas_udf("n_tokens long, target_loss double, background_loss double, score double")
-    def of(texts: pd.Series) -> pd.DataFrame:
-        return pd.DataFrame(sent.value.score(texts.tolist()), columns=["n_tokens", "target_loss", "background_loss", "score"])
+    def score(key: tuple, texts: pd.DataFrame, known: pd.DataFrame) -> pd.DataFrame:
+        if not len(texts):  # an empty side has no columns
+            return pd.DataFrame({n: [] for n in ("doc_id", "n_tokens", "target_loss", "background_loss", "score")})
+        grams = Grams(texts["text"].tolist())
+        out = pd.DataFrame({"doc_id": texts["doc_id"].astype("Int64").mask(texts["none"]), "n_tokens": grams.ends - grams.starts, "target_loss": 0.0, "background_loss": 0.0})
+        if total:
+            found = []
+            for high, low in grams.keys:
+                rows = pd.DataFrame({"high": high, "low": low}).merge(known, "left", ["high", "low"])
+                found.append(rows[["background", "target"]].fillna(0).to_numpy(np.float64))
+            out["target_loss"] = grams.means(grams.losses([x[:, 1] for x in found], total, letters))
+            out["background_loss"] = grams.means(grams.losses([x[:, 0] * scale for x in found], total, letters))
+        return out.assign(score=out["target_loss"] - out["background_loss"])
 
-    return docs.select("doc_id", of("text").alias("s")).select("doc_id", "s.*")
+    pairs = _dealt(docs, chunks).groupBy("chunk").cogroup(known.select("chunk", "high", "low", "background", "target").groupBy("chunk"))
+    return pairs.applyInPandas(score, "doc_id long, n_tokens long, target_loss double, background_loss double, score double")

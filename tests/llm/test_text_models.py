@@ -171,6 +171,50 @@ def test_lower_scores_are_more_like_the_target(spark):
     assert by["de"] < min(v for k, v in by.items() if k != "de") and labels.count() > 0
 
 
+def test_table_holds_every_ngram_and_scores_follow_the_definition(spark, docs):
+    """Also where hashed places would run out: more distinct characters than places for them, more 4-grams than in any one script."""
+    import math
+    from collections import Counter
+
+    wide = "".join(chr(c) for c in range(0x4E00, 0x4E00 + 6000))
+    rows = [*ODD[:6], *ODD[8:], (20, wide, "zh", "a"), (21, wide[::-1], "zh", "b"), (22, "a\x00b", "en", "a")]
+    df = docs(rows)
+    models = lm_score.train(df, df.where("source = 'a'").select("doc_id"))
+    ids = {i for i, _, _, s in rows if s == "a" and i is not None}
+    counts = [Counter(), Counter()]
+    clean = [(i, (t or "").lower().replace("\x00", "\x01")) for i, t, _, _ in rows]
+    for i, t in clean:
+        line = "\0\0\0" + t
+        found = [line[e - k : e] for e in range(4, len(line) + 1) for k in (1, 2, 3, 4)] + ["\0", "\0\0", "\0\0\0"]
+        counts[0].update(found)
+        counts[1].update(found if i in ids else [])
+    got = {}
+    for r in models.counts.collect():
+        codes = [r["high"] & 0x1FFFFF, *[r["low"] >> s & 0x1FFFFF for s in (42, 21, 0)]]
+        got["".join(chr(c - 1) for c in codes if c)] = (r["background"], r["target"])
+    assert got == {g: (n, counts[1][g]) for g, n in counts[0].items()} and sum(len(g) == 1 for g in got) > 1 << lm_score.PLACES[0]
+    sizes = [sum(n for g, n in c.items() if len(g) == 1) for c in counts]
+    letters, scale = sum(len(g) == 1 for g in counts[0]), sizes[1] / sizes[0]
+
+    def loss(line, e, which):
+        n = (lambda g: counts[0][g] * scale) if which == 0 else (lambda g: counts[1][g])
+        p = (n(line[e - 1 : e]) + 4 / letters) / (sizes[1] + 4)
+        for k in (2, 3, 4):
+            p = (n(line[e - k : e]) + 4 * p) / (n(line[e - k : e - 1]) + 4)
+        return -math.log(p)
+
+    wanted = []
+    for i, t in clean:
+        line = "\0\0\0" + t
+        means = [sum(loss(line, e, w) for e in range(4, len(line) + 1)) / max(len(t), 1) for w in (1, 0)]
+        wanted.append((i or -1, len(t), *[round(x, 6) for x in (*means, means[0] - means[1])]))
+    for again in (df, docs(rows)):  # the counted texts themselves, and others
+        found = [(r["doc_id"] or -1, r["n_tokens"], *[round(r[c], 6) for c in ("target_loss", "background_loss", "score")]) for r in lm_score.scored(again, models).collect()]
+        assert [x[:2] for x in sorted(found)] == [x[:2] for x in sorted(wanted)] and np.allclose(sorted(found), sorted(wanted), atol=2e-6)
+    assert lm_score.scored(df, lm_score.train(df, df.limit(0).select("doc_id"))).where("score != 0 or target_loss != 0").count() == 0
+    assert lm_score.scored(df.limit(0), lm_score.train(df.limit(0), df.select("doc_id"))).count() == 0
+
+
 def test_fold(spark):
     df = spark.createDataFrame([(i,) for i in range(50)] + [(None,)], "doc_id long").select("doc_id", fold_of("doc_id", 3).alias("f"))
     assert all(r["f"] == (0 if r["doc_id"] is None else zlib.crc32(str(r["doc_id"]).encode()) % 3) for r in df.collect())
