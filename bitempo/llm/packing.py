@@ -2,8 +2,9 @@
 
 Documents are tokenized once, each closed by an end id, and cut only where one is longer than a sequence. Full pieces are
 sequences of their own. The rest is dealt evenly into pools of about ``pool`` pieces, one task each: pieces go, longest
-first, to the fullest bin that holds them; then local search moves one document, or exchanges one for one or two for one,
-between underfull bins, whenever that increases the sum of squared fills, until no exchange does. Bins that empty go.
+first, to the fullest bin that holds them; then local search moves one document, or exchanges one for one, two for one or one for two,
+between any two underfull bins, whenever that increases the sum of squared fills, until no exchange does. Partners are looked up
+by the lengths that one or two of their pieces have together. Bins that empty go.
 
 Cases: a null or empty text is its end id alone; repeated rows are packed once for each row; null doc_ids are kept; an empty
 table gives no rows; other columns are ignored. A pool's size bounds a task's memory whatever the table's size, and costs at most
@@ -12,7 +13,9 @@ about one sequence a pool.
 
 from __future__ import annotations
 
+from collections import Counter
 from collections.abc import Iterator
+from heapq import heappop, heappush
 
 import numpy as np
 import pandas as pd
@@ -76,64 +79,124 @@ class Bins:
                 by_room[room].append(at)
                 rooms |= 1 << room
 
-    def improve(self, sweeps: int = 50, partners: int = 24) -> int:
+    def improve(self) -> int:
         """Local search between underfull bins; returns the number of exchanges made.
 
-        The least filled bins give, the others take. Each exchange raises the sum of squared fills, so the search ends.
+        The fullest bins take first, each from the least filled bin that fills it most, until a whole sweep makes no exchange.
+        Each exchange raises the sum of squared fills, so the search ends.
         """
-        made = 0
-        for _ in range(sweeps):
-            under = sorted((b for b in range(len(self.held)) if self.held[b] and self.fill[b] < self.size), key=lambda b: (self.fill[b], b))
+        givers, made = Givers(self.size), 0
+        under = [b for b in range(len(self.held)) if self.held[b] and self.fill[b] < self.size]
+        for b in under:
+            self._offer(givers, b)
+        before = -1
+        while made != before:
             before = made
-            for giver in under[:partners]:
-                for taker in reversed(under):
-                    while self.held[giver] and taker != giver and self.fill[taker] < self.size and self._exchange(giver, taker):
-                        made += 1
-                    if not self.held[giver]:
-                        break
-            if made == before:
-                break
+            under = sorted((b for b in under if self.held[b] and self.fill[b] < self.size), key=lambda b: (-self.fill[b], b))
+            for taker in under:
+                while self.held[taker] and self.fill[taker] < self.size and self._take(givers, taker):
+                    made += 1
         self.held, self.fill = zip(*[(h, f) for h, f in zip(self.held, self.fill) if h]) if any(self.held) else ((), ())
         return made
 
-    def _exchange(self, giver: int, taker: int) -> bool:
+    def _offer(self, givers: Givers, b: int) -> None:
+        if self.held[b] and self.fill[b] < self.size:
+            givers.add(b, self.fill[b], [self.lengths[i] for i in self.held[b]])
+        else:
+            givers.drop(b)
+
+    def _take(self, givers: Givers, taker: int) -> bool:
         """The exchange that fills ``taker`` most, if one raises the sum of squared fills."""
-        room, size = self.size - self.fill[taker], self.lengths
-        least = max(1, self.fill[giver] - self.fill[taker] + 1)  # a gain must leave the taker fuller than the giver was
-        if least > room:
-            return False
-        gives = {size[i]: i for i in self.held[giver]}
-        takes = {size[i]: i for i in self.held[taker]}
-        best: tuple[int, list[int], list[int]] = (0, [], [])
-        for a, i in gives.items():
-            if best[0] < a <= room and a >= least:
-                best = (a, [i], [])
-            for b, j in takes.items():
-                if best[0] < a - b <= room and a - b >= least:
-                    best = (a - b, [i], [j])
-        if best[0] < room:
-            mine, theirs = self.held[giver], self.held[taker]
-            for x, i in enumerate(mine[:40]):
-                for k in mine[x + 1 : 40]:
-                    for b, j in takes.items():
-                        gain = size[i] + size[k] - b
-                        if best[0] < gain <= room and gain >= least:
-                            best = (gain, [i, k], [j])
-            for x, j in enumerate(theirs[:40]):
-                for k in theirs[x + 1 : 40]:
-                    for a, i in gives.items():
-                        gain = a - size[j] - size[k]
-                        if best[0] < gain <= room and gain >= least:
-                            best = (gain, [i], [j, k])
-        gain, out, back = best
-        if not gain:
+        found = givers.best(taker, self.fill[taker])
+        if found is None:
             return False
-        self.held[giver] = [i for i in self.held[giver] if i not in out] + back
-        self.held[taker] = [i for i in self.held[taker] if i not in back] + out
+        giver, gain, count, back = found
+        out = self._pick(giver, count, gain + back)
+        back_items = next(p for n in (0, 1, 2) if (p := self._pick(taker, n, back)) is not None)
+        self.held[giver] = [i for i in self.held[giver] if i not in out] + back_items
+        self.held[taker] = [i for i in self.held[taker] if i not in back_items] + out
         self.fill[giver] -= gain
         self.fill[taker] += gain
+        self._offer(givers, giver)
+        self._offer(givers, taker)
         return True
 
+    def _pick(self, b: int, count: int, total: int) -> list[int] | None:
+        """``count`` items of a bin that have ``total`` together."""
+        if count == 0:
+            return [] if total == 0 else None
+        seen: dict[int, int] = {}
+        for i in self.held[b]:
+            n = self.lengths[i]
+            if count == 1 and n == total:
+                return [i]
+            if count == 2 and total - n in seen:
+                return [seen[total - n], i]
+            seen[n] = i
+        return None
+
+
+class Givers:
+    """Underfull bins by what one or two of their pieces have together, the least filled first."""
+
+    def __init__(self, size: int):
+        self.size = size
+        self.least = np.full((3, size + 1), 2 * size + 1)  # the least fill of a bin with one or two pieces of a length
+        self.heaps: dict[tuple[int, int], list[tuple[int, int, int]]] = {}
+        self.stamp: dict[int, int] = {}
+        self.sums: dict[int, tuple[list[int], list[int]]] = {}
+
+    def _keys(self, b: int) -> list[tuple[int, int]]:
+        one, two = self.sums.get(b, ((), ()))
+        return [*[(1, n) for n in one], *[(2, n) for n in two]]
+
+    def _refresh(self, key: tuple[int, int]) -> None:
+        heap = self.heaps[key]
+        while heap and self.stamp[heap[0][1]] != heap[0][2]:
+            heappop(heap)
+        self.least[key] = heap[0][0] if heap else 2 * self.size + 1
+
+    def drop(self, b: int) -> None:
+        self.stamp[b] = self.stamp.get(b, 0) + 1
+        for key in self._keys(b):
+            self._refresh(key)
+        self.sums.pop(b, None)
+
+    def add(self, b: int, fill: int, lengths: list[int]) -> None:
+        self.drop(b)
+        own = Counter(lengths)
+        one = sorted(own)
+        self.sums[b] = one, sorted({x + y for i, x in enumerate(one) for y in one[i + (own[x] < 2) :]})
+        for key in self._keys(b):
+            heap = self.heaps.setdefault(key, [])
+            heappush(heap, (fill, b, self.stamp[b]))
+            self._refresh(key)
+
+    def best(self, taker: int, fill: int) -> tuple[int, int, int, int] | None:
+        """(giver, gain, pieces it gives, length it gets back) of the greatest gain; one for none, one or two, or two for one."""
+        aside = []
+        for key in self._keys(taker):  # a bin is no partner of its own
+            heap = self.heaps[key]
+            if heap[0][1] == taker:
+                aside.append((key, heappop(heap)))
+                self._refresh(key)
+        one, two = self.sums[taker]
+        gains = np.arange(1, self.size - fill + 1)
+        found = None
+        for count, backs in ((1, np.array([0, *one, *two])), (2, np.array(one))):
+            # the taker must come out fuller than the giver was
+            rises = self.least[count][backs[:, None] + gains] < fill + gains
+            columns = np.flatnonzero(rises.any(axis=0))
+            if len(columns) and (found is None or gains[columns[-1]] > found[1]):
+                gain = int(gains[columns[-1]])
+                fits = np.flatnonzero(rises[:, columns[-1]])
+                back = int(backs[fits[np.argmin(self.least[count][backs[fits] + gain])]])
+                found = self.heaps[count, back + gain][0][1], gain, count, back
+        for key, entry in aside:
+            heappush(self.heaps[key], entry)
+            self._refresh(key)
+        return found
+
 
 def pack_lengths(lengths: list[int], size: int = LENGTH) -> list[list[int]]:
     """Bins of item numbers for one pool."""

@@ -108,3 +108,23 @@ def test_best_fit_matches_the_best_of_small_cases():
     assert len(packing.pack_lengths([6, 4, 5, 5, 7, 3], 10)) == 3
     assert len(packing.pack_lengths([4, 4, 4, 3, 3, 3, 3, 3, 3], 10)) == 3  # longest first alone takes four
     assert packing.pack_lengths([], 10) == []
+
+
+@pytest.mark.parametrize(("low", "high", "size", "n"), [(300, 900, 2048, 700), (1, 60, 512, 600), (20, 70, 100, 400)])
+def test_local_search_ends_where_no_pair_of_bins_can_exchange(low, high, size, n):
+    rnd = random.Random(n)
+    lengths = [rnd.randint(low, high) for _ in range(n)]
+    held = packing.pack_lengths(lengths, size)
+    assert sorted(i for h in held for i in h) == list(range(n))
+    under = [[lengths[i] for i in h] for h in held if sum(lengths[i] for i in h) < size]
+
+    def sums(h):
+        return set(h), {x + y for i, x in enumerate(h) for y in h[i + 1 :]}
+
+    for taker in under:
+        room, (one, two) = size - sum(taker), sums(taker)
+        for giver in under:
+            if giver is not taker:
+                gives, pairs = sums(giver)
+                gains = {a - b for a in gives for b in {0} | one | two} | {a - b for a in pairs for b in one}
+                assert not any(0 < g <= room and g > sum(giver) - sum(taker) for g in gains)
