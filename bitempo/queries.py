@@ -362,6 +362,12 @@ def o6_cyclic_trade(spark, d):
     return motifs.count_motifs(selection.select_edges(c2(spark, d), selection.EdgeFilter(t_from=start, t_to=start + 60 * DAY)), motifs.NAMED["cyclic"], DAY)
 
 
+@query("o6_cyclic_trade_whole")
+def o6_cyclic_trade_whole(spark, d):
+    """Over the whole trade graph; no SQL, which would join too many rows. ``o6_cyclic_trade`` compares 60 days of it with SQL."""
+    return motifs.count_motifs(c2(spark, d), motifs.NAMED["cyclic"], DAY)
+
+
 @query("o7_cyclic_rows", f"WITH {C1} SELECT e0.src AS n0, e1.src AS n1, e2.src AS n2, e0.eid AS e0, e1.eid AS e1, e2.eid AS e2, e0.t AS t_first, e2.t AS t_last {_motif_sql(motifs.NAMED['cyclic'], 24 * HOUR)}")
 def o7_cyclic_rows(spark, d):
     rows = motifs.motif_rows(c1(spark, d), motifs.NAMED["cyclic"], 24 * HOUR)

@@ -36,8 +36,8 @@ def message_store(spark: SparkSession, sf_dir: str) -> Store:
 
 
 def trade_store(spark: SparkSession, sf_dir: str) -> Store:
-    """Trade graph of one year and order beliefs."""
-    edges = corpora.trade_edges(spark, sf_dir).where(f"t >= {788_918_400_000_000} and t < {788_918_400_000_000 + 365 * DAY}").persist()
+    """Trade graph and order beliefs."""
+    edges = corpora.trade_edges(spark, sf_dir).persist()
     ops = stamp_transaction_time(corpora.order_beliefs(spark, sf_dir).withColumn("log_shard", log_shard("ident")))
     return Store(spark, edges, segment_versions(ops).persist(), corpora.session_intervals(spark, sf_dir), user_ids(edges), ops.agg(F.max("tt")).first()[0] or 0)
 

@@ -170,3 +170,25 @@ def test_diff_edges_against_sets(spark):
     got = {(r["src"], r["dst"]): r["change"] for r in diff.diff_edges(frame(spark, edges), 10, 30, 8).collect()}
     live = lambda t: {(a, b) for _, a, b, x in edges if t - 8 < x <= t}
     assert {p for p, c in got.items() if c == "added"} == live(30) - live(10) and {p for p, c in got.items() if c == "removed"} == live(10) - live(30)
+
+
+def test_trade_queries_read_the_whole_graph(spark, sf):
+    from bitempo import workloads
+    from bitempo.functions.timeaxis import DAY
+    from bitempo.queries import QUERIES
+    from bitempo.sources import corpora
+
+    edges = sorted(tuple(r) for r in corpora.trade_edges(spark, sf).select("t", "eid", "src", "dst").collect())
+    wanted = 0
+    for i, (t0, _, a, b) in enumerate(edges):
+        near = []
+        for e in edges[i + 1 :]:
+            if e[0] - t0 > DAY:
+                break
+            near.append(e)
+        for j, (_, _, x, c) in enumerate(near):
+            if x == b and len({a, b, c}) == 3:
+                wanted += sum(y == c and z == a for _, _, y, z in near[j + 1 :])
+    assert QUERIES["o6_cyclic_trade_whole"](spark, sf).first()["count"] == wanted > 0
+    store = workloads.trade_store(spark, sf)
+    assert store.edges.count() == len(edges) == spark.read.parquet(f"{sf}/lineitem.parquet").count()
