@@ -7,12 +7,14 @@ character offsets; a document's score is a logistic function of its evidence, wh
 Labels are of documents, so the field learns from token labels derived from them: words of toxic training texts are labelled if they show
 a feature that toxic texts have in many contexts and clean ones hardly ever.
 
-Most words have no feature of any weight. Between the words that do, the chain's steps are all alike, so a run of them is
-applied as a power of one 2 x 2 matrix: the exact marginals at a cost that follows the words that matter.
+Most words have no feature of any weight and are not in capitals. Between the words that do or are, the chain's steps are all alike, so
+a run of them is applied as a power of one 2 x 2 matrix: the exact marginals at a cost that follows the words that matter. Words in
+capitals without a feature bear on their neighbours' marginals and can be in spans, but are no evidence of their own.
 
 Cases: null, empty and word-less texts have no evidence and the least score; repeated rows get equal results; texts of
 any length are read whole; with no labelled row, or labels of one kind alone, every text scores 0. The training sample is bounded by
-``PER_LABEL`` labelled texts, chosen by a hash of the id; other columns are ignored.
+``PER_LABEL`` labelled texts, chosen by a hash of the id; each is read whole, and the field learns from stretches of ``size`` words that cover
+all its marked words, and one more at random. Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -97,14 +99,19 @@ class Model:
 
 
 def _windows(texts: list[list[str]], toxic: list[int], marks: set[str], size: int, rng) -> list[tuple[list[str], list[int]]]:
-    """Stretches of words with token labels: round the first marked words, and one at random from each text."""
+    """Stretches of words with token labels: as few as cover all marked words, each begun at random before one, and one at random from each text."""
     out = []
     for words, y in zip(texts, toxic):
         if not words:
             continue
         marked = [i for i, w in enumerate(words) if any(f in marks for f in features(w.lower()))]
         label = set(marked) if y else set()
-        starts = {max(0, i - rng.randrange(size)) for i in marked[:4]} | {rng.randrange(max(1, len(words) - size + 1))}
+        starts, covered = {rng.randrange(max(1, len(words) - size + 1))}, -1
+        for i in marked:
+            if i >= covered:
+                start = max(0, i - rng.randrange(size))
+                covered = start + size
+                starts.add(start)
         for s in sorted(starts):
             part = words[s : s + size]
             out.append((part, [int(s + k in label) for k in range(len(part))]))
@@ -261,7 +268,7 @@ class Tagger:
         return 1 / (1 + math.exp(-max(-40.0, min(40.0, slope * math.log(evidence + EPSILON) + offset)))), found if spans else []
 
     def evidence(self, text: str | None) -> tuple[float, list[tuple[int, int, float]]]:
-        """Evidence that some word is toxic, -log of the chance that none is by the marginals of the words that matter; and the spans."""
+        """Evidence that some word is toxic, -log of the chance that none is by the marginals of the words with a feature; and the spans."""
         if not text or not self.model.weights:
             return 0.0, []
         lowered = text.lower()
@@ -273,11 +280,11 @@ class Tagger:
         if len(raw) != len(words):  # lower-casing changed the length of a word's marks
             words = [m.group().lower() for m in raw]
             hot = self._matters(set(words))
-        at = [i for i, w in enumerate(words) if w in hot]
+        upper = [self.model.capitals != 0 and len(m.group()) > 1 and m.group().isupper() for m in raw]
+        at = [i for i, w in enumerate(words) if upper[i] or w in hot]
         local = []
         for i in at:
-            w = raw[i].group()
-            score = self.model.emission(words[i]) + self.model.capitals * (len(w) > 1 and w.isupper())
+            score = self.model.emission(words[i]) + self.model.capitals * upper[i]
             local.append(np.array([1.0, math.exp(min(40.0, max(-40.0, score)))]))
         ahead, row, last = [], None, -1
         for i, here in zip(at, local):
@@ -299,7 +306,8 @@ class Tagger:
         found: list[list] = []
         total, end = 0.0, None
         for i, p in zip(at, marginals):
-            total -= math.log(max(1 - p, 1e-12))
+            if words[i] in hot:
+                total -= math.log(max(1 - p, 1e-12))
             if p >= 0.5:
                 m = raw[i]
                 if found and end == i - 1:
