@@ -4,7 +4,7 @@ A profile holds the ``top`` most frequent letter n-grams (n = 1 to 3, words padd
 texts. A text's own ``top`` n-grams are ranked alike; each adds the difference of its two ranks, or ``top`` where
 the profile lacks it. The language of least distance wins, ties go to the lesser code.
 
-Cases: null texts and texts without a letter are ``und`` with score 0; with no training row every text is ``und``;
+Cases: null texts and texts without a letter (Unicode category L; fractions, superscripts and circled numbers are none) are ``und`` with score 0; with no training row every text is ``und``;
 ties of counts are ranked by the n-gram's code points; repeated rows get equal results; very long texts are counted
 whole; other columns are ignored. The training sample is bounded by ``per_language`` texts of each language (chosen by
 a hash of the id); whatever is predicted is predicted from the whole text.
@@ -24,7 +24,17 @@ from pyspark.sql import functions as F
 TOP = 400
 PER_LANGUAGE = 4000
 UNKNOWN = "und"
-_WORD = re.compile(r"[^\W\d_]+")
+_WORD = re.compile(r"[^\W\d_]+")  # letters, and numbers that are not decimal digits
+
+
+def letter_words(text: str) -> Counter[str]:
+    """Counts of the runs of letters (Unicode category L) of a lower-cased text."""
+    words = Counter(_WORD.findall(text))
+    for word in [w for w in words if not w.isalpha()]:
+        n = words.pop(word)
+        for part in "".join([c if c.isalpha() else " " for c in word]).split():
+            words[part] += n
+    return words
 
 
 class GramCounter:
@@ -55,7 +65,7 @@ class GramCounter:
 
     def ranked(self, text: str, top: int) -> tuple[np.ndarray, np.ndarray]:
         """Numbers and counts of the text's most frequent n-grams, most frequent first; empty if it has no letter."""
-        words = Counter(_WORD.findall(text.lower()))
+        words = letter_words(text.lower())
         if not words:
             return np.zeros(0, np.int64), np.zeros(0, np.int64)
         if len(self.grams) > self.most_grams or len(self.of_word) > self.most_words:

@@ -13,9 +13,7 @@ from bitempo.llm.common import fold_of, table
 def brute_rank_order(text, profiles, top):
     """Out-of-place distance straight from its definition."""
     counts = {}
-    import re
-
-    for w in re.findall(r"[^\W\d_]+", text.lower()):
+    for w in "".join([c if c.isalpha() else " " for c in text.lower()]).split():
         p = f" {w} "
         for gram in [*w, *[p[i : i + 2] for i in range(len(p) - 1)], *[p[i : i + 3] for i in range(len(p) - 2)]]:
             counts[gram] = counts.get(gram, 0) + 1
@@ -60,6 +58,13 @@ def test_language_of_odd_texts(spark, docs):
     assert df.limit(1).select(language.predicted(F.lit("abc"), {}).alias("p")).first()["p"]["lang_pred"] == "und"
 
 
+@pytest.mark.parametrize("text,letters", [("½ ² ③", False), ("Ⅷ ² 12 _", False), ("x² + y³", True), ("ab½cd", True), ("", False), ("日本", True)])
+def test_numbers_that_are_no_digits_are_no_letters(text, letters):
+    profiles = {"aa": ["a", "b", "ab"], "xx": ["x", "y", "日"]}
+    wanted = brute_rank_order(text, profiles, 10)[0]
+    assert language.Identifier(profiles, 10).identify(text)[0] == wanted and (wanted != "und") == letters
+
+
 def brute_marginals(model, words):
     """Forward-backward over every word."""
     if not words:
@@ -106,6 +111,27 @@ def test_collapsed_marginals_equal_full_forward_backward(model):
         assert len(spans) == sum(x >= 0.5 and (i == 0 or p[i - 1] < 0.5) for i, x in enumerate(p))
 
 
+def test_capitals_without_a_feature_bear_on_their_neighbours():
+    model = toxicity.Model({"w=bad": 9.0}, -4.0, ((0.5, -0.5), (-0.5, 1.0)), 0.0, 1.5, (1.0, 0.0))
+    rnd, tagger = random.Random(5), toxicity.Tagger(model)
+    for _ in range(80):
+        words = [rnd.choice(("stone", "STONE", "Tree", "X", "bad", "BAD", "ÉTÉ")) for _ in range(rnd.randrange(1, 40))]
+        p = brute_marginals(model, words)
+        wanted = -sum(np.log(1 - x) for w, x in zip(words, p) if w.lower() == "bad")
+        evidence, spans = tagger.evidence(" ".join(words))
+        assert abs(evidence - wanted) < 1e-6 * max(1, wanted)
+        if wanted:
+            assert len(spans) == sum(x >= 0.5 and (i == 0 or p[i - 1] < 0.5) for i, x in enumerate(p))
+
+
+def test_windows_cover_every_marked_word():
+    words = [f"w{i}" if i % 7 else "bad" for i in range(500)]
+    windows = toxicity._windows([words, words], [1, 0], {"w=bad"}, 24, random.Random(1))
+    seen = {w for part, ys in windows for w in part}
+    assert {"bad"} < seen and sum(sum(ys) for _, ys in windows) >= sum(w == "bad" for w in words)
+    assert len(windows) <= 2 * (500 // 10 + 2)
+
+
 def test_spans_are_offsets_of_the_words(model):
     text = "The river,  badword!! of NASTIER stone"
     score, spans = toxicity.Tagger(model).tag(text)
