@@ -50,9 +50,9 @@ def signed(v):
     return v - (1 << 64) if v >> 63 else v
 
 
-@pytest.mark.parametrize("most", [2, 16])
-def test_links_give_the_classes_of_all_pairs(spark, most):
-    rnd, values = random.Random(7), set()
+@pytest.mark.parametrize("seed", [7, 8])
+def test_links_give_the_classes_of_all_pairs(spark, seed):
+    rnd, values = random.Random(seed), set()
     for _ in range(12):
         v = rnd.getrandbits(64)
         for _ in range(rnd.choice((1, 4, 40))):  # some dense groups, with chains
@@ -61,7 +61,8 @@ def test_links_give_the_classes_of_all_pairs(spark, most):
                 v ^= 1 << rnd.randrange(64)
     values |= {0, 1, (1 << 64) - 1, 1 << 63}
     prints = spark.createDataFrame([(signed(v),) for v in values], "fp long")
-    links = [(r["u"] % (1 << 64), r["v"] % (1 << 64)) for r in simhash.fingerprint_links(prints, most=most).collect()]
+    links = [(r["u"] % (1 << 64), r["v"] % (1 << 64)) for r in simhash.fingerprint_links(prints).collect()]
+    assert sorted({tuple(sorted(p)) for p in links}) == sorted((a, b) for a in values for b in values if a < b and (a ^ b).bit_count() <= 2) and len(links) == len(set(links))
     found = {r["node"]: r["root"] for r in components.components(spark.createDataFrame([(signed(a), signed(b)) for a, b in links], "u long, v long")).collect()}
     groups = {}
     for v in values:
@@ -69,6 +70,36 @@ def test_links_give_the_classes_of_all_pairs(spark, most):
     assert sorted(map(sorted, groups.values())) == brute_classes(values)
 
 
+def test_index_tallies_shared_bytes():
+    """A pair meets in as many lists as six positions can be chosen from the bytes that it shares."""
+    rnd, index = random.Random(9), simhash.Index()
+    for flips in ((3,), (3, 5), (3, 60), (63,), (0, 63)):
+        a = rnd.getrandbits(64)
+        b = a ^ sum(1 << f for f in flips)
+        lists, left = index.postings(np.array([a, b], np.uint64))
+        assert [int(x) % (1 << 64) for x in index.fingerprints(lists, left)] == [a, b] * 28
+        order = np.lexsort((left, lists))
+        u, v = index.near(lists[order], left[order])
+        shared = sum((a >> 8 * i & 255) == (b >> 8 * i & 255) for i in range(8))
+        assert len(u) == len(v) == (7 if shared == 7 else 1)
+
+
+def test_one_list_of_all_its_members():
+    """65,536 fingerprints of one list are linked without pairing all with all."""
+    index = simhash.Index()
+    lists, left = index.postings(np.arange(1 << 16, dtype=np.uint64) << np.uint64(16))
+    chosen = lists == lists[np.flatnonzero(np.bincount(np.unique(lists, return_inverse=True)[1])[np.unique(lists, return_inverse=True)[1]] == 1 << 16)[0]]
+    order = np.argsort(left[chosen])
+    u, _ = index.near(lists[chosen][order], left[chosen][order])
+    assert len(u) == (1 << 16) * (16 + 120) // 2
+
+
+def test_copies_of_one_text_are_dealt_over_tasks(spark, docs):
+    rows = [(i, "one two three four" if i % 3 else f"text {i} of its own", "en", "a") for i in range(300)]
+    got = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicate_classes(docs(rows)).collect()}
+    assert len(got) == 300 and {got[i] for i in range(300) if i % 3} == {1} and all(got[i] <= i for i in got)
+
+
 def test_components_of_a_long_chain_and_a_hub(spark):
     rows = [(i, i + 1) for i in range(200)] + [(1000, 1000 + i) for i in range(1, 300)] + [(5, 5), (7, 6)]
     found = {r["node"]: r["root"] for r in components.components(spark.createDataFrame(rows, "u long, v long")).collect()}
