@@ -1,20 +1,21 @@
 """Mixing sources to target weights, with DataFrame functions alone.
 
 Every source's words are one line, cut into blocks of ``block`` words; documents lie on it in the order of a hash of their ids. The
-mix is a row of output slots of one block each, in shards of ``shard`` slots. A shard draws how many of its slots each source
-gets: the whole parts of its expected counts, and multinomial draws with the fractions for the slots that are left, which keeps
-every shard multinomial in expectation at the least spread. A source's slots are numbered on through the shards; number j stands
-for place j mod n of the pseudorandom permutation of its n blocks that belongs to epoch j div n, and blocks join slots by place.
+mix is a row of output slots of one block each, in shards of ``shard`` slots. Each slot of a shard draws its source with the sources'
+shares as probabilities, so a shard's counts are multinomial. A source's slots are numbered on through the shards; number j is filled by
+block P(j mod n) of its n blocks, where P is the pseudorandom permutation that belongs to epoch j div n.
 
-Permutations are by rank of a keyed md5, found in two steps (rank within one of 4,096 hash ranges, plus what lies before that
-range), so that no window holds all blocks of a source; the places of documents on a source's line are found alike.
+A permutation is a function of the index, so nothing is sorted or ranked: a Feistel network over two parts of the index, whose product
+of sizes is the least that holds n, with keys from a hash of source, epoch and round; what falls beyond n goes through it again. Slots
+meet the documents' blocks by the block's index. The places of documents on a source's line are ranks by a hash of their ids, found in two steps
+(within one of 4,096 hash ranges, plus what lies before that range), so that no window holds all documents of a source.
 
 Targets: sources in code-point order, null last, weigh 1, 2, 3 in turn; each gets its share of all words, but at most ``most`` = 3 times
 its own, and what is left over is shared again by weight. All draws and permutations depend on the data and ``seed`` alone.
 
 Cases: a null text or source is no words and a source of its own; documents without words are never taken; ties of doc_id are ordered by size;
-repeated rows are separate documents; an empty table gives an empty one; a shard's draws beyond ``most`` epochs
-of a source are left out, so nothing is repeated more often; other columns are ignored.
+repeated rows are separate documents; an empty table gives an empty one; a source's slots beyond ``most`` epochs
+are left out, so nothing is repeated more often; other columns are ignored. Windows without a key are over rows of sources, one for each.
 """
 
 from __future__ import annotations
@@ -25,7 +26,8 @@ from pyspark.sql import functions as F
 from .common import stash
 
 WORDS = r"[^\x20\x09-\x0D]+"
-BLOCK, SHARD, MOST, CELLS, SALTS, SEED = 64, 1 << 16, 3, 64, 64, "mix-1"
+BLOCK, SHARD, MOST, CELLS, ROUNDS, SEED = 64, 1 << 16, 3, 4096, 6, "mix-1"
+FACTOR, WRAP = 73_244_475, 1 << 31  # of the rounds of a permutation
 
 
 def keyed(*parts: str | Column, seed: str = SEED) -> Column:
@@ -71,33 +73,18 @@ def source_targets(sizes: DataFrame, block: int = BLOCK, most: int = MOST) -> Da
 
 
 def shard_counts(sources: DataFrame, shard: int = SHARD) -> DataFrame:
-    """(shard, no, slots): multinomial source counts of each output shard."""
+    """(shard, no, slots): multinomial source counts of each output shard, one draw for each slot."""
     everything = Window.partitionBy()
+    before = Window.orderBy("no").rowsBetween(Window.unboundedPreceding, -1)
     held = sources.where("share > 0").select("no", "share").withColumn("all_shares", F.sum("share").over(everything))
-    held = held.withColumn("all_slots", F.expr("(all_shares + 500) div 1000")).withColumn("shards", F.expr(f"(all_slots + {shard - 1}) div {shard}"))
-    # shards are of two kinds, full ones and the last; expected counts are the same within a kind
-    kinds = held.withColumn("kind", F.explode(F.array(F.lit(0), F.lit(1)))).withColumn("slots", F.expr(f"if(kind = 0, {shard}, all_slots - (shards - 1) * {shard})"))
-    per_kind = Window.partitionBy("kind")
-    kinds = (
-        kinds.withColumn("base", F.expr("slots * share div all_shares"))
-        .withColumn("rest", F.expr("slots * share % all_shares"))
-        .withColumn("spare", F.col("slots") - F.sum("base").over(per_kind))
-        .withColumn("low", F.coalesce(F.sum("rest").over(Window.partitionBy("kind").orderBy("no").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
-        .withColumn("width", F.expr(f"spare * all_shares div {CELLS} + 1"))
-    )
-    placed = kinds.withColumn("shard", F.explode(F.expr("if(kind = 0, filter(sequence(0L, shards), x -> x < shards - 1), array(shards - 1))")))
-    draws = (
-        kinds.select("kind", "shards", "spare", "all_shares", "width").distinct()
-        .withColumn("shard", F.explode(F.expr("if(kind = 0, filter(sequence(0L, shards), x -> x < shards - 1), array(shards - 1))")))
-        .withColumn("draw", F.explode(F.expr("filter(sequence(0L, spare), x -> x < spare)")))
-        .withColumn("at", keyed("shard", "draw") % (F.col("spare") * F.col("all_shares")))
-        .withColumn("cell", F.expr("at div width"))
-    )
-    # thresholds are joined by cell: few sources lie in one cell, and no side is broadcast by hand
-    spans = kinds.where("rest > 0").withColumn("cell", F.explode(F.expr("sequence(low div width, (low + rest - 1) div width)")))
-    won = draws.select("kind", "shard", "at", "cell").join(spans.select("kind", "cell", "no", "low", "rest"), ["kind", "cell"]).where("at >= low and at < low + rest")
-    both = placed.select("shard", "no", F.col("base").alias("slots")).unionByName(won.select("shard", "no", F.lit(1).cast("long").alias("slots")))
-    return both.groupBy("shard", "no").agg(F.sum("slots").alias("slots")).where("slots > 0")
+    held = held.withColumn("low", F.coalesce(F.sum("share").over(before), F.lit(0))).withColumn("width", F.expr(f"all_shares div {CELLS} + 1"))
+    held = held.withColumn("slots", F.expr("(all_shares + 500) div 1000"))
+    # sources are found by cells of their cumulated shares: a row for each source and cell that meet, so their number plus CELLS at most
+    spans = stash(held.select("no", "low", (F.col("low") + F.col("share")).alias("high"), F.explode(F.expr("sequence(low div width, (low + share - 1) div width)")).alias("cell")), "spans")
+    shards = held.select("all_shares", "width", "slots").distinct().withColumn("shard", F.explode(F.expr(f"sequence(0L, (slots + {shard - 1}) div {shard} - 1)"))).repartition("shard")
+    draws = shards.withColumn("draw", F.explode(F.expr(f"sequence(0L, least({shard}L, slots - shard * {shard}) - 1)"))).withColumn("at", keyed("shard", "draw") % F.col("all_shares"))
+    drawn = draws.select("shard", "at", F.expr("at div width").alias("cell")).join(spans, "cell").where("at >= low and at < high")
+    return drawn.groupBy("shard", "no").agg(F.count(F.lit(1)).alias("slots"))
 
 
 def _before(df: DataFrame, by: list[str], value: str, name: str) -> DataFrame:
@@ -106,25 +93,39 @@ def _before(df: DataFrame, by: list[str], value: str, name: str) -> DataFrame:
     return df.withColumn(name, F.coalesce(F.sum(value).over(window), F.lit(0)))
 
 
+def permuted(index: Column, n: Column, keys: Column) -> Column:
+    """The index, below ``n``, that a permutation with one key for each round gives to ``index``."""
+    rows = F.ceil(F.sqrt(n.cast("double"))).cast("long")
+    whole = lambda a, b: ((a - a % b) / b).cast("long")
+    columns = whole(n + rows - 1, rows)
+
+    def mixed_up(x: Column, key: Column) -> Column:
+        x = (x.bitwiseXOR(key) * F.lit(FACTOR)) % WRAP
+        x = (x.bitwiseXOR(F.shiftright(x, 15)) * F.lit(FACTOR)) % WRAP
+        return x.bitwiseXOR(F.shiftright(x, 13))
+
+    def turn(s: Column, key: Column) -> Column:
+        # the parts change places each round, and their sizes with them
+        return F.struct(s["y"].alias("x"), ((s["x"] + mixed_up(s["y"], key)) % s["of_x"]).alias("y"), s["of_y"].alias("of_x"), s["of_x"].alias("of_y"))
+
+    def once(i: Column) -> Column:
+        parts = F.struct(whole(i, columns).alias("x"), (i % columns).alias("y"), rows.alias("of_x"), columns.alias("of_y"))
+        return F.aggregate(keys, parts, turn, lambda s: s["x"] * columns + s["y"])
+
+    # fewer than ``rows`` indexes lie beyond n, so a walk that leaves is back after so many steps
+    first = once(index)
+    return F.when(first < n, first).otherwise(F.aggregate(F.sequence(F.lit(1).cast("long"), rows), first, lambda i, _: F.when(i < n, i).otherwise(once(i))))
+
+
 def mix_slots(counts: DataFrame, sources: DataFrame, most: int = MOST) -> DataFrame:
-    """(shard, no, epoch, place): the slots of every shard with the place in the source's permutation that fills them."""
-    numbered = _before(counts, ["no", "shard"], "slots", "first").join(sources.select("no", "blocks"), "no")
+    """(shard, no, epoch, block): the slots of every shard with the block of the source that fills them."""
+    keys = F.transform(F.sequence(F.lit(0), F.lit(most - 1)), lambda e: F.transform(F.sequence(F.lit(0), F.lit(ROUNDS - 1)), lambda r: keyed("no", e, r) % WRAP))
+    numbered = _before(counts, ["no", "shard"], "slots", "first").join(sources.select("no", "blocks", keys.alias("keys")), "no")
     # a source's shards are dealt out before its slots are made, so that no task makes all slots of a source
     numbered = numbered.repartition("no", "shard")
-    slots = numbered.select("shard", "no", "blocks", F.explode(F.expr("sequence(first, first + slots - 1)")).alias("j"))
-    return slots.select("shard", "no", F.expr("j div blocks").alias("epoch"), F.expr("j % blocks").alias("place")).where(F.col("epoch") < most)
-
-
-def permuted_blocks(blocks: DataFrame, used: DataFrame) -> DataFrame:
-    """(no, epoch, place, block): a permutation of each source's ``blocks(no, block)`` for each epoch that ``used(no, epochs)`` needs."""
-    # one source may hold a third of all blocks, so the join is salted by block
-    salted = used.withColumn("salt", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(SALTS - 1).cast("long"))))
-    keyed_blocks = blocks.withColumn("salt", F.col("block") % SALTS).join(salted, ["no", "salt"]).select("no", "block", F.explode(F.expr("sequence(0L, epochs - 1)")).alias("epoch"))
-    keyed_blocks = keyed_blocks.withColumn("key", keyed("no", "epoch", "block")).withColumn("part", _range_of(F.col("key")))
-    sizes = keyed_blocks.groupBy("no", "epoch", "part").agg(F.count(F.lit(1)).alias("n"))
-    starts = _before(sizes, ["no", "epoch", "part"], "n", "start").select("no", "epoch", "part", "start")
-    rank = F.row_number().over(Window.partitionBy("no", "epoch", "part").orderBy("key", "block")) - 1
-    return keyed_blocks.withColumn("rank", rank).join(starts, ["no", "epoch", "part"]).select("no", "epoch", (F.col("start") + F.col("rank")).alias("place"), "block")
+    slots = numbered.select("shard", "no", "blocks", "keys", F.explode(F.expr("sequence(first, first + slots - 1)")).alias("j")).where(F.expr(f"j div blocks < {most}"))
+    slots = slots.withColumn("epoch", F.expr("j div blocks"))
+    return slots.select("shard", "no", "epoch", permuted(F.col("j") % F.col("blocks"), F.col("blocks"), F.get("keys", F.col("epoch").cast("int"))).alias("block"))
 
 
 def place_documents(sizes: DataFrame, sources: DataFrame) -> DataFrame:
@@ -150,12 +151,8 @@ def mixed(docs: DataFrame, block: int = BLOCK, shard: int = SHARD, most: int = M
     parts = placed.where("size > 0").withColumn("block", F.explode(F.expr(f"sequence(start div {block}, (start + size - 1) div {block})")))
     parts = parts.withColumn("words", F.expr(f"least(start + size, (block + 1) * {block}) - greatest(start, block * {block})"))
     counts = stash(shard_counts(sources, shard), "counts")
-    slots = mix_slots(counts, sources, most)
-    used = counts.groupBy("no").agg(F.sum("slots").alias("n")).join(sources.select("no", "blocks"), "no")
-    used = used.select("no", F.expr(f"least({most}L, (n - 1) div blocks + 1)").alias("epochs"))
-    begun = parts.where(F.col("block") * block >= F.col("start")).select("no", "block")
+    times = mix_slots(counts, sources, most).groupBy("no", "block").agg(F.count(F.lit(1)).alias("times"))
     # sizes of exploded rows are unknown to the planner, which would broadcast them: these joins are by shuffle
-    times = slots.join(permuted_blocks(begun, used).hint("merge"), ["no", "epoch", "place"]).groupBy("no", "block").agg(F.count(F.lit(1)).alias("times"))
     taken = (
         parts.join(times.hint("merge"), ["no", "block"])
         .groupBy("no", "start")
@@ -181,7 +178,7 @@ def mixed_documents(docs: DataFrame, block: int = BLOCK, shard: int = SHARD, mos
 
 #: The same mix in DuckDB SQL.
 ORACLE = f"""
-WITH sizes AS (
+WITH RECURSIVE sizes AS (
   SELECT doc_id, source, CAST(coalesce(len(regexp_extract_all(text, '[^\\x20\\x09-\\x0D]+')), 0) AS BIGINT) AS size FROM documents),
 sums AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size FROM sizes GROUP BY source),
 numbered AS (
@@ -199,26 +196,30 @@ targets AS (
 sources AS (
   SELECT *, CASE WHEN source_size > 0 THEN CAST(floor(target * blocks * 1000 / CAST(source_size AS DOUBLE)) AS BIGINT) ELSE 0 END AS share FROM targets),
 held AS (
-  SELECT no, share, blocks, CAST(sum(share) OVER () AS BIGINT) AS all_shares FROM sources WHERE share > 0),
-kinds AS (
-  SELECT *, CASE WHEN kind = 0 THEN {SHARD} ELSE all_slots - (shards - 1) * {SHARD} END AS slots
-  FROM (SELECT *, (all_slots + {SHARD - 1}) // {SHARD} AS shards FROM (SELECT *, (all_shares + 500) // 1000 AS all_slots FROM held)) t, (VALUES (0), (1)) k(kind)),
-rests AS (SELECT *, slots * share // all_shares AS base, slots * share % all_shares AS rest FROM kinds),
-spares AS (
-  SELECT *, CAST(slots - sum(base) OVER (PARTITION BY kind) AS BIGINT) AS spare,
-    CAST(coalesce(sum(rest) OVER (PARTITION BY kind ORDER BY no ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS low FROM rests),
-shard_kinds AS (
-  SELECT DISTINCT kind, shards, spare, all_shares, unnest(CASE WHEN kind = 0 THEN range(0, shards - 1) ELSE [shards - 1] END) AS shard FROM spares),
-draws AS (SELECT kind, shard, spare, all_shares, unnest(range(0, spare)) AS draw FROM shard_kinds),
-points AS (SELECT *, CAST('0x' || substr(md5('{SEED}|' || shard || '|' || draw), 1, 15) AS BIGINT) % (spare * all_shares) AS pos FROM draws),
-won AS (SELECT d.shard, s.no, count(*) AS slots FROM points d JOIN spares s ON d.kind = s.kind AND d.pos >= s.low AND d.pos < s.low + s.rest GROUP BY ALL),
-counts AS (
-  SELECT shard, no, CAST(sum(slots) AS BIGINT) AS slots FROM (
-    SELECT k.shard, s.no, s.base AS slots FROM spares s JOIN shard_kinds k ON s.kind = k.kind UNION ALL SELECT shard, no, slots FROM won) t
-  GROUP BY shard, no HAVING sum(slots) > 0),
-drawn AS (SELECT no, CAST(sum(slots) AS BIGINT) AS n FROM counts GROUP BY no),
+  SELECT no, blocks, share, CAST(sum(share) OVER () AS BIGINT) AS all_shares,
+    CAST(coalesce(sum(share) OVER (ORDER BY no ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS low FROM sources WHERE share > 0),
+totals AS (SELECT DISTINCT all_shares, (all_shares + 500) // 1000 AS slots FROM held),
+points AS (
+  SELECT shard, CAST('0x' || substr(md5('{SEED}|' || shard || '|' || draw), 1, 15) AS BIGINT) % all_shares AS pos
+  FROM (SELECT all_shares, s // {SHARD} AS shard, s % {SHARD} AS draw FROM (SELECT all_shares, unnest(range(0, slots)) AS s FROM totals) x) y),
+drawn AS (SELECT no, count(*) AS n FROM points JOIN held ON pos >= low AND pos < low + share GROUP BY no),
 slots AS (
-  SELECT d.no, j // s.blocks AS epoch, j % s.blocks AS place FROM (SELECT no, unnest(range(0, n)) AS j FROM drawn) d JOIN sources s USING (no) WHERE j // s.blocks < {MOST}),
+  SELECT d.no, j // s.blocks AS epoch, j % s.blocks AS place, s.blocks AS n, CAST(ceil(sqrt(CAST(s.blocks AS DOUBLE))) AS BIGINT) AS a
+  FROM (SELECT no, unnest(range(0, n)) AS j FROM drawn) d JOIN sources s USING (no) WHERE j // s.blocks < {MOST}),
+keys AS (
+  SELECT no, epoch, round, CAST('0x' || substr(md5('{SEED}|' || no || '|' || epoch || '|' || round), 1, 15) AS BIGINT) % {WRAP} AS key
+  FROM (SELECT no, unnest(range(0, {ROUNDS})) AS round, epoch FROM sources, (SELECT unnest(range(0, {MOST})) AS epoch) e) t),
+walk(no, epoch, place, n, a, b, i, x, y) AS (
+  SELECT no, epoch, place, n, a, (n + a - 1) // a, 0, place // ((n + a - 1) // a), place % ((n + a - 1) // a) FROM slots
+  UNION ALL
+  SELECT no, epoch, place, n, a, b, i + 1, y, (x + xor(f, f >> 13)) % CASE WHEN i % 2 = 0 THEN a ELSE b END
+  FROM (
+    SELECT *, (xor(g, g >> 15) * {FACTOR}) % {WRAP} AS f
+    FROM (
+      SELECT w.*, (xor(w.y, k.key) * {FACTOR}) % {WRAP} AS g FROM walk w JOIN keys k ON w.no = k.no AND w.epoch = k.epoch AND w.i % {ROUNDS} = k.round
+      WHERE w.i = 0 OR w.i % {ROUNDS} != 0 OR w.x * w.b + w.y >= w.n) t) u),
+times AS (
+  SELECT no, x * b + y AS block, count(*) AS times FROM walk WHERE i > 0 AND i % {ROUNDS} = 0 AND x * b + y < n GROUP BY ALL),
 placed AS (
   SELECT doc_id, no, source_size, target, size,
     CAST(coalesce(sum(size) OVER (PARTITION BY no ORDER BY CAST('0x' || substr(md5('{SEED}|' || coalesce(doc_id, -1)), 1, 15) AS BIGINT) >> 48, doc_id NULLS FIRST, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS start
@@ -226,10 +227,6 @@ placed AS (
 parts AS (
   SELECT *, least(start + size, (block + 1) * {BLOCK}) - greatest(start, block * {BLOCK}) AS words
   FROM (SELECT *, unnest(range(start // {BLOCK}, (start + size - 1) // {BLOCK} + 1)) AS block FROM placed WHERE size > 0) t),
-permuted AS (
-  SELECT no, epoch, block, row_number() OVER (PARTITION BY no, epoch ORDER BY CAST('0x' || substr(md5('{SEED}|' || no || '|' || epoch || '|' || block), 1, 15) AS BIGINT), block) - 1 AS place
-  FROM (SELECT s.no, unnest(range(0, s.blocks)) AS block, e.epoch FROM sources s, (VALUES (0), (1), (2)) e(epoch)) t),
-times AS (SELECT no, block, count(*) AS times FROM slots JOIN permuted USING (no, epoch, place) GROUP BY no, block),
 taken AS (SELECT no, start, CAST(sum(words * times) AS BIGINT) AS taken FROM parts JOIN times USING (no, block) GROUP BY no, start)
 SELECT doc_id, size, source_size, target, CASE WHEN size > 0 THEN coalesce(taken, 0) ELSE 0 END AS taken
 FROM placed LEFT JOIN taken USING (no, start)

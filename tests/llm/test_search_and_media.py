@@ -177,15 +177,31 @@ def test_shards_and_permutations(spark):
     counts = mixing.shard_counts(sources, 100)
     per = {r["shard"]: r["n"] for r in counts.groupBy("shard").agg(F.sum("slots").alias("n")).collect()}
     assert all(n == 100 for s, n in per.items() if s < max(per))
-    used = sources.select("no", F.lit(2).cast("long").alias("epochs"))
-    blocks = sources.select("no", F.explode(F.expr("sequence(0L, blocks - 1)")).alias("block"))
-    for r in mixing.permuted_blocks(blocks, used).groupBy("no", "epoch").agg(F.sort_array(F.collect_list("place")).alias("p"), F.sort_array(F.collect_list("block")).alias("b")).collect():
-        assert r["p"] == r["b"] == list(range(len(r["p"])))
+    expected = {r["no"]: r["share"] for r in sources.collect()}
+    total = sum(expected.values())
+    spread = {}
+    for r in counts.where(F.col("shard") < max(per)).collect():
+        spread.setdefault(r["no"], []).append(r["slots"])
+    for no, seen in spread.items():  # multinomial: shards differ, about as much as draws do
+        p = expected[no] / total
+        assert np.var(seen) > 0.2 * 100 * p * (1 - p) and abs(np.mean(seen) - 100 * p) < 5 * (100 * p * (1 - p) / len(seen)) ** 0.5
+    whole = spark.createDataFrame([(0, r["no"], 2 * r["blocks"]) for r in sources.collect()], "shard long, no long, slots long")
+    for r in mixing.mix_slots(whole, sources).groupBy("no", "epoch").agg(F.collect_list("block").alias("b")).collect():
+        assert sorted(r["b"]) == list(range(len(r["b"]))) and (len(r["b"]) < 9 or r["b"] != sorted(r["b"]))
     mix = mixing.mixed(df, 4, 100)
     for r in mix.groupBy("source_size", "target").agg(F.sum("taken").alias("t")).collect():
         assert abs(r["t"] - r["target"]) <= 0.1 * r["target"] + 40
 
 
+def test_every_size_is_permuted(spark):
+    keys = [123_456_789, 987_654, 31_337, 2_000_000_011, 77, 1_234]
+    rows = spark.createDataFrame([(n, i, keys) for n in [*range(1, 40), 97, 1000] for i in range(n)], "n long, i long, keys array<long>")
+    found = rows.select("n", mixing.permuted(F.col("i"), F.col("n"), F.col("keys")).alias("p")).groupBy("n").agg(F.sort_array(F.collect_list("p")).alias("p")).collect()
+    assert len(found) == 41 and all(r["p"] == list(range(r["n"])) for r in found)
+    wide = spark.range(2000).select(mixing.permuted(F.col("id"), F.lit(10**13), F.lit(keys).cast("array<long>")).alias("p")).agg(F.countDistinct("p"), F.max("p"), F.min("p")).first()
+    assert wide[0] == 2000 and wide[1] < 10**13 and wide[1] - wide[2] > 9 * 10**12
+
+
 def test_mixed_documents_keep_columns(spark, docs):
     df = docs([(i, f"word{i} " * 50, "en", "ab"[i % 2]) for i in range(60)])
     out = mixing.mixed_documents(df, block=8, shard=64)
