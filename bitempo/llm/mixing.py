@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from .common import stash
 
 WORDS = r"[^\x20\x09-\x0D]+"
-BLOCK, SHARD, MOST, CELLS, ROUNDS, SEED = 64, 1 << 16, 3, 4096, 6, "mix-1"
+BLOCK, SHARD, MOST, CELLS, ROUNDS, SEED = 32, 1 << 16, 3, 4096, 6, "mix-1"
 FACTOR, WRAP = 73_244_475, 1 << 31  # of the rounds of a permutation
 
 
