@@ -1,14 +1,15 @@
 """Token-id output in Arrow stream files of equal-length sequences.
 
-A file holds record batches of ``ids`` (fixed-size list of uint16 or uint32), ``mask`` (fixed-size list of
-bool: a real id or padding), ``ends`` (fixed-size list of bool: last id of a document) and ``doc_ids`` (ids of the documents
-that end in the sequence, in order). Batches are uncompressed, so a reader maps the file and takes sequence n
-of a batch as a zero-copy slice of one buffer.
-
-Cases: null and empty texts hold the end id alone; repeated rows are written once for each row, in any order among
-themselves; null doc_ids come first; an empty table gives no file and no rows; other columns are ignored.
-Each attempt of a task writes a file with a name of its own, and only files that a successful task reports are
-read, so lost executors and repeated tasks leave no double rows.
+A file holds record batches of ``ids`` (fixed-size list of uint16 or uint32), ``mask`` (fixed-size list of bool, one bit each: a real id
+or padding), ``ends`` (fixed-size list of bool: last id of a document) and ``doc_ids`` (ids of the documents that end in the sequence, in
+order). Batches are uncompressed and all but a file's last hold the same number of sequences, which the schema names. The writer reports where
+each batch begins, so a reader finds sequence n by one division, one seek and one slice: a reader of a mapped file gets its ids, and the
+eight to a byte packed bits of its mask, as views of the file's pages.
+
+Cases: null and empty texts hold the end id alone; documents of one id are ordered by a hash of their texts, then by the texts, so that reruns agree
+and a hot id is dealt over files; repeated rows are written once for each row; null doc_ids come first; an empty table gives no file and
+no rows; other columns are ignored. Each attempt of a task writes a file with a name of its own, and only files that a
+successful task reports are read, so lost executors and repeated tasks leave no double rows.
 """
 
 from __future__ import annotations
@@ -28,16 +29,19 @@ BATCH_SEQUENCES = 256
 NO_ID = -(1 << 63)  # stands for a null doc_id inside a file
 
 
-def _schema(length: int, wide: bool):
+def _schema(length: int, wide: bool, batch: int):
     import pyarrow as pa
 
+    if length % 8:
+        raise ValueError("a sequence's length must be a multiple of 8, so that its mask begins at a byte")
     return pa.schema(
         [
             ("ids", pa.list_(pa.uint32() if wide else pa.uint16(), length)),
             ("mask", pa.list_(pa.bool_(), length)),
             ("ends", pa.list_(pa.bool_(), length)),
             ("doc_ids", pa.list_(pa.int64())),
-        ]
+        ],
+        {"sequences_a_batch": str(batch)},
     )
 
 
@@ -57,9 +61,11 @@ class SequenceWriter:
         self.length, self.batch, self.kind = length, batch, np.uint32 if wide else np.uint16
         files, path = open_uri(uri)
         files.create_dir(path.rpartition("/")[0], recursive=True)
-        self.schema = _schema(length, wide)
+        self.schema = _schema(length, wide, batch)
         self.sink = files.open_output_stream(path)
         self.writer = pa.ipc.new_stream(self.sink, self.schema)
+        self.offsets: list[int] = []  # where each batch begins
+        self.sequences = 0
         self._clear()
 
     def _clear(self) -> None:
@@ -94,6 +100,8 @@ class SequenceWriter:
             held[sequence].append(doc_id)
         pack = lambda flat: pa.FixedSizeListArray.from_arrays(pa.array(flat), self.length)
         columns = [pack(self.ids[:size]), pack(mask), pack(self.ends[:size]), pa.array(held, pa.list_(pa.int64()))]
+        self.offsets.append(self.sink.tell() or self.schema.serialize().size)  # the schema is written with the first batch
+        self.sequences += n
         self.writer.write_batch(pa.RecordBatch.from_arrays(columns, schema=self.schema))
         self._clear()
 
@@ -113,16 +121,66 @@ def read_batches(uri: str):
         yield from reader
 
 
-def sequence_at(uri: str, index: int) -> tuple[np.ndarray, np.ndarray]:
-    """Ids and mask of sequence ``index`` of a file, without copies of the ids."""
-    for batch in read_batches(uri):
-        if index < batch.num_rows:
-            length = batch.schema.field("ids").type.list_size
-            ids = batch.column("ids").flatten().to_numpy(zero_copy_only=True)
-            mask = batch.column("mask")[index].values.to_numpy(zero_copy_only=False)
-            return ids[index * length : (index + 1) * length], mask
-        index -= batch.num_rows
-    raise IndexError(index)
+class SequenceReader:
+    """Random access to the sequences of one file; ``offsets`` as the writer reported them, else they are found by one walk over the batches' heads."""
+
+    def __init__(self, uri: str, offsets: list[int] | None = None):
+        import pyarrow as pa
+
+        files, path = open_uri(uri)
+        self.source = pa.memory_map(path) if files.type_name == "local" else files.open_input_file(path)
+        self.schema = pa.ipc.open_stream(self.source).schema
+        self.length = self.schema.field("ids").type.list_size
+        self.a_batch = int(self.schema.metadata[b"sequences_a_batch"])
+        self.offsets = list(offsets) if offsets is not None else self._walk()
+        self.held: tuple[int, object] | None = None
+
+    def _walk(self) -> list[int]:
+        import pyarrow as pa
+
+        self.source.seek(0)
+        pa.ipc.read_message(self.source)  # the schema
+        out = []
+        while True:
+            at = self.source.tell()
+            try:
+                pa.ipc.read_message(self.source)
+            except EOFError:
+                return out
+            out.append(at)
+
+    def _batch(self, index: int):
+        import pyarrow as pa
+
+        number, place = divmod(index, self.a_batch)
+        if index < 0 or number >= len(self.offsets):
+            raise IndexError(index)
+        if self.held is None or self.held[0] != number:
+            self.source.seek(self.offsets[number])
+            self.held = number, pa.ipc.read_record_batch(pa.ipc.read_message(self.source), self.schema)
+        if place >= self.held[1].num_rows:
+            raise IndexError(index)
+        return self.held[1], place
+
+    def ids(self, index: int) -> np.ndarray:
+        """Ids of a sequence, padding included, as a view."""
+        batch, place = self._batch(index)
+        return batch.column("ids").flatten().to_numpy(zero_copy_only=True)[place * self.length : (place + 1) * self.length]
+
+    def mask_bits(self, index: int) -> np.ndarray:
+        """The mask's bits, eight to a byte and the least bit first, as a view."""
+        batch, place = self._batch(index)
+        bits = np.frombuffer(batch.column("mask").flatten().buffers()[1], np.uint8)
+        return bits[place * self.length // 8 : (place + 1) * self.length // 8]
+
+    def mask(self, index: int) -> np.ndarray:
+        return np.unpackbits(self.mask_bits(index), bitorder="little").astype(bool)
+
+
+def sequence_at(uri: str, index: int, offsets: list[int] | None = None) -> tuple[np.ndarray, np.ndarray]:
+    """Ids, as a view, and mask of sequence ``index`` of a file."""
+    reader = SequenceReader(uri, offsets)
+    return reader.ids(index), reader.mask(index)
 
 
 def documents_of(uri: str) -> Iterator[tuple[int | None, np.ndarray]]:
@@ -144,8 +202,8 @@ def documents_of(uri: str) -> Iterator[tuple[int | None, np.ndarray]]:
 def write_token_files(docs: DataFrame, folder: str, vocabulary: str | None = None, end_id: int = 1, length: int = SEQUENCE) -> DataFrame:
     """Encode ``docs(doc_id, text)`` and write one file for each range of doc_ids.
 
-    Returns (place int, file string): files in ascending order of the doc_ids they hold. Texts are dealt by range before they
-    are encoded, so that sampling the ranges reads doc_id alone and encoding happens once.
+    Returns (place int, file string, sequences long, offsets array<long>): files in ascending order of the doc_ids they hold. Texts are dealt by
+    range before they are encoded, so that encoding happens once.
     """
     vocabulary = vocabulary or default_vocabulary()
 
@@ -166,10 +224,11 @@ def write_token_files(docs: DataFrame, folder: str, vocabulary: str | None = Non
                     writer.add(NO_ID if pd.isna(doc_id) else int(doc_id), np.concatenate([encoded, end]))
         if writer is not None:
             writer.close()
-            yield pd.DataFrame({"place": [place], "file": [name]})
+            yield pd.DataFrame({"place": [place], "file": [name], "sequences": [writer.sequences], "offsets": [writer.offsets]})
 
-    dealt = docs.select("doc_id", "text").repartitionByRange("doc_id").sortWithinPartitions("doc_id")
-    return dealt.mapInPandas(write, "place int, file string")
+    hashed = F.xxhash64("text")
+    dealt = docs.select("doc_id", "text").repartitionByRange("doc_id", hashed).sortWithinPartitions("doc_id", hashed, "text")
+    return dealt.select("doc_id", "text").mapInPandas(write, "place int, file string, sequences long, offsets array<long>")
 
 
 def read_token_files(files: DataFrame) -> DataFrame:

@@ -40,6 +40,12 @@ def test_token_files_round_trip(spark, docs, library, tmp_path):
     assert order == sorted(order, key=lambda i: (i is not None, i or 0))
 
 
+def test_documents_of_one_id_keep_their_order(spark, docs):
+    rows = [(5 if i % 2 else None, f"text {i % 37} " * (i % 11), "en", "s") for i in range(200)]
+    key = lambda n, length: [(r["doc_id"], r["start"], r["n_tokens"], r["ids_crc32"]) for r in token_files.token_index(docs(rows).repartition(n), length=length).orderBy("start").collect()]
+    assert key(3, 64) == key(7, 16)
+
+
 def test_sequences_are_zero_copy_slices(tmp_path):
     import numpy as np
 
@@ -54,6 +60,16 @@ def test_sequences_are_zero_copy_slices(tmp_path):
         assert ids[mask].tolist() == flat[n * 8 : n * 8 + 8].tolist() and ids.base is not None
     with pytest.raises(IndexError):
         token_files.sequence_at(uri, 99)
+    known, walked = token_files.SequenceReader(uri, w.offsets), token_files.SequenceReader(uri)
+    assert known.offsets == walked.offsets and len(known.offsets) == -(-w.sequences // 3)
+    order = list(range(w.sequences))
+    random.Random(1).shuffle(order)
+    for n in order:
+        ids, bits = known.ids(n), known.mask_bits(n)
+        assert not ids.flags.owndata and not bits.flags.owndata and not ids.flags.writeable
+        assert ids[known.mask(n)].tolist() == flat[n * 8 : n * 8 + 8].tolist() and bits.size == 1
+    with pytest.raises(ValueError):
+        token_files.SequenceWriter(str(tmp_path / "y.arrows"), 12)
     assert [(i, d.tolist()) for i, d in token_files.documents_of(uri)] == [(i, list(range(i * 3 + 1))) for i in range(7)]
 
 
