@@ -235,6 +235,26 @@ def test_top_k_equals_brute_force(spark, case):
     assert {tuple(r) for r in got} == brute_top(rows, queries)
 
 
+def test_repeated_query_rows_have_results_of_their_own(spark):
+    """Also against DuckDB with the registered SQL."""
+    import duckdb
+
+    rnd = random.Random(6)
+    rows = [(i, [rnd.gauss(0, 1) for _ in range(8)]) for i in range(1, 60)] + [(50, [rnd.gauss(0, 1) for _ in range(8)])] * 2 + [(7, [0.5] * 8)] * 2
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>").repartition(3)
+    got = sorted(tuple(r) for r in topk.top_k(df, df.where("vec_id % 50 = 0"), block=8).collect())
+    embeddings = df.toPandas()  # noqa: F841  read by DuckDB
+    assert got == sorted(duckdb.sql(topk.ORACLE).fetchall()) and len(got) == 15
+
+
+def test_reading_stops_before_the_ends_of_skewed_lists():
+    rnd = np.random.default_rng(2)
+    x = np.floor(rnd.pareto(1.0, (4096, 8)) * 100)
+    lists, q = topk.SortedLists(x, np.float64), np.ones((3, 8))
+    at, c, scores, depth = topk.block_top_k(lists, np.arange(4096), q, np.full(3, -1), 5, np.full(3, -np.inf))
+    assert depth < 4096 and all(sorted(scores[at == i])[-5:] == sorted((q[i] * x).sum(axis=1))[-5:] for i in range(3))
+
+
 def test_top_k_of_few_rows(spark):
     one = spark.createDataFrame([(0, [1.0, 2.0])], "vec_id long, embedding array<float>")
     assert topk.top_k(one, one).count() == 0 and topk.top_k(one.limit(0), one.limit(0)).count() == 0
@@ -245,7 +265,7 @@ def test_bounds_hold_at_every_depth():
     x, q = rnd.integers(-40, 40, (50, 7)).astype(float), rnd.integers(-40, 40, (9, 7)).astype(float)
     lists, exact = topk.SortedLists(x, np.float64), q @ x.T
     for depth in (1, 5, 20, 50):
-        low, high = lists.bounds(np.maximum(q, 0), np.minimum(q, 0), depth)
+        low, high = lists.lower(np.maximum(q, 0), np.minimum(q, 0), depth), lists.upper(np.maximum(q, 0), np.minimum(q, 0), depth)
         assert (low <= exact).all() and (exact <= high).all()
     assert (low == exact).all() and (high == exact).all()
 
