@@ -25,7 +25,7 @@ def table(spark: SparkSession, sf_dir: str, name: str, *columns: str) -> DataFra
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that all executors share; a temporary one is made only where the session names none (tests)."""
+    """The folder that all executors share; a temporary one is made only by a session of one machine that names none (tests)."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if found:
         return found.rstrip("/")
@@ -33,6 +33,8 @@ def shared_folder(spark: SparkSession) -> str:
     known = context.getCheckpointDir()
     if known:
         return known.rstrip("/")
+    if not context.master.startswith("local"):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
     context.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="bitempo-"))
     return context.getCheckpointDir().rstrip("/")
 
