@@ -155,21 +155,28 @@ def _prints(docs: DataFrame, *more: Column) -> DataFrame:
     return stash(docs.select("doc_id", fingerprint(F.col("text")).alias("fp"), *more).withColumn("salt", F.pmod(F.xxhash64(F.monotonically_increasing_id()), F.lit(SALTS)).cast("int")), "prints")
 
 
+def _salted_join(rows: DataFrame, table: DataFrame, key: str) -> DataFrame:
+    """Equi-join of ``rows(salt, …)`` with ``table``, which has one row for each key.
+
+    A row of the table is repeated for the salts that its key's rows have: SALTS times at most, and never more often than there are rows.
+    """
+    return rows.join(rows.select(key, "salt").distinct().join(table, key), [key, "salt"])
+
+
 def _classes(prints: DataFrame, bits: int) -> DataFrame:
     """(fp, component_id, root) for the distinct fingerprints of ``prints(doc_id, fp)``; root names the class by a fingerprint."""
     classes = stash(prints.groupBy("fp").agg(F.min("doc_id").alias("first")), "classes")
-    joined = stash(components(fingerprint_links(classes.select("fp"), bits)).withColumnRenamed("node", "fp"), "joined")
-    least = joined.join(classes, "fp").groupBy("root").agg(F.min("first").alias("component_id"))
-    of_class = joined.join(least, "root").select("fp", "component_id", "root")
+    linked = components(fingerprint_links(classes.select("fp"), bits)).withColumnRenamed("node", "fp")
+    joined = stash(linked.join(classes, "fp").withColumn("salt", F.pmod(F.xxhash64("fp"), F.lit(SALTS)).cast("int")), "joined")
+    least = stash(joined.groupBy("root").agg(F.min("first").alias("component_id")), "least")
+    of_class = _salted_join(joined.select("fp", "root", "salt"), least, "root").select("fp", "component_id", "root")
     return classes.join(of_class, "fp", "left").select("fp", F.coalesce("component_id", "first").alias("component_id"), F.coalesce("root", "fp").alias("root"))
 
 
 def near_duplicate_classes(docs: DataFrame, bits: int = BITS) -> DataFrame:
     """(doc_id, fp, component_id) for every row of ``docs(doc_id, text)``."""
     prints = _prints(docs)
-    # a class is repeated for the salts that its fingerprint's rows have: at most SALTS times, and never more often than there are rows
-    spread = prints.select("fp", "salt").distinct().join(_classes(prints, bits).select("fp", "component_id"), "fp")
-    return prints.join(stash(spread, "spread"), ["fp", "salt"]).select("doc_id", "fp", "component_id")
+    return _salted_join(prints, _classes(prints, bits).select("fp", "component_id"), "fp").select("doc_id", "fp", "component_id")
 
 
 def one_of_each_class(docs: DataFrame, bits: int = BITS) -> DataFrame:
