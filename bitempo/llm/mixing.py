@@ -27,6 +27,7 @@ from .common import stash
 
 WORDS = r"[^\x20\x09-\x0D]+"
 BLOCK, SHARD, MOST, CELLS, ROUNDS, SEED = 32, 1 << 16, 3, 4096, 6, "mix-1"
+FEW_SPANS = 100_000  # rows of four longs that are broadcast; more are met by a shuffle
 FACTOR, WRAP = 73_244_475, 1 << 31  # of the rounds of a permutation
 
 
@@ -83,6 +84,8 @@ def shard_counts(sources: DataFrame, shard: int = SHARD) -> DataFrame:
     spans = stash(held.select("no", "low", (F.col("low") + F.col("share")).alias("high"), F.explode(F.expr("sequence(low div width, (low + share - 1) div width)")).alias("cell")), "spans")
     shards = held.select("all_shares", "width", "slots").distinct().withColumn("shard", F.explode(F.expr(f"sequence(0L, (slots + {shard - 1}) div {shard} - 1)"))).repartition("shard")
     draws = shards.withColumn("draw", F.explode(F.expr(f"sequence(0L, least({shard}L, slots - shard * {shard}) - 1)"))).withColumn("at", keyed("shard", "draw") % F.col("all_shares"))
+    # the spans alone may be broadcast, and only when counted; the planner knows no size of what is exploded
+    spans = spans.hint("broadcast" if spans.count() <= FEW_SPANS else "merge")
     drawn = draws.select("shard", "at", F.expr("at div width").alias("cell")).join(spans, "cell").where("at >= low and at < high")
     return drawn.groupBy("shard", "no").agg(F.count(F.lit(1)).alias("slots"))
 
