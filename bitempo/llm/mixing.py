@@ -82,7 +82,7 @@ def shard_counts(sources: DataFrame, shard: int = SHARD) -> DataFrame:
     held = held.withColumn("slots", F.expr("(all_shares + 500) div 1000"))
     # sources are found by cells of their cumulated shares: a row for each source and cell that meet, so their number plus CELLS at most
     spans = stash(held.select("no", "low", (F.col("low") + F.col("share")).alias("high"), F.explode(F.expr("sequence(low div width, (low + share - 1) div width)")).alias("cell")), "spans")
-    shards = held.select("all_shares", "width", "slots").distinct().withColumn("shard", F.explode(F.expr(f"sequence(0L, (slots + {shard - 1}) div {shard} - 1)"))).repartition("shard")
+    shards = held.select("all_shares", "width", "slots").distinct().withColumn("shard", F.explode(F.expr(f"sequence(0L, (slots + {shard - 1}) div {shard} - 1)"))).repartition(_tasks(sources), "shard")
     draws = shards.withColumn("draw", F.explode(F.expr(f"sequence(0L, least({shard}L, slots - shard * {shard}) - 1)"))).withColumn("at", keyed("shard", "draw") % F.col("all_shares"))
     # the spans alone may be broadcast, and only when counted; the planner knows no size of what is exploded
     spans = spans.hint("broadcast" if spans.count() <= FEW_SPANS else "merge")
@@ -96,11 +96,19 @@ def _before(df: DataFrame, by: list[str], value: str, name: str) -> DataFrame:
     return df.withColumn(name, F.coalesce(F.sum(value).over(window), F.lit(0)))
 
 
-def permuted(index: Column, n: Column, keys: Column) -> Column:
-    """The index, below ``n``, that a permutation with one key for each round gives to ``index``."""
+def _parts(n: Column) -> tuple[Column, Column]:
+    """Sizes of the two parts of an index below ``n``."""
     rows = F.ceil(F.sqrt(n.cast("double"))).cast("long")
-    whole = lambda a, b: ((a - a % b) / b).cast("long")
-    columns = whole(n + rows - 1, rows)
+    return rows, _whole(n + rows - 1, rows)
+
+
+def _whole(a: Column, b: Column) -> Column:
+    return ((a - a % b) / b).cast("long")
+
+
+def _walked(index: Column, n: Column, keys: Column) -> Column:
+    """The index below ``n`` that the network comes to when it goes on from one that is not."""
+    rows, columns = _parts(n)
 
     def mixed_up(x: Column, key: Column) -> Column:
         x = (x.bitwiseXOR(key) * F.lit(FACTOR)) % WRAP
@@ -112,12 +120,33 @@ def permuted(index: Column, n: Column, keys: Column) -> Column:
         return F.struct(s["y"].alias("x"), ((s["x"] + mixed_up(s["y"], key)) % s["of_x"]).alias("y"), s["of_y"].alias("of_x"), s["of_x"].alias("of_y"))
 
     def once(i: Column) -> Column:
-        parts = F.struct(whole(i, columns).alias("x"), (i % columns).alias("y"), rows.alias("of_x"), columns.alias("of_y"))
+        parts = F.struct(_whole(i, columns).alias("x"), (i % columns).alias("y"), rows.alias("of_x"), columns.alias("of_y"))
         return F.aggregate(keys, parts, turn, lambda s: s["x"] * columns + s["y"])
 
     # fewer than ``rows`` indexes lie beyond n, so a walk that leaves is back after so many steps
-    first = once(index)
-    return F.when(first < n, first).otherwise(F.aggregate(F.sequence(F.lit(1).cast("long"), rows), first, lambda i, _: F.when(i < n, i).otherwise(once(i))))
+    return F.aggregate(F.sequence(F.lit(1).cast("long"), rows), index, lambda i, _: F.when(i < n, i).otherwise(once(i)))
+
+
+def permuted(rows: DataFrame) -> DataFrame:
+    """``rows(index, n, keys, …)`` with ``block``: the index below n that the permutation with one key for each round gives to ``index``.
+
+    The rounds are columns one after the other, which compile to arithmetic; the few that come out beyond n walk on.
+    """
+    kept = [c for c in rows.columns if c not in ("index", "n", "keys")]
+    a, b = _parts(F.col("n"))
+    state = rows.withColumn("of_x", a).withColumn("of_y", b).withColumn("x", _whole(F.col("index"), F.col("of_y"))).withColumn("y", F.col("index") % F.col("of_y"))
+    for r in range(ROUNDS):
+        state = state.withColumn("g", (F.col("y").bitwiseXOR(F.get("keys", F.lit(r))) * F.lit(FACTOR)) % WRAP)
+        state = state.withColumn("f", (F.col("g").bitwiseXOR(F.shiftright("g", 15)) * F.lit(FACTOR)) % WRAP)
+        turned = (F.col("x") + F.col("f").bitwiseXOR(F.shiftright("f", 13))) % F.col("of_x" if r % 2 == 0 else "of_y")
+        state = state.select(*kept, "n", "keys", "of_x", "of_y", F.col("y").alias("x"), turned.alias("y"))
+    state = state.select(*kept, "n", "keys", (F.col("x") * F.col("of_y") + F.col("y")).alias("first"))
+    return state.select(*kept, F.when(F.col("first") < F.col("n"), F.col("first")).otherwise(_walked(F.col("first"), F.col("n"), F.col("keys"))).alias("block"))
+
+
+def _tasks(df: DataFrame) -> int:
+    """Tasks that make rows out of few: small inputs would be gathered in one task otherwise."""
+    return 4 * df.sparkSession.sparkContext.defaultParallelism
 
 
 def mix_slots(counts: DataFrame, sources: DataFrame, most: int = MOST) -> DataFrame:
@@ -125,10 +154,10 @@ def mix_slots(counts: DataFrame, sources: DataFrame, most: int = MOST) -> DataFr
     keys = F.transform(F.sequence(F.lit(0), F.lit(most - 1)), lambda e: F.transform(F.sequence(F.lit(0), F.lit(ROUNDS - 1)), lambda r: keyed("no", e, r) % WRAP))
     numbered = _before(counts, ["no", "shard"], "slots", "first").join(sources.select("no", "blocks", keys.alias("keys")), "no")
     # a source's shards are dealt out before its slots are made, so that no task makes all slots of a source
-    numbered = numbered.repartition("no", "shard")
+    numbered = numbered.repartition(_tasks(counts), "no", "shard")
     slots = numbered.select("shard", "no", "blocks", "keys", F.explode(F.expr("sequence(first, first + slots - 1)")).alias("j")).where(F.expr(f"j div blocks < {most}"))
     slots = slots.withColumn("epoch", F.expr("j div blocks"))
-    return slots.select("shard", "no", "epoch", permuted(F.col("j") % F.col("blocks"), F.col("blocks"), F.get("keys", F.col("epoch").cast("int"))).alias("block"))
+    return permuted(slots.select("shard", "no", "epoch", (F.col("j") % F.col("blocks")).alias("index"), F.col("blocks").alias("n"), F.get("keys", F.col("epoch").cast("int")).alias("keys")))
 
 
 def place_documents(sizes: DataFrame, sources: DataFrame) -> DataFrame:
@@ -154,7 +183,8 @@ def mixed(docs: DataFrame, block: int = BLOCK, shard: int = SHARD, most: int = M
     parts = placed.where("size > 0").withColumn("block", F.explode(F.expr(f"sequence(start div {block}, (start + size - 1) div {block})")))
     parts = parts.withColumn("words", F.expr(f"least(start + size, (block + 1) * {block}) - greatest(start, block * {block})"))
     counts = stash(shard_counts(sources, shard), "counts")
-    times = mix_slots(counts, sources, most).groupBy("no", "block").agg(F.count(F.lit(1)).alias("times"))
+    # stored, as a join's test for nulls would be pushed through the rounds of the permutation and grow with each
+    times = stash(mix_slots(counts, sources, most).groupBy("no", "block").agg(F.count(F.lit(1)).alias("times")), "times")
     # sizes of exploded rows are unknown to the planner, which would broadcast them: these joins are by shuffle
     taken = (
         parts.join(times.hint("merge"), ["no", "block"])

@@ -195,10 +195,10 @@ def test_shards_and_permutations(spark):
 
 def test_every_size_is_permuted(spark):
     keys = [123_456_789, 987_654, 31_337, 2_000_000_011, 77, 1_234]
-    rows = spark.createDataFrame([(n, i, keys) for n in [*range(1, 40), 97, 1000] for i in range(n)], "n long, i long, keys array<long>")
-    found = rows.select("n", mixing.permuted(F.col("i"), F.col("n"), F.col("keys")).alias("p")).groupBy("n").agg(F.sort_array(F.collect_list("p")).alias("p")).collect()
-    assert len(found) == 41 and all(r["p"] == list(range(r["n"])) for r in found)
-    wide = spark.range(2000).select(mixing.permuted(F.col("id"), F.lit(10**13), F.lit(keys).cast("array<long>")).alias("p")).agg(F.countDistinct("p"), F.max("p"), F.min("p")).first()
+    rows = spark.createDataFrame([(n, n, i, keys) for n in [*range(1, 40), 97, 1000] for i in range(n)], "size long, n long, index long, keys array<long>")
+    found = mixing.permuted(rows).groupBy("size").agg(F.sort_array(F.collect_list("block")).alias("p")).collect()
+    assert len(found) == 41 and all(r["p"] == list(range(r["size"])) for r in found)
+    wide = mixing.permuted(spark.range(2000).select(F.col("id").alias("index"), F.lit(10**13).alias("n"), F.lit(keys).cast("array<long>").alias("keys"))).agg(F.countDistinct("block"), F.max("block"), F.min("block")).first()
     assert wide[0] == 2000 and wide[1] < 10**13 and wide[1] - wide[2] > 9 * 10**12
 
 
