@@ -7,7 +7,7 @@ from dataclasses import dataclass, field, replace
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.timeaxis import ALLEN
+from ..functions.timeaxis import ALLEN, allen
 from ..plans.executor import Execution, PlanFailure, StepResult, lookup
 from ..plans.ir import Ref
 from ..plans.paging import digest_rows
@@ -134,14 +134,22 @@ def gate(answer: Answer, verdicts: list[Verdict]) -> GatedAnswer:
 def check_claims_table(claims: DataFrame, evidence: DataFrame) -> DataFrame:
     """Verdicts of many answers at once: (run_id, answer_id, claim_id, kind, level).
 
-    ``claims(run_id, answer_id, claim_id, kind, step_id, pointer, number, ids)`` meets ``evidence(run_id, step_id, number, ids, complete, tainted)`` by
-    one equi-join on run and step; the best cited step decides and any incomplete one lowers it. No driver loop.
+    ``claims(run_id, answer_id, claim_id, kind, cites, pointer, number, ids)`` meets ``evidence(run_id, step_id, number, ids, complete, tainted)`` by
+    one equi-join on run and step; the best cited step decides and any incomplete one lowers it. No driver loop. Orderings are claims with
+    ``a_s, a_e, b_s, b_e, relation`` whose ends are among the evidence's ``ids``; patterns are claims with a ``digest`` that must be that of the evidence.
+    Where a side has no such columns, claims of these kinds have nothing to stand on.
     """
+    extra = {"a_s": "long", "a_e": "long", "b_s": "long", "b_e": "long", "relation": "string", "digest": "string"}
+    claims = claims.withColumns({c: F.lit(None).cast(t) for c, t in extra.items() if c not in claims.columns})
+    evidence = evidence if "digest" in evidence.columns else evidence.withColumn("digest", F.lit(None).cast("string"))
     cited = claims.withColumn("step_id", F.explode("cites"))
-    met = cited.join(evidence.select("run_id", "step_id", F.col("number").alias("seen"), F.col("ids").alias("known"), (~F.col("complete") | F.col("tainted")).alias("partial")), ["run_id", "step_id"], "left")
+    met = cited.join(evidence.select("run_id", "step_id", F.col("number").alias("seen"), F.col("ids").alias("known"), F.col("digest").alias("seen_digest"), (~F.col("complete") | F.col("tainted")).alias("partial")), ["run_id", "step_id"], "left")
     number = F.coalesce(F.abs(F.col("number") - F.col("seen")) <= TOLERANCE, F.lit(False))
     entity = F.coalesce(F.size(F.array_except("ids", "known")) == 0, F.lit(False))
-    ok = F.when(F.col("kind") == "entity", entity).otherwise(number)
+    ends = F.array(*[F.col(c).cast("string") for c in ("a_s", "a_e", "b_s", "b_e")])
+    ordering = F.coalesce((F.size(F.array_except(ends, "known")) == 0) & (allen("a_s", "a_e", "b_s", "b_e") == F.col("relation")), F.lit(False))
+    pattern = F.coalesce(F.col("digest") == F.col("seen_digest"), F.lit(False))
+    ok = F.when(F.col("kind") == "entity", entity).when(F.col("kind") == "ordering", ordering).when(F.col("kind") == "pattern", pattern).otherwise(number)
     per = met.groupBy("run_id", "answer_id", "claim_id", "kind").agg(F.bool_or(ok).alias("ok"), F.bool_or(F.coalesce("partial", F.lit(False))).alias("partial"), F.bool_or(F.col("pointer").isNull() | (F.col("pointer") == F.col("step_id"))).alias("pointed"))
     level = F.when(~F.col("ok") | ~F.col("pointed"), "unsupported").when(F.col("partial"), "weak").otherwise("supported")
     return per.select("run_id", "answer_id", "claim_id", "kind", level.alias("level"))

@@ -7,7 +7,8 @@ import re
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.timeaxis import OPEN_END, overlaps, week_floor
+from ..functions.timeaxis import ALLEN, WEEK, week_floor
+from ..operators.bandjoin import interval_join
 
 
 def weekly_facts(edges: DataFrame) -> DataFrame:
@@ -38,18 +39,22 @@ def quarantine(notes: DataFrame, corrections: DataFrame) -> DataFrame:
     Corrections are put into the weeks they touch and reduced to the last transaction time of each week and kind of cut first, so the
     join is an equi-join on weeks with one row of each week on one side.
     """
-    week = 7 * 86_400_000_000
-    last = F.least(F.col("vt_e") - 1, F.lit(OPEN_END // 2))
-    bounded = corrections.where("op = 'correct' and vt_s < vt_e")
-    weeks = F.sequence(week_floor("vt_s"), week_floor(last), F.lit(week).cast("long"))
+    week = WEEK
+    # weeks outside those of the notes are not made, so an open correction takes no more of them
+    lo, hi = notes.agg(F.min("window_s"), F.max("window_s")).first()
+    begin, last = F.greatest("vt_s", F.lit(lo).cast("long")), F.least(F.col("vt_e") - 1, F.lit(hi).cast("long"))
+    bounded = corrections.where("op = 'correct' and vt_s < vt_e").where(begin <= last)
+    weeks = F.sequence(week_floor(begin), week_floor(last), F.lit(week).cast("long"))
     touched = bounded.select(F.explode(weeks).alias("window_s"), "tt").groupBy("window_s").agg(F.max("tt").alias("last_tt"))
     return notes.join(touched, "window_s", "left").withColumn("quarantined", F.col("quarantined") | F.coalesce(F.col("last_tt") > F.col("created_tt"), F.lit(False))).drop("last_tt").select(*notes.columns)
 
 
 def quarantine_any(notes: DataFrame, corrections: DataFrame) -> DataFrame:
-    """The same for windows of any length, by interval overlap."""
-    hit = corrections.where("op = 'correct'").select(F.col("vt_s").alias("c_s"), F.col("vt_e").alias("c_e"), F.col("tt").alias("c_tt"))
-    late = notes.join(hit, overlaps("window_s", "window_e", F.col("c_s"), F.col("c_e")) & (F.col("c_tt") > F.col("created_tt")), "left_semi").select("note_id")
+    """The same for windows of any length: an interval join in slices of a week."""
+    windows = notes.select("note_id", "created_tt", F.col("window_s").alias("a_s"), F.col("window_e").alias("a_e"))
+    hit = corrections.where("op = 'correct' and vt_s < vt_e").select(F.col("vt_s").alias("b_s"), F.col("vt_e").alias("b_e"), F.col("tt").alias("c_tt"))
+    sharing = tuple(r for r in ALLEN if r not in ("before", "after", "meets", "met_by"))
+    late = interval_join(windows, hit, [], sharing, WEEK).where("c_tt > created_tt").select("note_id").distinct()
     return notes.drop("quarantined").join(late.withColumn("quarantined", F.lit(True)), "note_id", "left").withColumn("quarantined", F.coalesce("quarantined", F.lit(False)))
 
 

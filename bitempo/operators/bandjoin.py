@@ -8,6 +8,10 @@ from pyspark.sql import functions as F
 from ..functions.timeaxis import ALLEN, allen
 
 
+#: Candidate pairs that a join without an equality may look at.
+THETA_BUDGET = 1_000_000_000
+
+
 def slice_of(t: Column | str, width: int) -> Column:
     t = F.col(t) if isinstance(t, str) else t
     return F.floor(t / F.lit(width)).cast("long")
@@ -34,26 +38,40 @@ def salted_join(left: DataFrame, right: DataFrame, keys: list[str], salts: int)
     return a.join(b, [*keys, "_salt"]).drop("_salt")
 
 
-def interval_join(a: DataFrame, b: DataFrame, keys: list[str], relations: tuple[str, ...], width: int) -> DataFrame:
+def theta_join(a: DataFrame, b: DataFrame, test: Column, budget: int = THETA_BUDGET) -> DataFrame:
+    """Pairs that pass a test which has no equality in it; refused if there are more than ``budget`` candidates."""
+    candidates = a.count() * b.count()
+    if candidates > budget:
+        raise ValueError(f"{candidates} candidate pairs exceed {budget}: add a match key")
+    return a.join(b, test)
+
+
+def interval_join(a: DataFrame, b: DataFrame, keys: list[str], relations: tuple[str, ...], width: int, budget: int = THETA_BUDGET) -> DataFrame:
     """Pairs of intervals (a_s, a_e) and (b_s, b_e) of equal keys in one of the ``relations``, with their relation.
 
     Relations that touch or share time meet in the slice of the later start, to which each side is repeated over its own slices; so a
-    pair meets in one slice alone and nothing is made distinct. ``before`` and ``after`` join on the keys and can be as large as all pairs.
+    pair meets in one slice alone and nothing is made distinct. Later starts lie among the other side's starts, so a side's slices are cut to
+    their extent, and an open interval takes no more of them than that. ``before`` and ``after`` join on the keys and can be as large as all
+    pairs; without keys they are made only if their number of candidates, which is counted, is within ``budget``.
     """
     relation = allen("a_s", "a_e", "b_s", "b_e")
     near = tuple(r for r in relations if r not in ("before", "after"))
     far = tuple(r for r in relations if r in ("before", "after"))
     out = None
     if near:
-        # an end touches the slice that begins at it, for meets and met_by
-        sliced = lambda df, s, e: df.withColumn("_slice", F.explode(F.sequence(slice_of(s, width), slice_of(e, width))))
-        pairs = sliced(a, "a_s", "a_e").join(sliced(b, "b_s", "b_e"), [*keys, "_slice"])
+        def sliced(df: DataFrame, s: str, e: str, lo: int | None, hi: int | None) -> DataFrame:
+            # an end touches the slice that begins at it, for meets and met_by
+            begin, end = F.greatest(F.col(s), F.lit(lo).cast("long")), F.least(F.col(e), F.greatest(F.col(s), F.lit(hi).cast("long")))
+            return df.where(begin <= end).withColumn("_slice", F.explode(F.sequence(slice_of(begin, width), slice_of(end, width))))
+
+        ends = lambda df, s: df.agg(F.min(s), F.max(s)).first()
+        pairs = sliced(a, "a_s", "a_e", *ends(b, "b_s")).join(sliced(b, "b_s", "b_e", *ends(a, "a_s")), [*keys, "_slice"])
         pairs = pairs.where(F.col("_slice") == slice_of(F.greatest("a_s", "b_s"), width)).drop("_slice")
         out = pairs.withColumn("relation", relation).where(F.col("relation").isin(*near))
     if far:
         test = {"before": F.col("a_e") < F.col("b_s"), "after": F.col("b_e") < F.col("a_s")}
         both = test[far[0]] if len(far) == 1 else test["before"] | test["after"]
-        pairs = a.join(b, keys).where(both) if keys else a.join(b, both)
+        pairs = a.join(b, keys).where(both) if keys else theta_join(a, b, both, budget)
         pairs = pairs.withColumn("relation", relation)
         out = pairs if out is None else out.unionByName(pairs)
     return out
@@ -76,4 +94,4 @@ def relation_totals(a: DataFrame, b: DataFrame, keys: list[str]) -> DataFrame:
     return counted.groupBy(*keys).agg(F.coalesce(F.sum(F.when(F.col("what") == "ea", F.col("sb"))), F.lit(0)).alias("before"), F.coalesce(F.sum(F.when(F.col("what") == "eb", F.col("sa"))), F.lit(0)).alias("after"))
 
 
-__all__ = ["ALLEN", "band_join", "interval_join", "relation_totals", "salted_join", "slice_of"]
+__all__ = ["ALLEN", "band_join", "interval_join", "relation_totals", "salted_join", "slice_of", "theta_join"]

@@ -128,8 +128,8 @@ def count_all_three_edge(edges: DataFrame, delta: int) -> DataFrame:
     ends = ["n0", "n1"]
     fresh = F.when(role("s", ends) == 2, F.col("s")).when(role("d", ends) == 2, F.col("d"))
     two = two.select("t0", "n0", "n1", fresh.alias("n2"), F.concat(role("s", ends), role("d", ends)).alias("second"), F.col("t").alias("t_last"), F.col("e").alias("e_last"), F.explode(F.array(slice_of("t0", width), slice_of("t0", width) + 1)).alias("slice"))
-    # without a third node yet, -1 stands for it: no node has that number in these graphs
-    three = extend(two.withColumn("n2", F.coalesce("n2", F.lit(-1).cast("long"))), ["n0", "n1", "n2"])
-    r = lambda c: F.when(F.col(c) == F.col("n0"), 0).when(F.col(c) == F.col("n1"), 1).when((F.col(c) == F.col("n2")) | (F.col("n2") == -1), 2).otherwise(3)
+    # n2 is null until a third node is met, whatever numbers nodes have
+    three = extend(two, ["n0", "n1", "n2"])
+    r = lambda c: F.when(F.col(c) == F.col("n0"), 0).when(F.col(c) == F.col("n1"), 1).when(F.col("n2").isNull() | (F.col(c) == F.col("n2")), 2).otherwise(3)
     typed = three.select("second", F.concat(r("s"), r("d")).alias("third")).where("third not like '%3%'")
     return typed.groupBy(F.concat(F.lit("m"), "second", F.lit("_"), "third").alias("pattern")).agg(F.count(F.lit(1)).alias("count"))

@@ -11,6 +11,8 @@ unless ``source_waits``. Three ways to the same result:
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -31,29 +33,32 @@ def _window_edges(edges: DataFrame, t_from: int, t_to: int) -> DataFrame:
     return edges.where((F.col("t") >= t_from) & (F.col("t") <= t_to) & (F.col("src") != F.col("dst"))).select("eid", "src", "dst", "t")
 
 
-def reach_unlimited(edges: DataFrame, sources: DataFrame, t_from: int, t_to: int, strict: bool = True, rounds: int = 64) -> DataFrame:
-    """(source, node, arrival) without wait limits."""
+def reach_unlimited(edges: DataFrame, sources: DataFrame, t_from: int, t_to: int, strict: bool = True) -> DataFrame:
+    """(source, node, arrival) without wait limits, in as many rounds as the longest chain of improvements has edges.
+
+    Each round writes its improvements alone; they are put together with what was known every eighth round.
+    """
     live = cut(_window_edges(edges, t_from, t_to).select("src", "dst", "t"))
     best = cut(sources.select(F.col("node").alias("source"), "node").distinct().withColumn("arrival", F.lit(t_from).cast("long")))
-    frontier = best
-    for _ in range(rounds):
+    frontier, least = best, F.min("arrival").alias("arrival")
+    for n in count(1):
         t = F.col("t")
         step = frontier.join(live, frontier["node"] == live["src"]).where(t > F.col("arrival") if strict else t >= F.col("arrival"))
         found = step.groupBy("source", F.col("dst").alias("node")).agg(F.min("t").alias("arrival"))
-        known = best.select("source", "node", F.col("arrival").alias("known"))
+        known = best.groupBy("source", "node").agg(F.min("arrival").alias("known"))
         frontier = cut(found.join(known, ["source", "node"], "left").where("known is null or arrival < known").select("source", "node", "arrival"))
         if frontier.isEmpty():
-            return best
-        best = cut(best.unionByName(frontier).groupBy("source", "node").agg(F.min("arrival").alias("arrival")))
-    raise RuntimeError(f"reachability did not settle in {rounds} rounds")
+            return best.groupBy("source", "node").agg(least)
+        best = best.unionByName(frontier)
+        best = cut(best.groupBy("source", "node").agg(least)) if n % 8 == 0 else best
 
 
-def live_labels(edges: DataFrame, sources: DataFrame, t_from: int, t_to: int, max_wait: int | None, min_wait: int = 0, strict: bool = True, source_waits: bool = False, max_hops: int | None = None, rounds: int = 400) -> DataFrame:
+def live_labels(edges: DataFrame, sources: DataFrame, t_from: int, t_to: int, max_wait: int | None, min_wait: int = 0, strict: bool = True, source_waits: bool = False, max_hops: int | None = None) -> DataFrame:
     """(source, node, arrival, hops): every reachable label at its least number of hops."""
     live = cut(_window_edges(edges, t_from, t_to).select("src", "dst", "t").distinct())
     start = sources.select(F.col("node").alias("source"), "node").distinct().withColumns({"arrival": F.lit(t_from).cast("long"), "hops": F.lit(0)})
     seen = frontier = cut(start)
-    for hop in range(1, rounds + 1):
+    for hop in count(1):
         if max_hops is not None and hop > max_hops:
             return seen
         at_source = (F.col("hops") == 0) & F.lit(not source_waits)
@@ -64,7 +69,6 @@ def live_labels(edges: DataFrame, sources: DataFrame, t_from: int, t_to: int, ma
             return seen
         seen = seen.unionByName(frontier)
         seen = cut(seen) if hop % 8 == 0 else seen
-    raise RuntimeError(f"reachability did not settle in {rounds} rounds")
 
 
 def sweep_arrivals(edges: DataFrame, source: int, t_from: int, t_to: int, max_wait: int | None, slice_us: int, strict: bool = True) -> DataFrame:

@@ -153,6 +153,8 @@ def _evolve(store, a):
 @operator("interval_pairs", "Interval pairs of two selections in given relations.", {"a": NEED("object"), "b": NEED("object"), "relations": NEED("array"), "match": Param("string", choices=("src",))}, {"a_id": "integer", "b_id": "integer", "relation": "string"}, ("a_id", "b_id"))
 def _pairs(store, a):
     held = store.intervals
+    if a.get("as_of_tt") is not None:  # an interval is known from its transaction time, or its start, on
+        held = held.where(F.col("tt" if "tt" in held.columns else "i_s") <= a["as_of_tt"])
 
     def side(f: dict) -> DataFrame:
         out = held
@@ -165,7 +167,11 @@ def _pairs(store, a):
 
 @operator("resolve_names", "Identifiers of a name.", {"text": NEED("string", role="name"), "mode": Param("string", choices=resolve.MODES), "types": ARR}, {"ident": "integer", "type": "string", "name": "string", "score": "number", "ambiguous": "boolean"}, ("type", "ident"))
 def _resolve(store, a):
-    return resolve.resolve_names(store.names, a["text"], a.get("mode", "folded"), a.get("types"))
+    names = store.names
+    if a.get("as_of_tt") is not None:  # a user is known from the first edge on; names of the fixed tables always are
+        known = edges_of(store, {"as_of_tt": a["as_of_tt"]}).select(F.explode(F.array("src", "dst")).alias("ident")).distinct()
+        names = names.where("type != 'user'").unionByName(names.where("type = 'user'").join(known, "ident", "left_semi"))
+    return resolve.resolve_names(names, a["text"], a.get("mode", "folded"), a.get("types"))
 
 
 @operator("compute", "Count, sum, extrema, top-k, filter or interval relation over an earlier step's rows.", {"fn": NEED("string", choices=arithmetic.FUNCTIONS), "input": NEED("rows", role="rows"), "field": STR, "k": Param("integer", least=1), "test": ARR, "ends": ARR, "relation": Param("string", choices=ALLEN)}, {"value": "number"}, ())

@@ -6,6 +6,7 @@ instead of changing what was told before.
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterator
 
 import pandas as pd
@@ -69,31 +70,70 @@ def burst_stream(counts: DataFrame, lookback: int = 8, threshold: float = 2.0) -
     return counts.groupBy("key").applyInPandasWithState(step, "key string, bucket long, value double, score double, is_burst boolean", "past array<double>", "append", GroupStateTimeout.NoTimeout)
 
 
+class EpochTable:
+    """A table in a folder of the shared store, written by epoch: writing an epoch again replaces it, so a repeated micro-batch changes nothing."""
+
+    def __init__(self, spark: SparkSession, folder: str, schema: str):
+        self.spark, self.folder, self.schema = spark, folder, schema
+
+    def write(self, df: DataFrame, epoch: int) -> None:
+        df.write.mode("overwrite").parquet(f"{self.folder}/epoch={epoch}")
+
+    def epochs(self) -> list[int]:
+        """The epochs written so far, by Spark's own listing of the folder."""
+        context = self.spark.sparkContext
+        path = context._jvm.org.apache.hadoop.fs.Path(self.folder)
+        files = path.getFileSystem(context._jsc.hadoopConfiguration())
+        names = [s.getPath().getName() for s in files.listStatus(path)] if files.exists(path) else []
+        # without the mark of a finished write an epoch does not count
+        done = [n for n in names if n.startswith("epoch=") and files.exists(context._jvm.org.apache.hadoop.fs.Path(f"{self.folder}/{n}/_SUCCESS"))]
+        return sorted(int(n[6:]) for n in done)
+
+    def read(self, epochs: list[int]) -> DataFrame:
+        if not epochs:
+            return self.spark.createDataFrame([], self.schema)
+        return self.spark.read.schema(self.schema).parquet(*[f"{self.folder}/epoch={e}" for e in epochs])
+
+
 class BeliefIngest:
-    """``foreachBatch`` writer of a belief log: idempotent by batch id, transaction times go on from the last one."""
+    """``foreachBatch`` writer of a belief log: idempotent by batch id, transaction times go on from the last one, and each batch commits or fails.
+
+    What is believed now is kept beside the log, one table an epoch, so outcomes are decided without the log's history: the pieces
+    believed of the identities at hand stand before the new operations as assertions at their own times. Of the log, the batch ids and
+    the greatest time are read. Batches of an epoch may span identities.
+    """
 
-    def __init__(self, spark: SparkSession, folder: str):
-        self.spark, self.folder = spark, folder
+    BELIEVED = "ident string, vt_s long, vt_e long, tt_s long, w double"
+    LOG = "log_shard int, batch_id long, seq int, phys long, tt long, op string, ident string, vt_s long, vt_e long, w double, outcome string, fail_code string"
+    HELD = -(1 << 62)  # stands for the batch of what is believed; no batch has it
 
-    def log(self) -> DataFrame | None:
-        from pyspark.errors import AnalysisException
+    def __init__(self, spark: SparkSession, folder: str, require_existing: bool = True):
+        self.spark, self.require_existing = spark, require_existing
+        self.rows, self.believed = EpochTable(spark, f"{folder}/log", self.LOG), EpochTable(spark, f"{folder}/believed", self.BELIEVED)
 
-        try:
-            return self.spark.read.parquet(self.folder)
-        except AnalysisException:
-            return None
+    def log(self) -> DataFrame:
+        return self.rows.read(self.rows.epochs())
 
     def __call__(self, batch: DataFrame, epoch: int) -> None:
+        from ..lineage import cut
         from ..substrate.clock import log_shard, stamp_transaction_time
+        from ..substrate.fold import decide_outcomes, fold_identities
         from ..substrate.log import new_only
 
-        held = self.log()
-        high = 0
-        if held is not None:
-            batch = new_only(batch, held)
-            high = held.agg(F.max("tt")).first()[0] or 0
-        stamped = stamp_transaction_time(batch.withColumn("log_shard", log_shard("ident")), high_water=high)
-        stamped.withColumn("outcome", F.lit("committed")).write.mode("append").parquet(self.folder)
+        held = self.rows.read([e for e in self.rows.epochs() if e < epoch])
+        believed = self.believed.read([e for e in self.believed.epochs() if e < epoch][-1:])
+        high = held.agg(F.max("tt")).first()[0] or 0
+        stamped = cut(stamp_transaction_time(new_only(batch, held).withColumn("log_shard", log_shard("ident")), high_water=high))
+        touched = stamped.select("ident").distinct()
+        before = believed.join(touched, "ident", "left_semi").select(
+            F.lit(self.HELD).alias("batch_id"), F.lit(0).alias("seq"), F.lit("assert").alias("op"), "ident", "vt_s", "vt_e", "w", F.col("tt_s").alias("phys"), F.col("tt_s").alias("tt")
+        )
+        both = before.unionByName(stamped.select(*before.columns))
+        outcomes = cut(decide_outcomes(both, self.require_existing).where(F.col("batch_id") != self.HELD))
+        self.rows.write(stamped.join(outcomes, "batch_id").selectExpr("int(log_shard)", "batch_id", "seq", "phys", "tt", "op", "ident", "vt_s", "vt_e", "w", "outcome", "fail_code"), epoch)
+        committed = before.unionByName(stamped.join(outcomes.where("outcome = 'committed'").select("batch_id"), "batch_id", "left_semi").select(*before.columns))
+        live = fold_identities(committed, False).select("ident", F.explode("state.live").alias("p")).select("ident", "p.vt_s", "p.vt_e", "p.tt_s", "p.w")
+        self.believed.write(believed.join(touched, "ident", "left_anti").select("ident", "vt_s", "vt_e", "tt_s", "w").unionByName(live), epoch)
 
 
 def route_late(batch: DataFrame, watermark: int, tt: int) -> tuple[DataFrame, DataFrame]:
@@ -103,11 +143,25 @@ def route_late(batch: DataFrame, watermark: int, tt: int) -> tuple[DataFrame, Da
 
 
 class ArrivalState:
-    """Incremental earliest arrival: each batch of time-ordered edges extends (node, first, latest), which is all that is kept."""
+    """Incremental earliest arrival: each batch of time-ordered edges extends (node, first, latest), which is all that is kept.
+
+    The state lies in a folder, one table an epoch, so a restarted stream goes on from the epoch before the one it repeats.
+    """
+
+    SCHEMA = "node long, first long, latest long"
+
+    def __init__(self, spark: SparkSession, source: int, t_from: int, max_wait: int | None = None, folder: str | None = None):
+        from ..lineage import shared_folder
 
-    def __init__(self, spark: SparkSession, source: int, t_from: int, max_wait: int | None = None):
         self.spark, self.source, self.t_from, self.max_wait = spark, source, t_from, max_wait
-        self.state = spark.createDataFrame([(source, t_from, t_from)], "node long, first long, latest long")
+        self.held = EpochTable(spark, folder or f"{shared_folder(spark)}/arrivals-{uuid.uuid4().hex}", self.SCHEMA)
+
+    @property
+    def state(self) -> DataFrame:
+        return self._at(self.held.epochs())
+
+    def _at(self, epochs: list[int]) -> DataFrame:
+        return self.held.read(epochs[-1:]) if epochs else self.spark.createDataFrame([(self.source, self.t_from, self.t_from)], self.SCHEMA)
 
     def __call__(self, batch: DataFrame, epoch: int) -> None:
         from pyspark.sql import Window
@@ -115,7 +169,8 @@ class ArrivalState:
         from ..lineage import cut
 
         part = batch.where("src != dst").select("src", "dst", "t")
-        arrivals = self.state.select("node", F.col("latest").alias("at"))
+        before = self._at([e for e in self.held.epochs() if e < epoch])
+        arrivals = before.select("node", F.col("latest").alias("at"))
         while True:
             both = part.select(F.col("src").alias("node"), F.col("t").alias("at"), "dst", F.lit(None).cast("long").alias("arr")).unionByName(arrivals.select("node", "at", F.lit(None).cast("long").alias("dst"), F.col("at").alias("arr")))
             last = F.last("arr", ignorenulls=True).over(Window.partitionBy("node").orderBy("at").rangeBetween(Window.unboundedPreceding, -1))
@@ -127,7 +182,7 @@ class ArrivalState:
                 break
             arrivals = cut(arrivals.unionByName(new))
         merged = arrivals.groupBy("node").agg(F.min("at").alias("f"), F.max("at").alias("l"))
-        self.state = cut(merged.join(self.state, "node", "left").select("node", F.least("first", "f").alias("first"), F.greatest("latest", "l").alias("latest")))
+        self.held.write(merged.join(before, "node", "left").select("node", F.least("first", "f").alias("first"), F.greatest("latest", "l").alias("latest")), epoch)
 
 
 def withdrawn_notes(corrections: DataFrame, notes: DataFrame) -> DataFrame:
