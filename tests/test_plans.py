@@ -222,3 +222,37 @@ def test_cost_measures(spark, store, tmp_path):
     assert tuple(tokens_per_task(prompts).first()) == (2, 97.5)
     (row,) = guard_calibration(store, [("earliest_arrival", {"sources": [0], **WINDOW})])
     assert row[1] >= row[2] > 0
+
+
+def test_table_form_checks_orderings_and_patterns(spark):
+    from bitempo.claims.verifier import check_claims_table
+
+    evidence = spark.createDataFrame([("r", "s1", None, ["0", "5", "9", "12"], True, False, "d1"), ("r", "s2", None, ["0", "5"], False, False, "d2")], "run_id string, step_id string, number double, ids array<string>, complete boolean, tainted boolean, digest string")
+    rows = [
+        (0, "ordering", ["s1"], 0, 5, 9, 12, "before", None), (1, "ordering", ["s1"], 0, 5, 9, 12, "after", None), (2, "ordering", ["s1"], 0, 5, 9, 13, "before", None),
+        (3, "pattern", ["s1"], None, None, None, None, None, "d1"), (4, "pattern", ["s1"], None, None, None, None, None, "d2"), (5, "pattern", ["s2"], None, None, None, None, None, "d2"),
+        (6, "ordering", ["s2"], 0, 5, 0, 5, "equals", None),
+    ]
+    claims = spark.createDataFrame([("r", "a", c, k, cites, None, None, None, *more) for c, k, cites, *more in rows], "run_id string, answer_id string, claim_id int, kind string, cites array<string>, pointer string, number double, ids array<string>, a_s long, a_e long, b_s long, b_e long, relation string, digest string")
+    got = {r["claim_id"]: r["level"] for r in check_claims_table(claims, evidence).collect()}
+    assert got == {0: "supported", 1: "unsupported", 2: "unsupported", 3: "supported", 4: "unsupported", 5: "weak", 6: "weak"}
+    plain = claims.drop("a_s", "a_e", "b_s", "b_e", "relation", "digest")
+    assert {r["level"] for r in check_claims_table(plain, evidence.drop("digest")).collect()} == {"unsupported"}
+
+
+def test_pins_reach_intervals_and_names(store):
+    from bitempo.plans.registry import REGISTRY
+
+    pairs = lambda **a: REGISTRY["interval_pairs"].run(store, {"a": {}, "b": {}, "relations": ["overlaps"], "match": "src", **a}).count()
+    assert 0 == pairs(as_of_tt=T0 - 1) <= pairs(as_of_tt=T0 + 5 * DAY) < pairs()
+    names = lambda **a: REGISTRY["resolve_names"].run(store, {"text": "3", "mode": "exact", **a}).where("type = 'user'").count()
+    assert names(as_of_tt=T0 - DAY) == 0 and names() == 1
+
+
+def test_estimates_follow_seeds_and_node_sets(store):
+    from bitempo.plans.guard import estimate
+
+    one, many = ({"seeds": s, "k": 1, "t": T0} for s in ([1], ref("s1.rows[*].node")))
+    assert estimate("khop_neighbourhood", one, store.stats) < estimate("khop_neighbourhood", many, store.stats)
+    motif = {"pattern": "cyclic", "delta": DAY}
+    assert estimate("count_motifs", {**motif, "nodes": [1, 2]}, store.stats) < estimate("count_motifs", motif, store.stats)

@@ -60,3 +60,35 @@ def test_a_later_correction_withdraws_notes_it_overlaps(spark):
         assert [r["window_s"] for r in f(made, change).where("quarantined").collect()] == [7 * DAY]
         assert f(made, change.withColumn("tt", F.lit(50))).where("quarantined").count() == 0
     assert notes.citable(notes.quarantine(made, change)).count() == made.count() - 1
+
+
+def test_ingest_decides_outcomes_from_what_is_believed(spark, tmp_path):
+    ingest = streams.BeliefIngest(spark, str(tmp_path / "log"))
+    ingest(operations(spark, [correct_fact(1, "a", 2, 4, 2.0, phys=10), assert_fact(2, "b", 0, 10, 1.0, phys=11)]), 0)
+    ingest(operations(spark, [correct_fact(3, "b", 2, 4, 2.0, phys=20), correct_fact(4, "a", 2, 4, 2.0, phys=21)]), 1)
+    again = streams.BeliefIngest(spark, str(tmp_path / "log"))  # a restarted writer
+    again(operations(spark, [correct_fact(3, "b", 2, 4, 2.0, phys=20), correct_fact(4, "a", 2, 4, 2.0, phys=21)]), 1)
+    again(operations(spark, [correct_fact(5, "b", 20, 24, 2.0, phys=30), correct_fact(6, "b", 3, 5, 7.0, phys=31)]), 2)
+    got = {r["batch_id"]: (r["outcome"], r["fail_code"]) for r in again.log().collect()}
+    failed = ("failed", "F_NOTHING_TO_CORRECT")
+    assert got == {1: failed, 2: ("committed", None), 3: ("committed", None), 4: failed, 5: failed, 6: ("committed", None)} and again.log().count() == 6
+    pieces = sorted((r["vt_s"], r["vt_e"], r["w"]) for r in again.believed.read(again.believed.epochs()[-1:]).collect())
+    assert pieces == [(0, 2, 1.0), (2, 3, 2.0), (3, 5, 7.0), (5, 10, 1.0)]
+
+
+def test_arrivals_go_on_after_a_restart(spark, tmp_path):
+    batch = lambda *rows: spark.createDataFrame([(*r, 1.0, "e") for r in rows], EDGE)
+    first = streams.ArrivalState(spark, 0, 0, folder=str(tmp_path / "s"))
+    first(batch((1, 0, 1, 5), (2, 1, 2, 6)), 0)
+    second = streams.ArrivalState(spark, 0, 0, folder=str(tmp_path / "s"))
+    for _ in range(2):  # the epoch is repeated
+        second(batch((3, 2, 3, 9), (4, 9, 4, 9)), 1)
+    assert {r["node"]: r["first"] for r in second.state.collect()} == {0: 0, 1: 5, 2: 6, 3: 9}
+
+
+def test_an_open_correction_withdraws_the_notes_after_it(spark):
+    edges = spark.createDataFrame([(i, 0, 5, i * DAY, 1.0, "e") for i in range(21)], EDGE)
+    made = notes.write_notes(notes.weekly_facts(edges), 100)
+    change = operations(spark, [correct_fact(1, "a", 8 * DAY, 1 << 62, 1.0)]).withColumn("tt", F.lit(150))
+    for f in (notes.quarantine, notes.quarantine_any):
+        assert sorted(r["window_s"] for r in f(made, change).where("quarantined").collect()) == [7 * DAY, 14 * DAY]
