@@ -73,6 +73,13 @@ def source_targets(sizes: DataFrame, block: int = BLOCK, most: int = MOST) -> Da
     )
 
 
+def _mixed_up(x: Column, key: Column) -> Column:
+    """31 bits from 31 bits and a key."""
+    x = (x.bitwiseXOR(key) * F.lit(FACTOR)) % WRAP
+    x = (x.bitwiseXOR(F.shiftright(x, 15)) * F.lit(FACTOR)) % WRAP
+    return x.bitwiseXOR(F.shiftright(x, 13))
+
+
 def shard_counts(sources: DataFrame, shard: int = SHARD) -> DataFrame:
     """(shard, no, slots): multinomial source counts of each output shard, one draw for each slot."""
     everything = Window.partitionBy()
@@ -83,7 +90,11 @@ def shard_counts(sources: DataFrame, shard: int = SHARD) -> DataFrame:
     # sources are found by cells of their cumulated shares: a row for each source and cell that meet, so their number plus CELLS at most
     spans = stash(held.select("no", "low", (F.col("low") + F.col("share")).alias("high"), F.explode(F.expr("sequence(low div width, (low + share - 1) div width)")).alias("cell")), "spans")
     shards = held.select("all_shares", "width", "slots").distinct().withColumn("shard", F.explode(F.expr(f"sequence(0L, (slots + {shard - 1}) div {shard} - 1)"))).repartition(_tasks(sources), "shard")
-    draws = shards.withColumn("draw", F.explode(F.expr(f"sequence(0L, least({shard}L, slots - shard * {shard}) - 1)"))).withColumn("at", keyed("shard", "draw") % F.col("all_shares"))
+    # a draw is 62 bits of arithmetic on the slot's number with two keys of its shard, which makes no strings to collect
+    shards = shards.withColumn("high", keyed("shard", F.lit(0)) % WRAP).withColumn("low", keyed("shard", F.lit(1)) % WRAP)
+    draws = shards.withColumn("draw", F.explode(F.expr(f"sequence(0L, least({shard}L, slots - shard * {shard}) - 1)")))
+    draws = draws.withColumn("high", _mixed_up(F.col("draw"), F.col("high"))).withColumn("low", _mixed_up(F.col("draw"), F.col("low")))
+    draws = draws.withColumn("at", (F.col("high") * WRAP + F.col("low")) % F.col("all_shares"))
     # the spans alone may be broadcast, and only when counted; the planner knows no size of what is exploded
     spans = spans.hint("broadcast" if spans.count() <= FEW_SPANS else "merge")
     drawn = draws.select("shard", "at", F.expr("at div width").alias("cell")).join(spans, "cell").where("at >= low and at < high")
@@ -110,14 +121,9 @@ def _walked(index: Column, n: Column, keys: Column) -> Column:
     """The index below ``n`` that the network comes to when it goes on from one that is not."""
     rows, columns = _parts(n)
 
-    def mixed_up(x: Column, key: Column) -> Column:
-        x = (x.bitwiseXOR(key) * F.lit(FACTOR)) % WRAP
-        x = (x.bitwiseXOR(F.shiftright(x, 15)) * F.lit(FACTOR)) % WRAP
-        return x.bitwiseXOR(F.shiftright(x, 13))
-
     def turn(s: Column, key: Column) -> Column:
         # the parts change places each round, and their sizes with them
-        return F.struct(s["y"].alias("x"), ((s["x"] + mixed_up(s["y"], key)) % s["of_x"]).alias("y"), s["of_y"].alias("of_x"), s["of_x"].alias("of_y"))
+        return F.struct(s["y"].alias("x"), ((s["x"] + _mixed_up(s["y"], key)) % s["of_x"]).alias("y"), s["of_y"].alias("of_x"), s["of_x"].alias("of_y"))
 
     def once(i: Column) -> Column:
         parts = F.struct(_whole(i, columns).alias("x"), (i % columns).alias("y"), rows.alias("of_x"), columns.alias("of_y"))
@@ -233,8 +239,13 @@ held AS (
     CAST(coalesce(sum(share) OVER (ORDER BY no ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS low FROM sources WHERE share > 0),
 totals AS (SELECT DISTINCT all_shares, (all_shares + 500) // 1000 AS slots FROM held),
 points AS (
-  SELECT shard, CAST('0x' || substr(md5('{SEED}|' || shard || '|' || draw), 1, 15) AS BIGINT) % all_shares AS pos
-  FROM (SELECT all_shares, s // {SHARD} AS shard, s % {SHARD} AS draw FROM (SELECT all_shares, unnest(range(0, slots)) AS s FROM totals) x) y),
+  SELECT (xor(h2, h2 >> 13) * {WRAP} + xor(l2, l2 >> 13)) % all_shares AS pos
+  FROM (
+    SELECT all_shares, (xor(h1, h1 >> 15) * {FACTOR}) % {WRAP} AS h2, (xor(l1, l1 >> 15) * {FACTOR}) % {WRAP} AS l2
+    FROM (
+      SELECT all_shares, (xor(s % {SHARD}, CAST('0x' || substr(md5('{SEED}|' || s // {SHARD} || '|0'), 1, 15) AS BIGINT) % {WRAP}) * {FACTOR}) % {WRAP} AS h1,
+        (xor(s % {SHARD}, CAST('0x' || substr(md5('{SEED}|' || s // {SHARD} || '|1'), 1, 15) AS BIGINT) % {WRAP}) * {FACTOR}) % {WRAP} AS l1
+      FROM (SELECT all_shares, unnest(range(0, slots)) AS s FROM totals) x) y) z),
 drawn AS (SELECT no, count(*) AS n FROM points JOIN held ON pos >= low AND pos < low + share GROUP BY no),
 slots AS (
   SELECT d.no, j // s.blocks AS epoch, j % s.blocks AS place, s.blocks AS n, CAST(ceil(sqrt(CAST(s.blocks AS DOUBLE))) AS BIGINT) AS a
