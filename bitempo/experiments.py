@@ -9,17 +9,21 @@ from . import workloads
 from .baselines import latest, retrieval
 from .claims.verifier import check_claims_table
 from .eval import scoring
-from .functions.timeaxis import DAY, HOUR, WEEK
+from .eval.costs import guard_calibration, tokens_per_task
+from .functions.canon import canonical_row
+from .functions.timeaxis import DAY, HOUR, WEEK, covers
 from .lineage import cut, shared_folder
 from .memory import notes
 from .plans import guard, paging
 from .plans.executor import execute_plan
 from .plans.ir import Plan, ref
-from .queries import C1, C3, COUNTS, POINT, SEG, START, TTL, VALID_AT, PINNED, T0, _motif_sql, c1, c3, query
+from .queries import C1, C3, COUNTS, OPEN, POINT, SEG, START, TTL, VALID_AT, PINNED, T0, _motif_sql, c1, c3, query
 from .operators import motifs
 from .sources.tables import load_table
 from .streaming import streams
-from .substrate.segments import belief_at
+from .substrate.log import FileStore, packed_adjacency, replay
+from .substrate.segments import belief_at, segment_versions
+from .substrate.snapshots import scope, snapshot
 
 # ---- pages ------------------------------------------------------------------------------------------------------------------------
 
@@ -86,21 +90,25 @@ def plan_m04(spark, d):
 
 @query("cost_estimates")
 def cost_estimates(spark, d):
-    """Estimates of the guard with the rows that the operators then touch or make."""
+    """Estimates of the guard, which bound the rows that operators touch, with the rows that they then make."""
     store = workloads.message_store(spark, d)
     cases = {"count_motifs": {"pattern": "cyclic", "delta": 6 * HOUR}, "earliest_arrival": {"sources": [0], "t_from": T0, "t_to": T0 + 3 * DAY}, "khop_neighbourhood": {"seeds": [0], "k": 2, "t": T0 + 10 * DAY}, "metric_series": {"t_from": T0, "t_to": T0 + 30 * DAY, "width": DAY}}
-    rows = [(op, guard.estimate(op, a, store.stats), guard.refuse(op, a, store.stats) is not None) for op, a in cases.items()]
-    rows.append(("count_motifs, refused", guard.estimate("count_motifs", {"pattern": "cyclic", "delta": 10**13}, store.stats), guard.refuse("count_motifs", {"pattern": "cyclic", "delta": 10**13}, store.stats, 1000) is not None))
-    return spark.createDataFrame(rows, "operator string, estimate long, refused boolean")
+    made = {op: n for op, _, n in guard_calibration(store, list(cases.items()))}
+    rows = [(op, guard.estimate(op, a, store.stats), guard.refuse(op, a, store.stats) is not None, made[op]) for op, a in cases.items()]
+    rows.append(("count_motifs, refused", guard.estimate("count_motifs", {"pattern": "cyclic", "delta": 10**13}, store.stats), guard.refuse("count_motifs", {"pattern": "cyclic", "delta": 10**13}, store.stats, 1000) is not None, None))
+    return spark.createDataFrame(rows, "operator string, estimate long, refused boolean, rows_made long")
 
 
 # ---- measures ---------------------------------------------------------------------------------------------------------------------
 
 PROBES = f"""p AS ({POINT.format(v=VALID_AT, pin=f'AND tt <= {PINNED}')}), n AS ({POINT.format(v=VALID_AT, pin='')}),
 probes AS (SELECT p.ident, p.w AS was, n.w AS now FROM p JOIN n ON p.ident = n.ident WHERE p.w != n.w)"""
-ANSWERS = f"""{C3}, {PROBES},
+ANSWERS = f"""{SEG}, {PROBES},
 halves AS (SELECT ident, 'before' AS side, was AS gold, now FROM probes UNION ALL SELECT ident, 'current', now, now FROM probes),
-scores AS (SELECT 'full' AS system, side, CAST(CAST(ident AS BIGINT) % 3 AS VARCHAR) AS family, true AS correct FROM halves UNION ALL SELECT 'latest_state', side, CAST(CAST(ident AS BIGINT) % 3 AS VARCHAR), abs(round(now, 9) - round(gold, 9)) <= 1e-9 FROM halves)"""
+held AS (
+  SELECT ident, 'before' AS side, w FROM seg WHERE vt_s <= {VALID_AT} AND vt_e > {VALID_AT} AND tt_s <= {PINNED} AND tt_e > {PINNED}
+  UNION ALL SELECT ident, 'current', w FROM seg WHERE vt_s <= {VALID_AT} AND vt_e > {VALID_AT} AND tt_e = {OPEN}),
+scores AS (SELECT 'full' AS system, side, CAST(CAST(ident AS BIGINT) % 3 AS VARCHAR) AS family, coalesce(abs(round(w, 9) - round(gold, 9)) <= 1e-9, false) AS correct FROM halves LEFT JOIN held USING (ident, side) UNION ALL SELECT 'latest_state', side, CAST(CAST(ident AS BIGINT) % 3 AS VARCHAR), abs(round(now, 9) - round(gold, 9)) <= 1e-9 FROM halves)"""
 
 
 def _probes(spark: SparkSession, d: str) -> DataFrame:
@@ -110,10 +118,13 @@ def _probes(spark: SparkSession, d: str) -> DataFrame:
 
 
 def _scores(spark: SparkSession, d: str) -> DataFrame:
-    """Both halves of every probe, answered from the pinned belief and from the latest state."""
+    """Both halves of every probe, with gold from the operations; the full system answers by snapshots of stored versions, the latest state by what is believed now."""
     side = F.explode(F.array(*[F.struct(F.lit(s).alias("side"), F.col(g).alias("gold")) for s, g in (("before", "was"), ("current", "now"))]))
     halves = _probes(spark, d).select("ident", "was", "now", side.alias("h")).select("ident", "was", "now", "h.*")
-    full = F.when(F.col("side") == "before", F.col("was")).otherwise(F.col("now"))
+    versions = segment_versions(c3(spark, d))
+    held = snapshot(versions, VALID_AT, PINNED).select("ident", F.lit("before").alias("side"), F.col("w").alias("full"))
+    held = held.unionByName(snapshot(versions, VALID_AT).select("ident", F.lit("current").alias("side"), F.col("w").alias("full")))
+    halves, full = halves.join(held, ["ident", "side"], "left"), F.col("full")
     said = halves.withColumn("s", F.explode(F.array(F.struct(F.lit("full").alias("system"), full.alias("answer")), F.struct(F.lit("latest_state").alias("system"), F.col("now").alias("answer")))))
     return said.select("ident", "side", (F.col("ident").cast("long") % 3).cast("string").alias("family"), "s.system", scoring.number_correct(F.col("s.answer"), F.col("gold")).alias("correct"))
 
@@ -137,7 +148,7 @@ def score_rollup(spark, d):
 def bootstrap_ci(spark, d):
     """Paired difference of the full system and the latest state over all probe halves."""
     wide = _scores(spark, d).groupBy(F.concat_ws(":", "ident", "side").alias("task")).agg(F.max(F.when(F.col("system") == "full", F.col("correct").cast("int"))).alias("a"), F.max(F.when(F.col("system") == "latest_state", F.col("correct").cast("int"))).alias("b"))
-    return scoring.paired_bootstrap(wide, 2000)
+    return scoring.paired_bootstrap(wide)
 
 
 @query("interval_scores", """WITH o AS (SELECT o_orderkey, epoch_us(o_orderdate) AS s, epoch_us(max(l_shipdate)) AS e, epoch_us(min(l_shipdate)) AS m FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY o_orderkey, o_orderdate)
@@ -212,7 +223,12 @@ def baseline_chunk_topk(spark, d):
     return retrieval.retrieve_chunks(weights, "user 3 purchase", 20).withColumn("score", F.round("score", 6))
 
 
-@query("baseline_admission")
+@query("baseline_admission", f"""WITH {C1}, p AS (SELECT * FROM (VALUES (256, 1), (256, 2), (256, 20), (24, 20)) v(n, k)),
+said AS (SELECT eid, length(concat_ws(' ', 'user', src, etype, 'user', dst, 'on', strftime(make_timestamp(t), '%Y-%m-%d %H:%M:%S'), 'weight', format('{{:,.2f}}', w))) AS size FROM g),
+held AS (SELECT n, eid // n AS chunk, sum(size) + 2 * (count(*) - 1) AS size FROM said, (SELECT DISTINCT n FROM p) q GROUP BY 1, 2),
+means AS (SELECT n, avg(size) AS mean FROM held GROUP BY n),
+found AS (SELECT CAST(k AS BIGINT) AS k, CAST(n AS BIGINT) AS n, CAST(floor(mean * k * CAST(0.65 AS DOUBLE)) AS BIGINT) AS tokens FROM p JOIN means USING (n))
+SELECT *, tokens <= 32768 AS admitted FROM found""")
 def baseline_admission(spark, d):
     """Which retrieval breadths fit a serving window of 32,768 tokens."""
     edges = c1(spark, d)
@@ -308,6 +324,94 @@ def stream_reach(spark, d):
     return state.state.select("node", F.col("first").alias("arrival"))
 
 
+@query("stream_sessions", f"""WITH {C1}, x AS (SELECT *, CASE WHEN coalesce(t - lag(t) OVER (PARTITION BY src ORDER BY t, eid) < {2 * HOUR}, false) THEN 0 ELSE 1 END AS fresh FROM g),
+s AS (SELECT *, sum(fresh) OVER (PARTITION BY src ORDER BY t, eid) AS n FROM x)
+SELECT src, min(t) AS session_start, max(t) + {2 * HOUR} AS session_end, count(*) AS edges FROM s GROUP BY src, n""")
+def stream_sessions(spark, d):
+    """Stretches of a user's activity without a gap of two hours."""
+    found = _collected(spark, streams.user_sessions(_event_stream(spark, d)), "complete")
+    return found.select("src", F.col("start").alias("session_start"), F.col("end").alias("session_end"), "edges")
+
+
+@query("stream_reply_pairs", f"WITH {C1} SELECT a.eid AS a_eid, b.eid AS b_eid FROM g a JOIN g b ON a.src = b.dst AND a.dst = b.src AND b.t > a.t AND b.t <= a.t + {HOUR}")
+def stream_reply_pairs(spark, d):
+    """Edges answered in reverse within an hour, by a join of two streams."""
+    return _collected(spark, streams.reply_pairs(_event_stream(spark, d), _event_stream(spark, d)), "append")
+
+
+@query("stream_beliefs", f"WITH {C3} {POINT.format(v=VALID_AT, pin='')}")
+def stream_beliefs(spark, d):
+    """What is believed after the operations on users came as three micro-batches, from the table of live pieces that the writer keeps."""
+    import uuid
+
+    from .sources import corpora
+
+    ops = corpora.user_beliefs(spark, d)
+    lo, hi = ops.agg(F.min("batch_id"), F.max("batch_id")).first()
+    folder = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
+    for i in range(3):
+        part = F.floor((F.col("batch_id") - lo) * 3 / (hi - lo + 1)) == i
+        ops.where(part).coalesce(1).write.mode("append").parquet(f"{folder}/in")
+    arriving = spark.readStream.schema(ops.schema).option("maxFilesPerTrigger", 1).parquet(f"{folder}/in")
+    ingest = streams.BeliefIngest(spark, f"{folder}/log", require_existing=False)
+    streams.run_to_end(arriving, ingest, f"{folder}/checkpoint")
+    return ingest.believed.read(ingest.believed.epochs()[-1:]).where(covers("vt_s", "vt_e", F.lit(VALID_AT))).select("ident", "w")
+
+
+# ---- stores and digests -----------------------------------------------------------------------------------------------------------
+
+PINNED_POINT = POINT.format(v=VALID_AT, pin=f"AND tt <= {PINNED}")
+
+
+@query("replay_stores", f"WITH {C3}, b AS ({PINNED_POINT}) SELECT store, ident, w FROM b, (VALUES ('parquet'), ('orc')) s(store)")
+def replay_stores(spark, d):
+    """The log replayed into stores of two formats; a pinned snapshot read from each."""
+    import uuid
+
+    log, out = cut(c3(spark, d).withColumn("outcome", F.lit("committed"))), None
+    for kind in ("parquet", "orc"):
+        store = FileStore(spark, f"{shared_folder(spark)}/store-{uuid.uuid4().hex}", kind)
+        replay(log, store)
+        seen = snapshot(store.read("versions"), VALID_AT, PINNED).select(F.lit(kind).alias("store"), "ident", "w")
+        out = seen if out is None else out.unionByName(seen)
+    return out
+
+
+@query("pinned_immutable", f"WITH {C3}, b AS ({PINNED_POINT}) SELECT ident, w, CAST(2 AS BIGINT) AS seen FROM b")
+def pinned_immutable(spark, d):
+    """The pinned snapshot, from the operations known a day after the pin and from all: each belief is seen twice, the same."""
+    ops = c3(spark, d)
+    both = [snapshot(segment_versions(o), VALID_AT, PINNED).select("ident", "w") for o in (ops.where(F.col("tt") <= PINNED + DAY), ops)]
+    return both[0].unionByName(both[1]).groupBy("ident", "w").agg(F.count(F.lit(1)).alias("seen"))
+
+
+@query("canonical_digests", f"""WITH {C3}, b AS ({PINNED_POINT}), l AS (SELECT ident, concat('{{"ident":"', ident, '","w":"', format('{{:,.9f}}', w), '"}}') AS line FROM b)
+SELECT ident, line, sha256(line) AS digest FROM l""")
+def canonical_digests(spark, d):
+    """Canonical rows of a pinned belief and their digests."""
+    line = canonical_row(belief_at(c3(spark, d), VALID_AT, PINNED).select("ident", "w"))
+    return belief_at(c3(spark, d), VALID_AT, PINNED).select("ident", "w").select("ident", line.alias("line")).withColumn("digest", F.sha2("line", 256))
+
+
+@query("adjacency_rows", f"WITH {C1} SELECT src, t // {DAY} AS slice, CAST(row_number() OVER (PARTITION BY src, t // {DAY} ORDER BY t, eid) - 1 AS INTEGER) AS place, eid, dst FROM g")
+def adjacency_rows(spark, d):
+    """Time-ordered out-edges of each node and day."""
+    packed = packed_adjacency(c1(spark, d), DAY)
+    return packed.select("src", "slice", F.posexplode("out").alias("place", "edge")).select("src", "slice", "place", "edge.eid", "edge.dst")
+
+
+@query("scoped_versions", f"WITH {SEG} SELECT ident, vt_s, vt_e, tt_s, CASE WHEN tt_e > {PINNED} THEN {OPEN} ELSE tt_e END AS tt_e, w FROM seg WHERE tt_s <= {PINNED} AND tt_e > {PINNED}")
+def scoped_versions(spark, d):
+    """All versions believed at the pin, with ends that were not known then hidden."""
+    return scope(segment_versions(c3(spark, d)), PINNED)
+
+
+@query("tokens_per_task", f"WITH {SAID} SELECT count(*) AS tasks, round(avg(ceil(length(text) * 0.65)), 3) AS tokens FROM held")
+def prompt_tokens(spark, d):
+    """Tokens of prompts that each hold one chunk."""
+    return tokens_per_task(retrieval.chunks(c1(spark, d), 24), "text")
+
+
 # ---- studies ----------------------------------------------------------------------------------------------------------------------
 
 query("study_main")(lambda s, d: workloads.main_study(s, d))
@@ -315,6 +419,7 @@ query("study_second_corpus")(lambda s, d: workloads.second_corpus_study(s, d))
 query("study_probes")(lambda s, d: workloads.probe_study(s, d))
 query("study_planted")(lambda s, d: workloads.planted_study(s, d))
 query("study_ablations")(lambda s, d: workloads.ablation_study(s, d))
+query("study_gate")(lambda s, d: workloads.gate_study(s, d))
 query("study_planner_noise")(lambda s, d: workloads.sweep_study(s, d))
 query("mutation_rates")(lambda s, d: workloads.fault_study(s, d))
 

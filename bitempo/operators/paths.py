@@ -18,7 +18,7 @@ def _latest_departures(edges: DataFrame, dst: int, hops: int) -> list[DataFrame]
         else:
             on = edges.join(known.select(F.col("node").alias("dst"), F.col("latest").alias("must")), "dst").where(F.col("t") <= F.col("must"))
             now = on.groupBy("src").agg((F.max("t") - 1).alias("latest")).unionByName(known.select(F.col("node").alias("src"), "latest")).groupBy("src").agg(F.max("latest").alias("latest"))
-        known = now.select(F.col("src").alias("node"), "latest")
+        known = cut(now.select(F.col("src").alias("node"), "latest"))
         levels.append(known)
     return levels
 
@@ -45,6 +45,6 @@ def time_respecting_paths(edges: DataFrame, src: int, dst: int, t_from: int, t_t
         step = open_paths.join(live.select("eid", F.col("src").alias("end"), F.col("dst").alias("next"), "t"), "end").where((F.col("t") > F.col("arrives")) & ~F.array_contains("nodes", F.col("next")))
         if max_wait is not None:
             step = step.where(F.col("t") - F.col("arrives") <= max_wait)
-        paths = step.select(F.concat("nodes", F.array("next")).alias("nodes"), F.concat("eids", F.array("eid")).alias("eids"), "departs", F.col("t").alias("arrives"), F.col("next").alias("end"))
+        paths = cut(step.select(F.concat("nodes", F.array("next")).alias("nodes"), F.concat("eids", F.array("eid")).alias("eids"), "departs", F.col("t").alias("arrives"), F.col("next").alias("end")))
     best = found.orderBy("arrives", "hops", "eids").limit(k)
     return best.withColumn("rank", F.row_number().over(order)).select("rank", "nodes", "eids", "departs", "arrives", "hops")

@@ -298,7 +298,18 @@ def o4_reach_sweep(spark, d):
     return reach.sweep_arrivals(edges, 0, t0, t0 + 10 * DAY, 24 * HOUR, 5 * DAY)
 
 
-@query("o4_greedy_errors")
+GREEDY = f"""WITH RECURSIVE {C1}, live AS (SELECT src, dst, t, {START} AS t0 FROM g WHERE t <= {START} + {10 * DAY}),
+r(round, node, arrival) AS (
+  SELECT 0, CAST(0 AS BIGINT), {START}
+  UNION ALL
+  SELECT round, node, min(arrival) FROM (
+    SELECT r.round + 1 AS round, l.dst AS node, l.t AS arrival FROM r JOIN live l ON l.src = r.node AND l.t > r.arrival AND (r.node = 0 OR l.t - r.arrival <= {12 * HOUR})
+    UNION ALL SELECT r.round + 1, r.node, (SELECT min(t) FROM g) FROM r WHERE r.node = 0) s
+  WHERE round <= 100 GROUP BY round, node)
+SELECT node, arrival FROM r WHERE round = 100"""
+
+
+@query("o4_greedy_errors", f"SELECT a.node, a.arrival, b.arrival AS greedy FROM ({_reach_sql(10, 12 * HOUR)}) a LEFT JOIN ({GREEDY}) b ON a.node = b.node WHERE a.arrival IS DISTINCT FROM b.arrival")
 def o4_greedy_errors(spark, d):
     """Nodes where the rule of one label a node is wrong under a wait limit of 12 hours."""
     edges = c1(spark, d)

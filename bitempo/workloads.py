@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from .baselines.latest import LatestPattern, LatestTwoHop
 from .baselines.retrieval import ChunkRetrieval
 from .claims.verifier import Answer, Claim
-from .eval.harness import System, ablations, planner_sweep, run_baseline, run_suite
+from .eval.harness import System, ablations, planner_sweep, run_baseline, run_suite, run_task
 from .eval.mutations import CLASSES, false_positives, mutation_report, ordering_answers
 from .eval.scoring import support_report
 from .eval.tasks import make_planted_tasks, make_probe_pairs, make_tasks
@@ -17,7 +17,7 @@ from .operators.resolve import user_ids
 from .plans.executor import execute_plan
 from .plans.ir import Plan, ref
 from .plans.store import Store
-from .agents.clients import ScriptedReporter
+from .agents.clients import NoisyReporter, ScriptedReporter
 from .sources import corpora
 from .substrate.clock import log_shard, stamp_transaction_time
 from .substrate.segments import segment_versions
@@ -70,7 +70,7 @@ def second_corpus_study(spark: SparkSession, sf_dir: str, per_template: int = 1)
     return _frame(spark, rows, SCORES)
 
 
-def probe_study(spark: SparkSession, sf_dir: str, pairs: int = 5) -> DataFrame:
+def probe_study(spark: SparkSession, sf_dir: str, pairs: int = 13) -> DataFrame:
     """Scores on correction probes: the first halves need the earlier belief, which no baseline keeps."""
     store = message_store(spark, sf_dir)
     tasks = make_probe_pairs(store, "messages", pairs, PINNED, VALID_AT)
@@ -96,6 +96,17 @@ def sweep_study(spark: SparkSession, sf_dir: str, per_template: int = 1) -> Data
     return _frame(spark, [{"system": f"noise {k}", **v} for k, v in planner_sweep(tasks, store).items()], REPORT)
 
 
+def gate_study(spark: SparkSession, sf_dir: str, per_template: int = 1, seeds: tuple[int, ...] = (1, 2, 3), rate: float = 0.3) -> DataFrame:
+    """(seed, system, …) of erring reporters with and without the gate: what the gate costs in accuracy, and the spread over seeds. Plans are run once."""
+    store, memo, rows = message_store(spark, sf_dir), {}, []
+    tasks = make_tasks(store, "messages", per_template, memo=memo)
+    for seed in seeds:
+        for name, gated in (("gate", True), ("no_gate", False)):
+            system = System(name, reporter=NoisyReporter(rate, seed), gated=gated)
+            rows.append({"seed": seed, "system": name, **support_report([run_task(t, store, system, memo) for t in tasks])})
+    return _frame(spark, rows, "seed int, " + REPORT)
+
+
 def planted_study(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Recovery of planted patterns by scripted plans."""
     base = message_store(spark, sf_dir)
