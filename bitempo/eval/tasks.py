@@ -130,14 +130,24 @@ def make_probe_pairs(store: Store, suite: str, n: int, pin: int, at: int, memo:
 
 
 def make_planted_tasks(store: Store, manifest: list, suite: str = "patterns", memo: dict | None = None) -> list[Task]:
-    """One task for each planted structure of a named motif; gold is the manifest's."""
+    """One task for each planted structure; gold is the manifest's. Motifs and bursts are looked for in time alone, paths between their ends."""
+    planted = store.edges.where("eid < 0")
+    begun = {e: t for e, t in planted.select("eid", "t").collect()}  # the manifest's own edges
     out = []
     for pattern_id, kind, nodes, eids in manifest:
+        day, last = min(begun[e] for e in eids), max(begun[e] for e in eids)
         if kind == "burst":
-            continue
-        names = " ".join(map(str, nodes))
-        plan = _plan([("s1", "find_motifs", {"pattern": kind, "delta": HOUR, "nodes": list(nodes)})], {"from": "s1", "field": "rows[0].eids", "kind": "entity_set"})
-        out.append(Task(suite, f"{suite}-{pattern_id}", "T2", "p01", f"Which edges form the {kind} pattern among {names}?", "entity_set", plan, sorted(map(str, eids))))
+            template, gold, question = "p03", [str(day)], f"Which ten minutes from {day - DAY // 2} to {day + 2 * HOUR} had unusually many edges?"
+            args = {"t_from": day - DAY // 2, "t_to": day + 2 * HOUR, "width": HOUR // 6, "rule": "zscore", "lookback": 36, "threshold": 8.0, "only_bursts": True}
+            plan = _plan([("s1", "detect_bursts", args)], {"from": "s1", "field": "rows[*].bucket", "kind": "entity_set"})
+        elif kind == "path":
+            template, gold, question = "p02", sorted(map(str, eids)), f"By which edges does the first path from {nodes[0]} to {nodes[-1]} after {day - HOUR} go?"
+            args = {"src": nodes[0], "dst": nodes[-1], "t_from": day - HOUR, "t_to": last + HOUR, "k": 1, "max_hops": 3}
+            plan = _plan([("s1", "time_respecting_paths", args)], {"from": "s1", "field": "rows[0].eids", "kind": "entity_set"})
+        else:
+            template, gold, question = "p01", sorted(map(str, eids)), f"Which edges form the first {kind} pattern from {day} to {last}?"
+            plan = _plan([("s1", "find_motifs", {"pattern": kind, "delta": HOUR, "t_from": day, "t_to": last + 1})], {"from": "s1", "field": "rows[0].eids", "kind": "entity_set"})
+        out.append(Task(suite, f"{suite}-{pattern_id}", "T2", template, question, "entity_set", plan, gold))
     return split_tasks(out)
 
 

@@ -256,3 +256,11 @@ def test_estimates_follow_seeds_and_node_sets(store):
     assert estimate("khop_neighbourhood", one, store.stats) < estimate("khop_neighbourhood", many, store.stats)
     motif = {"pattern": "cyclic", "delta": DAY}
     assert estimate("count_motifs", {**motif, "nodes": [1, 2]}, store.stats) < estimate("count_motifs", motif, store.stats)
+
+
+def test_planted_structures_are_found_without_their_nodes(spark, sf):
+    from bitempo import workloads
+
+    rows = workloads.planted_study(spark, sf).collect()
+    assert len(rows) == 15 and {r["task"].split("-")[1] for r in rows} == {"cyclic", "feed_forward", "ping_pong", "path", "burst"}
+    assert all(r["correct"] for r in rows), [r["task"] for r in rows if not r["correct"]]
