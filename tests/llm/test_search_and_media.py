@@ -379,3 +379,49 @@ def test_registered_queries_run(spark, sf):
         columns = sorted(wanted.columns)
         assert sorted(got.columns) == columns
         assert sorted(map(tuple, got[columns].values.tolist())) == sorted(map(tuple, wanted[columns].values.tolist()))
+
+
+def brute_template(pages):
+    """Fixed tokens of one host: classes of equal occurrence vectors over its different pages, straight from their definition."""
+    distinct = sorted(set(p for p in pages if any(html_text.blocks_of(p))))
+    counts, words, inside = {}, {}, {}
+    for i, page in enumerate(distinct):
+        blocks, boxes = html_text.blocks_of(page)
+        for path, n in boxes.items():
+            counts.setdefault(("box", path), [0] * len(distinct))[i] = n
+        for path, text, _, article in blocks:
+            key = ("text", path, text)
+            counts.setdefault(key, [0] * len(distinct))[i] += 1
+            words[key], inside[key] = len(text.split()), inside.get(key, False) or article
+    classes = {}
+    for key, vector in counts.items():
+        held = sum(n > 0 for n in vector)
+        if held > 1 and held >= 0.5 * len(distinct) and held >= (3 if inside.get(key) else 2):
+            classes.setdefault(tuple(vector), []).append(key)
+    every = tuple([1] * len(distinct))  # the root, which every page has once, is a container too
+    fixed = set()
+    for vector, keys in classes.items():
+        texts = [k for k in keys if k[0] == "text"]
+        if texts and (vector == every or any(k[0] == "box" for k in keys) or sum(words[k] for k in texts) >= html_text.LARGE):
+            fixed |= {html_text.block_token(k[1], k[2]) for k in texts}
+    return fixed
+
+
+def test_templates_equal_brute_force_classes_on_random_pages(spark):
+    rnd, rows = random.Random(12), []
+    wrap = ("<div class='x'>{}</div>", "<article>{}</article>", "<div class='promo-box'>{}</div>", "<section><p>{}</p></section>", "<ul><li>{}</li></ul>")
+    for host in range(8):
+        fixed = [rnd.choice(wrap).format(" ".join(rnd.choice("abcdefg") * 3 for _ in range(rnd.randrange(1, 5)))) for _ in range(5)]
+        for n in range(rnd.randrange(1, 9)):
+            parts = [p for p in fixed if rnd.random() < 0.8] * rnd.choice((1, 1, 2)) + [rnd.choice(wrap).format(f"own words of {host} {n} {rnd.random()}") for _ in range(rnd.randrange(3))]
+            rnd.shuffle(parts)
+            page = "<html><body>" + "".join(parts) + "</body></html>"
+            rows += [(f"h{host}", page)] * rnd.choice((1, 1, 3))  # repeated rows are one page
+    df = spark.createDataFrame(rows, "host string, html string")
+    got = {r["host"]: set(r["fixed"]) for r in html_text.templates(df).collect()}
+    wanted = {h: brute_template([p for x, p in rows if x == h]) for h in {h for h, _ in rows}}
+    assert got == {h: f for h, f in wanted.items() if f} and len(got) > 3
+
+
+def test_media_of_an_empty_table(spark, docs):
+    assert docs([]).select(matroska.read_back(matroska.audio(F.col("text"))).alias("d")).count() == 0

@@ -244,3 +244,8 @@ def test_table_holds_every_ngram_and_scores_follow_the_definition(spark, docs):
 def test_fold(spark):
     df = spark.createDataFrame([(i,) for i in range(50)] + [(None,)], "doc_id long").select("doc_id", fold_of("doc_id", 3).alias("f"))
     assert all(r["f"] == (0 if r["doc_id"] is None else zlib.crc32(str(r["doc_id"]).encode()) % 3) for r in df.collect())
+
+
+def test_scores_of_an_empty_table(spark, docs):
+    none = spark.createDataFrame([], "doc_id long")
+    assert lm_score.scored(docs([]).select("doc_id", "text"), lm_score.train(docs([]).select("doc_id", "text"), none)).count() == 0
