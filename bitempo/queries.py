@@ -309,14 +309,14 @@ r(round, node, arrival) AS (
 SELECT node, arrival FROM r WHERE round = 100"""
 
 
-@query("o4_greedy_errors", f"SELECT a.node, a.arrival, b.arrival AS greedy FROM ({_reach_sql(10, 12 * HOUR)}) a LEFT JOIN ({GREEDY}) b ON a.node = b.node WHERE a.arrival IS DISTINCT FROM b.arrival")
+@query("o4_greedy_errors", f"SELECT a.node, a.arrival, coalesce(b.arrival, -1) AS greedy FROM ({_reach_sql(10, 12 * HOUR)}) a LEFT JOIN ({GREEDY}) b ON a.node = b.node WHERE a.arrival IS DISTINCT FROM b.arrival")
 def o4_greedy_errors(spark, d):
-    """Nodes where the rule of one label a node is wrong under a wait limit of 12 hours."""
+    """Nodes where the rule of one label a node is wrong under a wait limit of 12 hours; -1 where it does not arrive."""
     edges = c1(spark, d)
     t0 = _start(edges)
     right = reach.earliest_arrival(edges, _sources(spark, 0), t0, t0 + 10 * DAY, 12 * HOUR)
     wrong = reach.earliest_arrival_greedy(edges, _sources(spark, 0), t0, t0 + 10 * DAY, 12 * HOUR).select("node", F.col("arrival").alias("greedy"))
-    return right.join(wrong, "node", "left").where(~F.col("arrival").eqNullSafe(F.col("greedy"))).select("node", "arrival", "greedy")
+    return right.join(wrong, "node", "left").where(~F.col("arrival").eqNullSafe(F.col("greedy"))).select("node", "arrival", F.coalesce("greedy", F.lit(-1).cast("long")).alias("greedy"))
 
 
 @query("o5_paths", f"""WITH RECURSIVE {C1}, p(nodes, eids, departs, arrives, node) AS (
