@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.timeaxis import OPEN_END, covers
+from ..operators.slabs import over_slabs, slab_layout, slab_of
 
 
 def effective(ops: DataFrame) -> DataFrame:
@@ -25,12 +26,19 @@ def belief_at(ops: DataFrame, vt: int, tt: int | None = None) -> DataFrame:
 def segment_versions(ops: DataFrame) -> DataFrame:
     """(ident, vt_s, vt_e, tt_s, tt_e, w): versions with neighbours of equal belief merged; every snapshot equals the fold's.
 
-    An identity's valid time is cut at all ends of its operations; in each stretch the covering operations follow one another.
+    An identity's valid time is cut at all ends of its operations; in each stretch the covering operations follow one another. Stretches meet
+    operations in slabs of the identity's time, whose starts are cuts too, so a long history is work for many tasks and no stretch is compared
+    with operations of other slabs. Merging takes the cuts between slabs away again.
     """
     held = effective(ops).select("ident", "op", "vt_s", "vt_e", "tt", "batch_id", "w")
-    cuts = held.select("ident", F.explode(F.array("vt_s", "vt_e")).alias("at")).distinct()
-    stretch = cuts.withColumn("end", F.lead("at").over(Window.partitionBy("ident").orderBy("at"))).where("end is not null")
-    inside = stretch.join(held, "ident").where("vt_s <= at and vt_e >= end")
+    layout = slab_layout(held, "ident", "vt_s", "vt_e")
+    slab_end = F.expr("if(slab < slab_count - 1, slab_lo + (slab + 1) * slab_width, null)").alias("slab_end")
+    ends = held.select("ident", F.explode(F.array("vt_s", "vt_e")).alias("at")).join(layout, "ident").withColumn("slab", slab_of("at"))
+    starts = layout.withColumn("slab", F.explode(F.sequence(F.lit(0).cast("long"), F.col("slab_count") - 1))).withColumn("at", F.expr("slab_lo + slab * slab_width"))
+    cuts = ends.select("ident", "slab", "at", slab_end).unionByName(starts.select("ident", "slab", "at", slab_end)).distinct()
+    following = F.lead("at").over(Window.partitionBy("ident", "slab").orderBy("at"))
+    stretch = cuts.select("ident", "slab", "at", F.coalesce(following, "slab_end").alias("end")).where("end is not null")
+    inside = stretch.join(over_slabs(held, layout, "ident", "vt_s", "vt_e"), ["ident", "slab"]).where("vt_s <= at and vt_e >= end")
     after = Window.partitionBy("ident", "at").orderBy("tt", "batch_id")
     chained = inside.withColumn("tt_e", F.coalesce(F.lead("tt").over(after), F.lit(OPEN_END))).where("op != 'retract' and tt < tt_e")
     # merge neighbouring stretches that one operation decided for the same time

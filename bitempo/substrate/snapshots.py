@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.timeaxis import OPEN_END, covers, overlaps
+from ..operators.slabs import over_slabs, slab_layout, slab_of
 
 
 def mask_closure(versions: DataFrame, tt: int | None) -> DataFrame:
@@ -35,10 +36,16 @@ def public_version(df: DataFrame) -> DataFrame:
 
 
 def overlap_violations(versions: DataFrame) -> DataFrame:
-    """Pairs of versions of one identity that overlap in valid and in transaction time; a sound store has none."""
-    a, b = versions.alias("a"), versions.alias("b")
+    """Pairs of versions of one identity that overlap in valid and in transaction time; a sound store has none.
+
+    Versions meet in the slab of the later start, so an identity of any size is dealt over many tasks and a pair is made once.
+    """
+    layout = slab_layout(versions, "ident", "vt_s", "vt_e")
+    held = over_slabs(versions.select("ident", "vt_s", "vt_e", "tt_s", "tt_e"), layout, "ident", "vt_s", "vt_e").withColumn("own", F.col("slab") == slab_of("vt_s"))
+    a, b = held.alias("a"), held.alias("b")
     key = lambda x: F.struct(f"{x}.vt_s", f"{x}.tt_s", f"{x}.vt_e", f"{x}.tt_e")
-    both = (F.col("a.ident") == F.col("b.ident")) & (key("a") < key("b"))
+    # pairs are ordered by start, so the later start is b's
+    both = (F.col("a.ident") == F.col("b.ident")) & (F.col("a.slab") == F.col("b.slab")) & F.col("b.own") & (key("a") < key("b"))
     both &= overlaps(F.col("a.vt_s"), F.col("a.vt_e"), F.col("b.vt_s"), F.col("b.vt_e")) & overlaps(F.col("a.tt_s"), F.col("a.tt_e"), F.col("b.tt_s"), F.col("b.tt_e"))
     return a.join(b, both).select(F.col("a.ident").alias("ident"), F.col("a.vt_s").alias("a_vt_s"), F.col("a.tt_s").alias("a_tt_s"), F.col("b.vt_s").alias("b_vt_s"), F.col("b.tt_s").alias("b_tt_s"))
 
