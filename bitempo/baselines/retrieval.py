@@ -5,7 +5,7 @@ from __future__ import annotations
 import re
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.text import TOKENS_PER_CHARACTER
@@ -48,6 +48,13 @@ def retrieve_chunks(weights: DataFrame, query: str, k: int) -> DataFrame:
     return scored.orderBy(F.desc("score"), "chunk").limit(k)
 
 
+def retrieve_for_all(weights: DataFrame, prompts: DataFrame, k: int) -> DataFrame:
+    """(task, chunk, score, place) of the ``k`` chunks nearest to each of ``prompts(task, prompt)``; all prompts in one pass over the weights."""
+    asked = prompts.select("task", F.explode(F.array_distinct(F.regexp_extract_all(F.lower("prompt"), F.lit("[a-z0-9]+"), 0))).alias("term"))
+    scored = weights.join(asked, "term").groupBy("task", "chunk").agg(F.round(F.sum("weight"), 9).alias("score"))
+    return scored.withColumn("place", F.row_number().over(Window.partitionBy("task").orderBy(F.desc("score"), "chunk"))).where(F.col("place") <= k)
+
+
 @dataclass(frozen=True)
 class Admission:
     k: int
@@ -79,7 +86,10 @@ class ChunkRetrieval:
 
     def __call__(self, task) -> object:
         top = retrieve_chunks(self.weights, task.prompt, self.k)
-        texts = [r["text"] for r in top.join(self.held, "chunk").select("text").collect()]
+        return self.read(task, [r["text"] for r in top.join(self.held, "chunk").select("text").collect()])
+
+    @staticmethod
+    def read(task, texts: list[str]) -> object:
         events, p = read_events(texts), task.needs
         mine = [e for e in events if e[0] == p.get("u")]
         if task.template == "a01":

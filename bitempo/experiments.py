@@ -421,5 +421,7 @@ query("study_planted")(lambda s, d: workloads.planted_study(s, d))
 query("study_ablations")(lambda s, d: workloads.ablation_study(s, d))
 query("study_gate")(lambda s, d: workloads.gate_study(s, d))
 query("study_planner_noise")(lambda s, d: workloads.sweep_study(s, d))
+query("study_retrieval_breadth")(lambda s, d: workloads.breadth_study(s, d))
+query("study_scale")(lambda s, d: workloads.scale_study(s, d))
 query("mutation_rates")(lambda s, d: workloads.fault_study(s, d))
 

@@ -2,20 +2,24 @@
 
 from __future__ import annotations
 
+import json
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .baselines.latest import LatestPattern, LatestTwoHop
-from .baselines.retrieval import ChunkRetrieval
+from .baselines.retrieval import WINDOW, ChunkRetrieval, read_events, retrieve_for_all
 from .claims.verifier import Answer, Claim
 from .eval.harness import System, ablations, planner_sweep, run_baseline, run_suite, run_task
 from .eval.mutations import CLASSES, false_positives, mutation_report, ordering_answers
-from .eval.scoring import support_report
+from .eval.scoring import correct, support_report
 from .eval.tasks import make_planted_tasks, make_probe_pairs, make_tasks
-from .functions.timeaxis import DAY
+from .functions.timeaxis import DAY, OPEN_END
 from .operators.resolve import user_ids
 from .plans.executor import execute_plan
 from .plans.ir import Plan, ref
+from .plans.paging import canonical_json
+from .plans.registry import tool_manifest
 from .plans.store import Store
 from .agents.clients import NoisyReporter, ScriptedReporter
 from .sources import corpora
@@ -107,6 +111,56 @@ def gate_study(spark: SparkSession, sf_dir: str, per_template: int = 1, seeds: t
     return _frame(spark, rows, "seed int, " + REPORT)
 
 
+def breadth_study(spark: SparkSession, sf_dir: str, grid: tuple[tuple[int, int], ...] = ((1, 256), (2, 256), (20, 256), (20, 24)), per_template: int = 2, pairs: int = 5) -> DataFrame:
+    """(k, n, side, tasks, tokens, admitted, recall, correct) of chunk retrieval by its breadth: ``k`` chunks of ``n`` events.
+
+    ``tokens`` are those of the chunks that a task got, ``admitted`` is whether all tasks fit the serving window, ``recall`` the share of the events of the
+    users asked about that the chunks state. What does not fit is read all the same, so that breadth alone is judged. All tasks are retrieved in one pass.
+    """
+    store, memo = message_store(spark, sf_dir), {}
+    tasks = make_tasks(store, "messages", per_template, only=("a01", "a02", "e01"), memo=memo) + make_probe_pairs(store, "messages", pairs, PINNED, VALID_AT, memo)
+    prompts = spark.createDataFrame([(t.task_id, t.prompt) for t in tasks], "task string, prompt string")
+    users = {int(t.needs["u"]) for t in tasks}
+    sent = {r["src"]: r["n"] for r in store.edges.where(F.col("src").isin(*users)).groupBy("src").agg(F.count(F.lit(1)).alias("n")).collect()}
+    rows = []
+    for n in sorted({n for _, n in grid}):
+        reader = ChunkRetrieval(store.edges, n=n)
+        most = max(k for k, m in grid if m == n)
+        found = retrieve_for_all(reader.weights, prompts, most).join(reader.held, "chunk").select("task", "place", "text").collect()  # the tasks' own pages
+        for k in sorted(k for k, m in grid if m == n):
+            got = {t.task_id: [text for task, place, text in sorted(found) if task == t.task_id and place <= k] for t in tasks}
+            for side in sorted({t.probe_side for t in tasks}):
+                mine = [t for t in tasks if t.probe_side == side]
+                tokens = [-(-sum(map(len, got[t.task_id])) * 65 // 100) for t in mine]
+                stated = [sum(e[0] == int(t.needs["u"]) for e in read_events(got[t.task_id])) for t in mine]
+                right = [correct(t.answer_kind, reader.read(t, got[t.task_id]), t.gold) for t in mine]
+                rows.append({"k": k, "n": n, "side": side, "tasks": len(mine), "tokens": max(tokens), "admitted": max(tokens) <= WINDOW, "recall": round(sum(stated) / max(1, sum(sent.get(int(t.needs["u"]), 0) for t in mine)), 6), "correct": sum(right)})
+        reader.weights.unpersist()
+        reader.held.unpersist()
+    return _frame(spark, rows, "k long, n long, side string, tasks long, tokens long, admitted boolean, recall double, correct long")
+
+
+def scale_study(spark: SparkSession, sf_dir: str, sizes: tuple[int, ...] = (10_000, 100_000, 1_000_000)) -> DataFrame:
+    """(edges, op, rows_total, rows_returned, complete, tokens, wall_ms) of plans over generated stores of growing size, as a planner would see them.
+
+    ``tokens`` are those of the manual, the question and the page that comes back: they stay where they are as the store grows.
+    """
+    manual, rows, day = len(json.dumps(tool_manifest())), [], T0 + 180 * DAY
+    for n in sizes:
+        edges = corpora.scale_store(spark, n).persist()
+        # every edge is a belief of its pair: true for a week from its time on, and known from then
+        versions = edges.select(F.concat_ws(">", "src", "dst", "eid").alias("ident"), F.col("t").alias("vt_s"), (F.col("t") + 7 * DAY).alias("vt_e"), F.col("t").alias("tt_s"), F.lit(OPEN_END).alias("tt_e"), "w").persist()
+        store = Store(spark, edges, versions)
+        for op, args in (("khop_neighbourhood", {"seeds": [5], "k": 2, "t": day}), ("diff_states", {"t1": day, "t2": day + 30 * DAY}), ("metric_series", {"t_from": T0, "t_to": T0 + 365 * DAY, "width": DAY})):
+            plan = Plan.parse({"steps": [{"id": "s1", "op": op, "args": args}], "answer": {"from": "s1", "field": "rows_total", "kind": "count"}})
+            step = execute_plan(plan, store).steps["s1"]
+            said = manual + len(plan.to_json()) + len(canonical_json(step.page.rows))
+            rows.append({"edges": n, "op": op, "rows_total": step.page.rows_total, "rows_returned": step.page.rows_returned, "complete": step.complete, "tokens": -(-said * 65 // 100), "wall_ms": step.wall_ms})
+        edges.unpersist()
+        versions.unpersist()
+    return _frame(spark, rows, "edges long, op string, rows_total long, rows_returned long, complete boolean, tokens long, wall_ms long")
+
+
 def planted_study(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Recovery of planted patterns by scripted plans."""
     base = message_store(spark, sf_dir)
