@@ -192,3 +192,22 @@ def test_trade_queries_read_the_whole_graph(spark, sf):
     assert QUERIES["o6_cyclic_trade_whole"](spark, sf).first()["count"] == wanted > 0
     store = workloads.trade_store(spark, sf)
     assert store.edges.count() == len(edges) == spark.read.parquet(f"{sf}/lineitem.parquet").count()
+
+
+def test_cycles_are_counted_without_making_them(spark):
+    n = 3000
+    edges = spark.range(3 * n).selectExpr("id as eid", "id div 3000 as src", "(id div 3000 + 1) % 3 as dst", "id as t")
+    assert motifs.count_motifs(edges, motifs.NAMED["cyclic"], 3 * n).first()["count"] == n**3  # 27 thousand million triples of 9,000 edges
+    # the last of the first edges is alone in reaching the last edge when delta is short by its time
+    assert motifs.count_motifs(edges, motifs.NAMED["cyclic"], 2 * n).first()["count"] == n * sum(range(1, n + 1))
+
+
+def test_cycles_over_slices_and_ties(spark):
+    from bitempo.operators.cycles import count_cycles
+
+    rnd = random.Random(5)
+    rows = [(rnd.randrange(60), rnd.randrange(4), rnd.randrange(4), rnd.randrange(12) * HOUR // 2) for _ in range(120)]
+    edges = spark.createDataFrame(rows, "eid long, src long, dst long, t long")
+    for delta in (0, HOUR // 2, HOUR, 3 * HOUR):
+        assert count_cycles(edges, delta).first()["count"] == motifs.motif_rows(edges, motifs.NAMED["cyclic"], delta).count()
+    assert count_cycles(edges.where("false"), HOUR).first()["count"] == 0
