@@ -6,10 +6,13 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.timeaxis import interval_iou
+from ..lineage import cut
 from ..plans.paging import canonical_json
 
 IOU = 0.5
 TOLERANCE = 1e-9
+#: Draws of a bootstrap that one task makes.
+DRAWS_PER_TASK = 10_000_000
 
 
 def correct(kind: str, answer, gold, strict_entities: bool = False) -> bool:
@@ -53,22 +56,32 @@ def accuracy_cube(scores: DataFrame, by: list[str]) -> DataFrame:
     return scores.cube(*by).agg(F.count(F.lit(1)).alias("tasks"), F.round(F.avg(F.col("correct").cast("double")), 9).alias("accuracy"))
 
 
+def resampled_means(placed: DataFrame, n: int, resamples: int, seed: int) -> DataFrame:
+    """(resample, m) of ``placed(place, d)`` with places 0 to n - 1.
+
+    Slot i of a resample holds the task whose place is a hash of (resample, i): exact multinomial resampling without random state. All draws
+    are one range, whose size the planner knows, so the tasks' differences travel to the draws and never the draws; means are combined map-side.
+    """
+    total = resamples * n
+    draws = placed.sparkSession.range(0, total, 1, -(-total // DRAWS_PER_TASK))
+    resample, slot = F.expr(f"id div {n}L"), F.pmod("id", F.lit(n)).cast("int")
+    draws = draws.select(resample.alias("resample"), F.pmod(F.xxhash64(resample, slot, F.lit(seed)), F.lit(n)).cast("int").alias("place"))
+    return draws.join(F.broadcast(placed), "place").groupBy("resample").agg(F.avg("d").alias("m"))
+
+
 def paired_bootstrap(scores: DataFrame, resamples: int = 10_000, seed: int = 1, level: float = 0.95) -> DataFrame:
     """(diff, low, high) of the mean difference of ``scores(task, a, b)``, resampled by task.
 
-    Slot i of a resample holds the task whose place is a hash of (resample, i): exact multinomial resampling without random
-    state. Tasks are numbered in one partition (suites are small) and only their differences are joined.
+    Tasks are numbered in one partition (suites are small), and the numbered differences are kept, so that scores are made once.
     """
     from pyspark.sql import Window
 
     spark = scores.sparkSession
-    placed = scores.select((F.row_number().over(Window.orderBy("task")) - 1).alias("place"), (F.col("a").cast("double") - F.col("b").cast("double")).alias("d"))
+    placed = cut(scores.select((F.row_number().over(Window.orderBy("task")) - 1).alias("place"), (F.col("a").cast("double") - F.col("b").cast("double")).alias("d")))
     n = placed.count()
     if n == 0:
         return spark.createDataFrame([], "diff double, low double, high double")
-    draws = spark.range(resamples).select(F.col("id").alias("resample"), F.explode(F.sequence(F.lit(0), F.lit(n - 1))).alias("slot"))
-    draws = draws.withColumn("place", F.pmod(F.xxhash64("resample", "slot", F.lit(seed)), F.lit(n)).cast("int"))
-    means = draws.join(placed, "place").groupBy("resample").agg(F.avg("d").alias("m"))
+    means = resampled_means(placed, n, resamples, seed)
     tail = (1 - level) / 2
     bounds = means.agg(F.percentile("m", F.lit(tail)).alias("low"), F.percentile("m", F.lit(1 - tail)).alias("high"))
     return placed.agg(F.avg("d").alias("diff")).join(bounds, F.lit(True)).select(*[F.round(c, 6).alias(c) for c in ("diff", "low", "high")])
