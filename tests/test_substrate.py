@@ -164,3 +164,11 @@ def test_fence(spark, text, wanted):
     got = spark.createDataFrame([(text,)], "t string").select(fence("t", 2000).alias("f")).first()["f"]
     assert wanted is None or got == wanted
     assert got.count(FENCE_OPEN) == 1 and got.count(FENCE_CLOSE) == 1 and len(got) < 2100
+
+
+def test_worked_example_is_of_the_customers(spark, sf):
+    from bitempo.queries import QUERIES
+
+    found = QUERIES["version_fold_worked_example"](spark, sf)
+    assert any(f.endswith("customer.parquet") for f in found.inputFiles())
+    assert found.count() == 4 * spark.read.parquet(f"{sf}/customer.parquet").count()
